@@ -34,7 +34,9 @@ from pyspark.sql import functions as F
 
 from .common import BASE, U, bloom, components, discard, materialize, mix, slices, word_shingles, workspace
 
-GROUPS = 64
+#: Groups of the count vectors; a count is one byte, what is over 255 is kept
+#: apart as the set's size less the sum of its vector.
+GROUPS = 512
 LEAF = 16
 
 
@@ -92,7 +94,7 @@ def counts(values: np.ndarray, bounds: np.ndarray) -> np.ndarray:
     """Count vectors: shingles of each set by GROUPS groups of their low bits."""
     rows = len(bounds) - 1
     row = np.repeat(np.arange(rows), np.diff(bounds))
-    return np.bincount(row * GROUPS + (values & U(GROUPS - 1)).astype(np.int64), minlength=rows * GROUPS).reshape(rows, GROUPS).astype(np.int32)
+    return np.bincount(row * GROUPS + (values & U(GROUPS - 1)).astype(np.int64), minlength=rows * GROUPS).reshape(rows, GROUPS).clip(max=255).astype(np.uint8)
 
 
 def set_ids(values: np.ndarray, bounds: np.ndarray) -> np.ndarray:
@@ -103,22 +105,29 @@ def set_ids(values: np.ndarray, bounds: np.ndarray) -> np.ndarray:
         return mix(total + np.diff(bounds).astype(U) * U(0xD6E8FEB86659FD93)).view(np.int64)
 
 
+def overlap_bound(a: np.ndarray, b: np.ndarray, n_a: np.ndarray, n_b: np.ndarray) -> np.ndarray:
+    """Most shingles that sets with these count vectors and sizes can share."""
+    total = lambda v: v.sum(-1, dtype=np.int64)
+    return total(np.minimum(a, b)) + np.minimum(n_a - total(a), n_b - total(b))
+
+
 def rtree_pairs(vectors: np.ndarray, size: np.ndarray, plan: Plan) -> Iterator[tuple[np.ndarray, np.ndarray]]:
     """Pairs of points whose count vectors allow the similarity. Points are
     packed by size and by count into leaves; a leaf is its upper corner."""
     order = np.lexsort((vectors[:, 1], vectors[:, 0], size))
     v, n = vectors[order], size[order]
     starts = np.arange(0, len(v), LEAF)
-    corner = np.maximum.reduceat(v, starts)
+    corner, spare = np.maximum.reduceat(v, starts), n - v.sum(1, dtype=np.int64)
+    extra = np.maximum.reduceat(spare, starts)
     low, high = np.minimum.reduceat(n, starts), np.maximum.reduceat(n, starts)
     for i, s in enumerate(starts):
         e = min(s + LEAF, len(v))
         near = np.flatnonzero((low[i:] * plan.num <= high[i] * plan.den) & (high[i:] * plan.den >= low[i] * plan.num)) + i
-        bound = np.minimum(corner[i], corner[near]).sum(1)
+        bound = np.minimum(corner[i], corner[near]).sum(1, dtype=np.int64) + np.minimum(extra[i], extra[near])
         near = near[plan.enough(bound, low[i], low[near])]
         for j in near:
             t = min(starts[j] + LEAF, len(v))
-            overlap = np.minimum(v[s:e, None], v[None, starts[j] : t]).sum(2)
+            overlap = np.minimum(v[s:e, None], v[None, starts[j] : t]).sum(2, dtype=np.int64) + np.minimum(spare[s:e, None], spare[None, starts[j] : t])
             a, b = np.nonzero(plan.enough(overlap, n[s:e, None], n[None, starts[j] : t]))
             a, b = a + s, b + starts[j]
             a, b = a[a < b], b[a < b]
@@ -137,9 +146,9 @@ def _verified(pairs: DataFrame, reps: DataFrame, docs: DataFrame, plan: Plan, fo
         for batch in batches:
             if not len(batch):
                 continue
-            get = lambda c: np.frombuffer(b"".join(batch.column(batch.schema.get_field_index(c)).to_pylist()), np.int32).reshape(-1, GROUPS)  # noqa: B023, E731
-            overlap = np.minimum(get("c_a"), get("c_b")).sum(1).astype(np.int64)
+            get = lambda c: np.frombuffer(b"".join(batch.column(batch.schema.get_field_index(c)).to_pylist()), np.uint8).reshape(-1, GROUPS)  # noqa: B023, E731
             n_a, n_b = (batch.column(batch.schema.get_field_index(c)).to_numpy() for c in ("n_a", "n_b"))
+            overlap = overlap_bound(get("c_a"), get("c_b"), n_a, n_b)
             yield batch.select(["a", "b", "doc_a", "doc_b"]).filter(pa.array(plan.enough(overlap, n_a, n_b)))
 
     left = materialize(pairs.mapInArrow(bound, "a long, b long, doc_a long, doc_b long"), folder, f"{name}_bound")
@@ -226,14 +235,23 @@ def jaccard_groups(df: DataFrame, plan: Plan | None = None, key: str = "doc_id",
     i, j = F.pmod(F.xxhash64("cls"), F.col("blocks")).cast("int"), F.col("j")
     tiles = rest.withColumn("j", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).select("key", F.least(i, j).alias("lo"), F.greatest(i, j).alias("hi"), "cls", "component", "n", "counts")
 
-    def search(table: pa.Table) -> pa.Table:
-        cls, comp_, n = (table[c].to_numpy() for c in ("cls", "component", "n"))
-        vectors = np.frombuffer(b"".join(table["counts"].to_pylist()), np.int32).reshape(-1, GROUPS)
-        out = [np.stack([cls[a], cls[b]])[:, comp_[a] != comp_[b]] for a, b in rtree_pairs(vectors, n, plan)]
-        out = np.concatenate(out, 1) if out else np.zeros((2, 0), np.int64)
-        return pa.table({"a": out.min(0) if out.size else out[0], "b": out.max(0) if out.size else out[1]})
+    rows = mixed.agg(F.sum(F.col("blocks") * F.col("blocks") * block)).first()[0] or 0
+    buckets = max(1, int(rows) // 20_000)
 
-    found = tiles.groupBy("key", "lo", "hi").applyInArrow(search, "a long, b long").distinct()
+    def search(table: pa.Table) -> pa.Table:
+        cls, comp_, n, key, lo, hi = (table[c].to_numpy() for c in ("cls", "component", "n", "key", "lo", "hi"))
+        vectors = np.frombuffer(b"".join(table["counts"].to_pylist()), np.uint8).reshape(-1, GROUPS)
+        order = np.lexsort((hi, lo, key))
+        cut = np.flatnonzero((np.diff(key[order]) != 0) | (np.diff(lo[order]) != 0) | (np.diff(hi[order]) != 0)) + 1
+        out = [np.zeros((2, 0), np.int64)]
+        for own in np.split(order, cut):
+            if len(own) > 1 and (comp_[own] != comp_[own[0]]).any():
+                out += [np.stack([cls[own[a]], cls[own[b]]])[:, comp_[own[a]] != comp_[own[b]]] for a, b in rtree_pairs(vectors[own], n[own], plan)]
+        pairs = np.unique(np.sort(np.concatenate(out, 1), axis=0), axis=1)
+        return pa.table({"a": pairs[0], "b": pairs[1]})
+
+    bucket = F.pmod(F.xxhash64("key", "lo", "hi"), F.lit(buckets)).alias("bucket")
+    found = tiles.groupBy(bucket).applyInArrow(search, "a long, b long").distinct()
     found = materialize(found.join(stars.hint("merge"), ["a", "b"], "left_anti"), folder, "found")
     discard(spark, folder, "own", "members", "places")
     if found.limit(1).count():
