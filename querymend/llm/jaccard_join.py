@@ -10,7 +10,9 @@
    nothing. Common passages are no hot keys, as a group mixes them with a
    document's own shingles.
 3. Stars. In each meeting place every class is paired with the least one. The
-   bound below, then the sets themselves, decide.
+   bound below, then the sets themselves, decide. Where a place still holds
+   several components, this is repeated ``more_stars`` times with another
+   class as the centre, for the classes outside the centre's component.
 4. R-tree. In places that still hold classes of different components, count
    vectors (shingles by ``GROUPS`` coarse groups) are packed into an R-tree. The
    overlap of a point with a node is at most the sum of the minima of its
@@ -190,7 +192,7 @@ def _verified(pairs: DataFrame, reps: DataFrame, docs: DataFrame, plan: Plan, fo
     return out
 
 
-def jaccard_groups(df: DataFrame, plan: Plan | None = None, key: str = "doc_id", text: str = "text", block: int = 512) -> DataFrame:
+def jaccard_groups(df: DataFrame, plan: Plan | None = None, key: str = "doc_id", text: str = "text", block: int = 512, more_stars: int = 2) -> DataFrame:
     """(key, n_shingles, component_id, class_size) for each row of ``df``."""
     plan = plan or Plan()
     spark, folder = df.sparkSession, workspace(df.sparkSession)
@@ -226,11 +228,25 @@ def jaccard_groups(df: DataFrame, plan: Plan | None = None, key: str = "doc_id",
     live = meet.select("cls", "key", F.xxhash64("key").alias("h")).mapInArrow(still_open, "cls long, key long").distinct()
     members = materialize(live.join(places.hint("merge"), "key"), folder, "members")
     stars = materialize(members.where("cls <> hub").select(F.least("cls", "hub").alias("a"), F.greatest("cls", "hub").alias("b")).distinct(), folder, "stars")
-    links = _verified(stars, points, docs, plan, folder, "links")
-    comp = materialize(components(links, folder), folder, "comp1")
-    own = materialize(members.select("cls", "key").join(comp.withColumnRenamed("node", "cls").hint("merge"), "cls", "left").withColumn("component", F.coalesce("component", "cls")), folder, "own")
-    mixed = own.groupBy("key").agg(F.min("component").alias("x"), F.max("component").alias("y"), F.count("*").alias("size")).where("x <> y and size > 2")
-    mixed = materialize(mixed.select("key", F.ceil(F.col("size") / block).cast("int").alias("blocks")), folder, "mixed")
+    links, tested = _verified(stars, points, docs, plan, folder, "links"), stars
+    comp = materialize(components(links, folder), folder, "comp0")
+    turn = 0
+    while True:
+        # members under their components, and the places that still hold several
+        own = materialize(members.select("cls", "key").join(comp.withColumnRenamed("node", "cls").hint("merge"), "cls", "left").withColumn("component", F.coalesce("component", "cls")), folder, f"own{turn}")
+        pick = F.min(F.struct(F.xxhash64("cls", F.lit(turn)), "cls", "component")).alias("pick")
+        mixed = own.groupBy("key").agg(F.min("component").alias("x"), F.max("component").alias("y"), F.count("*").alias("size"), pick).where("x <> y and size > 2")
+        mixed = materialize(mixed.select("key", F.ceil(F.col("size") / block).cast("int").alias("blocks"), F.col("pick.cls").alias("hub"), F.col("pick.component").alias("of")), folder, f"mixed{turn}")
+        if turn == more_stars:
+            break
+        turn += 1
+        more = own.join(mixed.hint("merge"), "key").where("component <> of").select(F.least("cls", "hub").alias("a"), F.greatest("cls", "hub").alias("b")).distinct()
+        more = materialize(more.join(tested.hint("merge"), ["a", "b"], "left_anti"), folder, f"stars{turn}")
+        if not more.limit(1).count():
+            break
+        tested = tested.unionAll(more)
+        links = links.unionAll(_verified(more, points, docs, plan, folder, f"links{turn}"))
+        comp = materialize(components(links, folder), folder, f"comp{turn}")
     rest = own.join(mixed.hint("merge"), "key").join(points.select("cls", "n", "counts").hint("merge"), "cls")
     i, j = F.pmod(F.xxhash64("cls"), F.col("blocks")).cast("int"), F.col("j")
     tiles = rest.withColumn("j", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).select("key", F.least(i, j).alias("lo"), F.greatest(i, j).alias("hi"), "cls", "component", "n", "counts")
@@ -252,11 +268,11 @@ def jaccard_groups(df: DataFrame, plan: Plan | None = None, key: str = "doc_id",
 
     bucket = F.pmod(F.xxhash64("key", "lo", "hi"), F.lit(buckets)).alias("bucket")
     found = tiles.groupBy(bucket).applyInArrow(search, "a long, b long").distinct()
-    found = materialize(found.join(stars.hint("merge"), ["a", "b"], "left_anti"), folder, "found")
-    discard(spark, folder, "own", "members", "places")
+    found = materialize(found.join(tested.hint("merge"), ["a", "b"], "left_anti"), folder, "found")
+    discard(spark, folder, *[f"own{k}" for k in range(turn + 1)], "members", "places")
     if found.limit(1).count():
         more = _verified(found, points, docs, plan, folder, "more")
-        comp = materialize(components(links.unionAll(more), folder), folder, "comp2")
+        comp = materialize(components(links.unionAll(more), folder), folder, "comp")
     rows = sets.select("doc", "cls", "n").join(comp.withColumnRenamed("node", "cls").hint("merge"), "cls", "left")
     rows = materialize(rows.select("doc", "cls", "n", F.when(F.col("n") > 0, F.coalesce("component", "cls")).alias("component")), folder, "rows")
     least = materialize(rows.where("component is not null").groupBy("component").agg(F.min("doc").alias("least")), folder, "least")
