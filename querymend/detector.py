@@ -11,6 +11,7 @@ from __future__ import annotations
 
 import re
 import zlib
+from functools import lru_cache
 
 import numpy as np
 
@@ -19,6 +20,7 @@ from .taxonomy import TYPES
 WIDTH, RANK, STOP = 64, 4, "null"
 
 
+@lru_cache(100_000)
 def word_vector(word: str) -> np.ndarray:
     rng = np.random.default_rng(zlib.crc32(word.encode()))
     return rng.normal(size=WIDTH) / np.sqrt(WIDTH)

@@ -137,7 +137,7 @@ def diagnose(case: Case, growth: bool = False) -> list[Finding]:
         used, want = c.tables[0], named[0]
         swap = {col: v for col in cat.columns.get(used, {}) for v in cat.columns[want] if stem(v) == stem(col)}
         if all(c.column_name(n) in swap for n in tree.find("column")):
-            def change():
+            def change(want=want, swap=swap):
                 c.relations[0].value = want
                 for n in tree.find("column"):
                     n.value = swap[c.column_name(n)]
