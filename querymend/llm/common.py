@@ -180,13 +180,14 @@ def components(edges: DataFrame, folder: str, src: str = "a", dst: str = "b") ->
 
     Each round, the larger neighbours of a node move to its least neighbour
     (large star), then the smaller ones do (small star). The rounds end when
-    the edges stay as they are. Least neighbours are written before they are
+    only stars are left. Least neighbours are written before they are
     joined, so that a node with very many edges can be split by the join.
     Null ends and loops are ignored."""
     spark = edges.sparkSession
     now = edges.select(F.greatest(src, dst).alias("a"), F.least(src, dst).alias("b")).where("a <> b and a is not null and b is not null").distinct()
     now = materialize(now, folder, "cc0")
-    mark, used = _fingerprint(now), 0
+    if _settled(now):
+        return _labels(now)
     for turn in range(1, 60):
         both = now.select("a", "b").unionAll(now.select(F.col("b").alias("a"), F.col("a").alias("b")))
         least = materialize(both.groupBy("a").agg(F.min("b").alias("m")), folder, f"ccm{turn}")
@@ -196,15 +197,22 @@ def components(edges: DataFrame, folder: str, src: str = "a", dst: str = "b") ->
         small = large.join(least.hint("merge"), "a").select(F.explode(F.array(F.struct("a", F.col("m").alias("b")), F.struct(F.greatest("b", "m").alias("a"), F.least("b", "m").alias("b")))).alias("e")).select("e.a", "e.b").where("a <> b").distinct()
         nxt = materialize(small, folder, f"cc{turn}")
         discard(spark, folder, f"cc{turn - 1}", f"ccm{turn}", f"ccl{turn}", f"ccs{turn}")
-        now, before, mark = nxt, mark, _fingerprint(nxt)
-        if mark == before:
+        now = nxt
+        if _settled(now):
             break
-    return now.groupBy("a").agg(F.min("b").alias("component")).select(F.col("a").alias("node"), "component").unionAll(now.select(F.col("b").alias("node"), F.col("b").alias("component")).distinct())
+    return _labels(now)
 
 
-def _fingerprint(df: DataFrame) -> tuple:
-    h = F.xxhash64("a", "b")
-    return tuple(df.agg(F.count("*"), F.bit_xor(h), F.coalesce(F.sum(F.shiftright(h, 24).cast("decimal(38,0)")), F.lit(0))).first())
+def _labels(now: DataFrame) -> DataFrame:
+    roots = now.select(F.col("b").alias("node"), F.col("b").alias("component")).distinct()
+    return now.select(F.col("a").alias("node"), F.col("b").alias("component")).unionAll(roots)
+
+
+def _settled(now: DataFrame) -> bool:
+    """Whether every edge joins a node that has no other edge to its root."""
+    ends = now.select(F.explode(F.array(F.struct(F.col("a").alias("n"), F.lit(1).alias("up"), F.lit(0).alias("down")), F.struct(F.col("b").alias("n"), F.lit(0).alias("up"), F.lit(1).alias("down")))).alias("e")).select("e.*")
+    busy = ends.groupBy("n").agg(F.sum("up").alias("up"), F.max("down").alias("down")).where("up > 1 or up > 0 and down > 0")
+    return not busy.agg(F.count("*")).first()[0]
 
 
 def forest(a: np.ndarray, b: np.ndarray) -> np.ndarray:

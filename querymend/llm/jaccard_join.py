@@ -11,8 +11,8 @@
    document's own shingles.
 3. Stars. In each meeting place every class is paired with the least one. The
    bound below, then the sets themselves, decide. Where a place still holds
-   several components, this is repeated ``more_stars`` times with another
-   class as the centre, for the classes outside the centre's component.
+   several components, this is repeated ``more_stars`` times with two other
+   classes as centres, for the classes outside the centre's component.
 4. R-tree. In places that still hold classes of different components, count
    vectors (shingles by ``GROUPS`` coarse groups) are packed into an R-tree. The
    overlap of a point with a node is at most the sum of the minima of its
@@ -192,7 +192,7 @@ def _verified(pairs: DataFrame, reps: DataFrame, docs: DataFrame, plan: Plan, fo
     return out
 
 
-def jaccard_groups(df: DataFrame, plan: Plan | None = None, key: str = "doc_id", text: str = "text", block: int = 512, more_stars: int = 2) -> DataFrame:
+def jaccard_groups(df: DataFrame, plan: Plan | None = None, key: str = "doc_id", text: str = "text", block: int = 512, more_stars: int = 1) -> DataFrame:
     """(key, n_shingles, component_id, class_size) for each row of ``df``."""
     plan = plan or Plan()
     spark, folder = df.sparkSession, workspace(df.sparkSession)
@@ -234,13 +234,13 @@ def jaccard_groups(df: DataFrame, plan: Plan | None = None, key: str = "doc_id",
     while True:
         # members under their components, and the places that still hold several
         own = materialize(members.select("cls", "key").join(comp.withColumnRenamed("node", "cls").hint("merge"), "cls", "left").withColumn("component", F.coalesce("component", "cls")), folder, f"own{turn}")
-        pick = F.min(F.struct(F.xxhash64("cls", F.lit(turn)), "cls", "component")).alias("pick")
-        mixed = own.groupBy("key").agg(F.min("component").alias("x"), F.max("component").alias("y"), F.count("*").alias("size"), pick).where("x <> y and size > 2")
-        mixed = materialize(mixed.select("key", F.ceil(F.col("size") / block).cast("int").alias("blocks"), F.col("pick.cls").alias("hub"), F.col("pick.component").alias("of")), folder, f"mixed{turn}")
+        picks = [F.min(F.struct(F.xxhash64("cls", F.lit(2 * turn + k)), "cls", "component")).alias(f"pick{k}") for k in (0, 1)]
+        mixed = own.groupBy("key").agg(F.min("component").alias("x"), F.max("component").alias("y"), F.count("*").alias("size"), *picks).where("x <> y and size > 2")
+        mixed = materialize(mixed.select("key", F.ceil(F.col("size") / block).cast("int").alias("blocks"), F.array("pick0", "pick1").alias("hubs")), folder, f"mixed{turn}")
         if turn == more_stars:
             break
         turn += 1
-        more = own.join(mixed.hint("merge"), "key").where("component <> of").select(F.least("cls", "hub").alias("a"), F.greatest("cls", "hub").alias("b")).distinct()
+        more = own.join(mixed.hint("merge"), "key").select("cls", "component", F.explode("hubs").alias("hub")).where("component <> hub.component").select(F.least("cls", "hub.cls").alias("a"), F.greatest("cls", "hub.cls").alias("b")).distinct()
         more = materialize(more.join(tested.hint("merge"), ["a", "b"], "left_anti"), folder, f"stars{turn}")
         if not more.limit(1).count():
             break
