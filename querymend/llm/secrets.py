@@ -128,7 +128,9 @@ def scan(df: DataFrame, ledger: BlobLedger, rules: RuleSet, key: str = "doc_id",
             kind = pa.list_(pa.struct([("start", pa.int32()), ("rank", pa.int32()), ("stop", pa.int32()), ("kind", pa.string())]))
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(found, kind)], ["blob", "spans"])
 
-    ledger.append(rows.select(address_of("text").alias("blob"), "text").mapInArrow(find, f"blob binary, spans {SPANS}"), rules.version)
+    # rows that repeat a path bring its blob twice
+    fresh = rows.select(address_of("text").alias("blob"), "text").mapInArrow(find, f"blob binary, spans {SPANS}")
+    ledger.append(fresh.dropDuplicates(["blob"]), rules.version)
     hits = ledger.findings(rules.version).where("size(spans) > 0")
     return paths.join(hits.hint("merge"), "blob", "left").select(F.col("path").alias(key), "blob", F.coalesce("spans", F.expr(f"cast(array() as {SPANS})")).alias("spans"))
 
