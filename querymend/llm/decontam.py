@@ -38,14 +38,17 @@ def shingle_hashes(word_list: Column, width: int = WIDTH) -> Column:
 
 
 def _exploded(df: DataFrame, key: str, text: str, width: int) -> DataFrame:
+    """(doc, n, h) of every shingle. The outer explode keeps the optimizer from
+    pushing a filter on the list's size below, where it would put the splitting
+    of the text inside the function that runs for every shingle."""
     listed = df.select(F.col(key).alias("doc"), words(F.col(text)).alias("w")).select("doc", F.greatest(F.size("w") - width + 1, F.lit(1)).alias("n"), shingle_hashes(F.col("w"), width).alias("s"))
-    return listed.select("doc", "n", F.explode("s").alias("h"))
+    return listed.select("doc", "n", F.explode_outer("s").alias("h")).where("h is not null")
 
 
 def contained_items(docs: DataFrame, items: DataFrame, threshold: float = 0.8, width: int = WIDTH, key: str = "doc_id", item: str = "item_id", text: str = "text", broadcast_rows: int = 2_000_000) -> DataFrame:
     """(key, item, n_item, n_shared, containment) of every contained pair."""
     folder = workspace(docs.sparkSession)
-    grams = items.select(F.col(item).alias("item"), words(F.col(text)).alias("w")).select("item", F.explode(F.array_distinct(shingle_hashes(F.col("w"), width))).alias("h")).distinct()
+    grams = items.select(F.col(item).alias("item"), words(F.col(text)).alias("w")).select("item", F.explode_outer(F.array_distinct(shingle_hashes(F.col("w"), width))).alias("h")).where("h is not null").distinct()
     sizes = grams.groupBy("item").agg(F.count("*").alias("n_item"), F.array_sort(F.collect_list("h")).alias("hs"))
     percent = round(100 * threshold)
     # size partition: 2^band <= n_item < 2^(band + 1)
