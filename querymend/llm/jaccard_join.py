@@ -9,10 +9,11 @@
    the top of a band is sent to the next one too). This loses no pair and caps
    nothing. Common passages are no hot keys, as a group mixes them with a
    document's own shingles.
-3. Stars. In each meeting place every class is paired with the least one. The
-   bound below, then the sets themselves, decide. Where a place still holds
-   several components, this is repeated ``more_stars`` times with two other
-   classes as centres, for the classes outside the centre's component.
+3. Stars. In each meeting place every class is paired with the least and the
+   greatest one. The bound below, then the sets themselves, decide. Where a
+   place still holds several components, this can be repeated ``more_stars``
+   times with two other classes as centres, for the classes outside the
+   centre's component.
 4. R-tree. In places that still hold classes of different components, count
    vectors (shingles by ``GROUPS`` coarse groups) are packed into an R-tree. The
    overlap of a point with a node is at most the sum of the minima of its
@@ -192,7 +193,7 @@ def _verified(pairs: DataFrame, reps: DataFrame, docs: DataFrame, plan: Plan, fo
     return out
 
 
-def jaccard_groups(df: DataFrame, plan: Plan | None = None, key: str = "doc_id", text: str = "text", block: int = 512, more_stars: int = 1) -> DataFrame:
+def jaccard_groups(df: DataFrame, plan: Plan | None = None, key: str = "doc_id", text: str = "text", block: int = 512, more_stars: int = 0) -> DataFrame:
     """(key, n_shingles, component_id, class_size) for each row of ``df``."""
     plan = plan or Plan()
     spark, folder = df.sparkSession, workspace(df.sparkSession)
@@ -214,7 +215,7 @@ def jaccard_groups(df: DataFrame, plan: Plan | None = None, key: str = "doc_id",
     reps = materialize(reps, folder, "reps")
     points = materialize(reps.join(sets.select("cls", "doc", "counts").hint("merge"), ["cls", "doc"]).dropDuplicates(["cls"]), folder, "points")
     meet = sets.select("cls", F.explode("keys").alias("key"))
-    places = materialize(meet.groupBy("key").agg(F.min("cls").alias("hub"), F.max("cls").alias("other")).where("hub <> other").select("key", "hub"), folder, "places")
+    places = materialize(meet.groupBy("key").agg(F.min("cls").alias("hub"), F.max("cls").alias("rim")).where("hub <> rim"), folder, "places")
     open_keys = spark.sparkContext.broadcast(bloom(places, "key", 25))
 
     def still_open(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -227,7 +228,8 @@ def jaccard_groups(df: DataFrame, plan: Plan | None = None, key: str = "doc_id",
 
     live = meet.select("cls", "key", F.xxhash64("key").alias("h")).mapInArrow(still_open, "cls long, key long").distinct()
     members = materialize(live.join(places.hint("merge"), "key"), folder, "members")
-    stars = materialize(members.where("cls <> hub").select(F.least("cls", "hub").alias("a"), F.greatest("cls", "hub").alias("b")).distinct(), folder, "stars")
+    centres = members.select("cls", F.explode(F.array("hub", "rim")).alias("hub")).where("cls <> hub")
+    stars = materialize(centres.select(F.least("cls", "hub").alias("a"), F.greatest("cls", "hub").alias("b")).distinct(), folder, "stars")
     links, tested = _verified(stars, points, docs, plan, folder, "links"), stars
     comp = materialize(components(links, folder), folder, "comp0")
     turn = 0
