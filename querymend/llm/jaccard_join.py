@@ -18,8 +18,10 @@
    vectors (shingles by ``GROUPS`` coarse groups) are packed into an R-tree. The
    overlap of a point with a node is at most the sum of the minima of its
    counts and the node's upper corner, which prunes whole nodes; pairs that
-   survive and lie in different components are verified. Large places are cut
-   into blocks and joined block by block.
+   survive and lie in different components are verified. A row names the last
+   few open places of its class before this one, and a pair that met in one of
+   them is left to it. Large places are cut into blocks and joined block by
+   block.
 5. Components of all verified links.
 
 Rows with null or empty texts have empty sets and link with nothing. Ids are
@@ -32,7 +34,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import BASE, U, bloom, components, discard, materialize, mix, slices, word_shingles, workspace
@@ -41,6 +43,8 @@ from .common import BASE, U, bloom, components, discard, materialize, mix, slice
 #: apart as the set's size less the sum of its vector.
 GROUPS = 512
 LEAF = 16
+#: Earlier open places of a class that a row of a later one names.
+EARLIER = 16
 
 
 class Plan:
@@ -138,6 +142,26 @@ def rtree_pairs(vectors: np.ndarray, size: np.ndarray, plan: Plan) -> Iterator[t
                 yield order[a], order[b]
 
 
+def padded(lists: pa.ChunkedArray) -> np.recarray:
+    """Lists of up to EARLIER keys as rows, and which of their cells are filled."""
+    lists = lists.combine_chunks()
+    length = lists.value_lengths().to_numpy(zero_copy_only=False).astype(np.int64)
+    filled = np.arange(EARLIER) < length[:, None]
+    out = np.zeros(filled.shape, np.int64)
+    out[filled] = lists.flatten().to_numpy()
+    return np.rec.fromarrays([out, filled], names="key,filled")
+
+
+def met_before(a: np.recarray, b: np.recarray) -> np.ndarray:
+    """Pairs that share one of the earlier places that both rows name. The
+    first place that a pair shares has none before it, so it is kept there."""
+    out = np.zeros(len(a), bool)
+    for at in range(0, len(a), 512):
+        x, y = a[at : at + 512, :, None], b[at : at + 512, None, :]
+        out[at : at + 512] = ((x["key"] == y["key"]) & x["filled"] & y["filled"]).any((1, 2))
+    return out
+
+
 def _verified(pairs: DataFrame, reps: DataFrame, docs: DataFrame, plan: Plan, folder: str, name: str) -> DataFrame:
     """The pairs (a, b) of classes whose sets are similar enough. First by their
     count vectors, then by the sets, read again from one text of each class."""
@@ -249,9 +273,11 @@ def jaccard_groups(df: DataFrame, plan: Plan | None = None, key: str = "doc_id",
         tested = tested.unionAll(more)
         links = links.unionAll(_verified(more, points, docs, plan, folder, f"links{turn}"))
         comp = materialize(components(links, folder), folder, f"comp{turn}")
-    rest = own.join(mixed.hint("merge"), "key").join(points.select("cls", "n", "counts").hint("merge"), "cls")
+    rest = own.join(mixed.hint("merge"), "key")
+    before = Window.partitionBy("cls").orderBy("key").rowsBetween(-EARLIER, -1)
+    rest = rest.withColumn("earlier", F.collect_list("key").over(before)).join(points.select("cls", "n", "counts").hint("merge"), "cls")
     i, j = F.pmod(F.xxhash64("cls"), F.col("blocks")).cast("int"), F.col("j")
-    tiles = rest.withColumn("j", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).select("key", F.least(i, j).alias("lo"), F.greatest(i, j).alias("hi"), "cls", "component", "n", "counts")
+    tiles = rest.withColumn("j", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).select("key", F.least(i, j).alias("lo"), F.greatest(i, j).alias("hi"), "cls", "component", "n", "counts", "earlier")
 
     rows = mixed.agg(F.sum(F.col("blocks") * F.col("blocks") * block)).first()[0] or 0
     buckets = max(1, int(rows) // 20_000)
@@ -259,12 +285,17 @@ def jaccard_groups(df: DataFrame, plan: Plan | None = None, key: str = "doc_id",
     def search(table: pa.Table) -> pa.Table:
         cls, comp_, n, key, lo, hi = (table[c].to_numpy() for c in ("cls", "component", "n", "key", "lo", "hi"))
         vectors = np.frombuffer(b"".join(table["counts"].to_pylist()), np.uint8).reshape(-1, GROUPS)
+        seen = padded(table["earlier"])
         order = np.lexsort((hi, lo, key))
         cut = np.flatnonzero((np.diff(key[order]) != 0) | (np.diff(lo[order]) != 0) | (np.diff(hi[order]) != 0)) + 1
         out = [np.zeros((2, 0), np.int64)]
         for own in np.split(order, cut):
             if len(own) > 1 and (comp_[own] != comp_[own[0]]).any():
-                out += [np.stack([cls[own[a]], cls[own[b]]])[:, comp_[own[a]] != comp_[own[b]]] for a, b in rtree_pairs(vectors[own], n[own], plan)]
+                for a, b in rtree_pairs(vectors[own], n[own], plan):
+                    apart = comp_[own[a]] != comp_[own[b]]
+                    a, b = own[a[apart]], own[b[apart]]
+                    new = ~met_before(seen[a], seen[b])
+                    out.append(np.stack([cls[a[new]], cls[b[new]]]))
         pairs = np.unique(np.sort(np.concatenate(out, 1), axis=0), axis=1)
         return pa.table({"a": pairs[0], "b": pairs[1]})
 
