@@ -43,6 +43,8 @@ from .common import BASE, U, bloom, components, discard, materialize, mix, slice
 #: apart as the set's size less the sum of its vector.
 GROUPS = 512
 LEAF = 16
+#: Bytes of text that a task works on at a time; a longer text comes alone.
+SLICE = 500_000
 #: Earlier open places of a class that a row of a later one names.
 EARLIER = 16
 
@@ -191,7 +193,7 @@ def _verified(pairs: DataFrame, reps: DataFrame, docs: DataFrame, plan: Plan, fo
             h = batch.column(2).to_numpy().view(U)
             hit = lambda p: (words[p >> U(6)] >> (p & U(63))) & U(1) != 0
             batch = batch.filter(pa.array(hit(h & U(mask)) & hit((h >> U(32)) & U(mask))))
-            for part, data, offsets in slices(iter([batch]), "text"):
+            for part, data, offsets in slices(iter([batch]), "text", SLICE):
                 values, bounds = word_shingles(data, offsets, width)
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array([values[a:b].tobytes() for a, b in zip(bounds[:-1], bounds[1:], strict=True)], pa.binary())], ["doc", "grams"])
 
@@ -224,7 +226,7 @@ def jaccard_groups(df: DataFrame, plan: Plan | None = None, key: str = "doc_id",
     docs = df.select(F.col(key).cast("long").alias("doc"), F.coalesce(F.col(text), F.lit("")).alias("text"))
 
     def describe(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch, data, offsets in slices(batches, "text"):
+        for batch, data, offsets in slices(batches, "text", SLICE):
             values, bounds = word_shingles(data, offsets, plan.width)
             keys, ends = plan.keys(values, bounds)
             vectors = counts(values, bounds)
