@@ -129,7 +129,7 @@ def cut_pieces(docs: DataFrame, tokenizer: str, pattern: str, capacity: int = 20
 
     def pieces(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         tokens = WordTokenizer(tokenizer, pattern)
-        for batch, data, offsets in slices(batches, "text", 4_000_000):
+        for batch, data, offsets in slices(batches, "text", 1_000_000):
             ids, bounds = tokens.encode(data, offsets)
             out: list[list] = [[], [], [], [], []]
             for i in range(len(batch)):
