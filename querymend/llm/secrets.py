@@ -5,8 +5,9 @@ to one. The ledger keeps, for each blob and rule version, the spans found. A
 scan addresses every path, leaves out blobs that the ledger already has under
 the rule version, reads one path of each blob that is left, appends to the
 ledger and joins the findings back to all paths. Texts stay where they are:
-only addresses are shuffled, and the paths to skip (later copies, known blobs)
-are broadcast while they are few, or anti-joined beyond that.
+only addresses are shuffled, and the versions (path and blob) to skip, later
+copies and known blobs, are broadcast while they are few, or anti-joined beyond
+that. A path may have several blobs and may be null.
 
 Null texts count as empty (no spans). Repeated rows give repeated results.
 Other columns are left behind.
@@ -99,21 +100,22 @@ class BlobLedger:
 
 def scan(df: DataFrame, ledger: BlobLedger, rules: RuleSet, key: str = "doc_id", text: str = "text", skip_limit: int = 1_000_000) -> DataFrame:
     """(key, blob, spans) for every row of ``df``; the ledger gains the blobs
-    that it did not have. ``skip_limit``: most paths (8 bytes each) that are
-    broadcast to be left out."""
+    that it did not have. ``skip_limit``: most versions (a path and the 32 bytes
+    of its blob) that are broadcast to be left out."""
     spark, folder = df.sparkSession, workspace(df.sparkSession)
     body = F.coalesce(F.col(text), F.lit(""))
     address = F.unhex(F.sha2(body, 256))
     paths = materialize(df.select(F.col(key).alias("path"), address.alias("blob")), folder, "paths")
     copies = materialize(paths.groupBy("blob").agg(F.min("path").alias("first"), F.count("*").alias("n")).where("n > 1").drop("n"), folder, "copies")
-    skip = paths.join(copies.hint("merge"), "blob").where("path <> first").select("path")
+    skip = paths.join(copies.hint("merge"), "blob").where("not path <=> first").select("path", "blob")
     if ledger.exists():
-        skip = skip.unionAll(paths.join(ledger.findings(rules.version).select("blob"), "blob", "left_semi").select("path"))
+        skip = skip.unionAll(paths.join(ledger.findings(rules.version).select("blob"), "blob", "left_semi").select("path", "blob"))
     skip = materialize(skip.distinct(), folder, "skip")
-    rows = df.select(F.col(key).alias("path"), body.alias("text"))
+    rows = df.select(F.col(key).alias("path"), body.alias("text"), address.alias("blob"))
     n = skip.count()
     if n:
-        rows = rows.join(F.broadcast(skip) if n <= skip_limit else skip.hint("merge"), "path", "left_anti")
+        same = rows["path"].eqNullSafe(skip["path"]) & (rows["blob"] == skip["blob"])
+        rows = rows.join(F.broadcast(skip) if n <= skip_limit else skip.hint("merge"), same, "left_anti")
 
     def find(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch, data, offsets in slices(batches, "text"):
@@ -128,17 +130,13 @@ def scan(df: DataFrame, ledger: BlobLedger, rules: RuleSet, key: str = "doc_id",
             kind = pa.list_(pa.struct([("start", pa.int32()), ("rank", pa.int32()), ("stop", pa.int32()), ("kind", pa.string())]))
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(found, kind)], ["blob", "spans"])
 
-    # rows that repeat a path bring its blob twice
-    fresh = rows.select(address_of("text").alias("blob"), "text").mapInArrow(find, f"blob binary, spans {SPANS}")
+    # rows that repeat a version bring its blob twice
+    fresh = rows.select("blob", "text").mapInArrow(find, f"blob binary, spans {SPANS}")
     ledger.append(fresh.dropDuplicates(["blob"]), rules.version)
     hits = ledger.findings(rules.version).where("size(spans) > 0")
     return paths.join(hits.hint("merge"), "blob", "left").select(F.col("path").alias(key), "blob", F.coalesce("spans", F.expr(f"cast(array() as {SPANS})")).alias("spans"))
 
 
-def address_of(text: str) -> Column:
-    return F.unhex(F.sha2(F.col(text), 256))
-
-
 def new_ledger(spark: SparkSession) -> BlobLedger:
     return BlobLedger(spark, f"{workspace(spark)}/ledger")
 

@@ -62,6 +62,26 @@ def test_secrets_and_ledger(spark, docs, texts, tmp_path):
     assert sorted(map(str, first)) == sorted(map(str, again)) and ledger.findings("r1").count() == known
 
 
+@pytest.mark.parametrize("limit", [1_000_000, 0])
+def test_secrets_of_ids_with_two_versions(spark, tmp_path, limit):
+    one, two, three = "password = abcdefgh1", "x " + "0" * 40, "AKIA" + "B" * 16
+    rows = [(1, one), (2, one), (0, two), (1, two), (None, two), (None, three), (None, three), (5, three), (5, three), (6, "AKIA" + "C" * 16), (6, None)]
+    n = {None: 0, one: 1, two: 1, three: 1, rows[9][1]: 1}
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    blobs = {t: hashlib.sha256((t or "").encode()).digest() for t in n}
+    want = sorted((str(i), blobs[t], n[t]) for i, t in rows)
+
+    def got(table, ledger):
+        return sorted((str(r.doc_id), bytes(r.blob), len(r.spans)) for r in secrets.scan(table, ledger, secrets.RuleSet("r1"), skip_limit=limit).collect())
+
+    ledger = secrets.BlobLedger(spark, f"file://{tmp_path}/whole")
+    assert got(df, ledger) == want and ledger.findings("r1").count() == len(n)
+    # a ledger that knows only the first version of id 1 and of null
+    ledger = secrets.BlobLedger(spark, f"file://{tmp_path}/grows")
+    got(spark.createDataFrame([(1, one), (None, two)], "doc_id long, text string"), ledger)
+    assert got(df, ledger) == want and ledger.findings("r1").count() == len(n)
+
+
 def test_suffix_dedup(docs, texts):
     rows = [(r.doc_id, (r.text or "").encode()) for r in docs.collect()]
     seen = Counter(b[i : i + 200] for _, b in rows for i in range(len(b) - 199) if len(b) < 30000)
