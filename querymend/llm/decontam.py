@@ -69,8 +69,11 @@ def contained_items(docs: DataFrame, items: DataFrame, threshold: float = 0.8, w
     return shared.join(found, ["doc", "item"], "left_semi").select(F.col("doc").alias(key), F.col("item").alias(item), "n_item", "n_shared", F.round(F.col("n_shared") / F.col("n_item"), 6).alias("containment"))
 
 
-def keep_clean(docs: DataFrame, items: DataFrame, key: str = "doc_id", broadcast_rows: int = 2_000_000, **options) -> DataFrame:
-    """The rows of ``docs``, all columns, that contain no item."""
-    hit = materialize(contained_items(docs, items, key=key, **options).select(F.col(key).alias("_hit")).distinct(), workspace(docs.sparkSession), "hit")
+def keep_clean(docs: DataFrame, items: DataFrame, text: str = "text", broadcast_rows: int = 2_000_000, **options) -> DataFrame:
+    """The rows of ``docs``, all columns, that contain no item. Each row is
+    judged by its own text, under a 64-bit hash of it; ids, which may be null or
+    carry several texts, do not matter."""
+    rows = docs.withColumn("_row", F.xxhash64(text))
+    hit = materialize(contained_items(rows, items, key="_row", text=text, **options).select(F.col("_row").alias("_hit")).distinct(), workspace(docs.sparkSession), "hit")
     hit = F.broadcast(hit) if hit.count() <= broadcast_rows else hit.hint("merge")
-    return docs.join(hit, F.col(key) == F.col("_hit"), "left_anti")
+    return rows.join(hit, F.col("_row") == F.col("_hit"), "left_anti").select(*docs.columns)

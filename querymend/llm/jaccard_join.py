@@ -314,8 +314,28 @@ def jaccard_groups(df: DataFrame, plan: Plan | None = None, key: str = "doc_id",
 
 
 def keep_first(df: DataFrame, plan: Plan, key: str = "doc_id") -> DataFrame:
-    """The rows of ``df`` that are the least of their group, all columns."""
-    gone = jaccard_groups(df, plan, key).where(F.col(key) != F.col("component_id")).select(F.col(key).alias("_gone"))
-    gone = materialize(gone.distinct(), workspace(df.sparkSession), "gone")
+    """One row of each group of ``df``, all columns: that of the least id, null
+    last, and of rows with one id that of the least row hash.
+
+    The nodes are rows, named by a 64-bit hash of all their columns, and not
+    ids: an id may be null or carry several texts, which need not be in one
+    group. Rows that agree in every column are one row, with or without words;
+    other rows without words all stay. Of the texts only those of rows that
+    repeat are shuffled."""
+    folder, columns = workspace(df.sparkSession), df.columns
+    # the hash passes over nulls, so that which columns are null is added
+    df = df.withColumn("_row", F.xxhash64(*[F.col(c).isNull() for c in columns], *columns))
+    ids = materialize(df.groupBy("_row").agg(F.min(key).alias("id"), F.count("*").alias("n")), folder, "ids")
+    repeated = materialize(ids.where("n > 1").select(F.col("_row").alias("_again")), folder, "repeated")
+    n = repeated.count()
+    if n:
+        fit = F.broadcast(repeated) if n <= 1_000_000 else repeated.hint("merge")
+        same = df["_row"] == repeated["_again"]
+        once = materialize(df.join(fit, same, "left_semi").dropDuplicates(["_row"]), folder, "once")
+        df = df.join(fit, same, "left_anti").unionAll(once)
+    groups = materialize(jaccard_groups(df, plan, "_row").select("_row", F.col("component_id").alias("component")).join(ids.select("_row", "id").hint("merge"), "_row"), folder, "groups")
+    least = groups.groupBy("component").agg(F.min(F.struct(F.col("id").isNull(), "id", "_row")).getField("_row").alias("first"), F.count("*").alias("size")).where("size > 1")
+    least = materialize(least, folder, "least")
+    gone = materialize(groups.join(least.hint("merge"), "component").where("_row <> first").select(F.col("_row").alias("_gone")), folder, "gone")
     few = gone.count() <= 1_000_000
-    return df.join(F.broadcast(gone) if few else gone.hint("merge"), df[key] == gone["_gone"], "left_anti")
+    return df.join(F.broadcast(gone) if few else gone.hint("merge"), df["_row"] == gone["_gone"], "left_anti").select(*columns)

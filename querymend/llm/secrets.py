@@ -153,13 +153,15 @@ def secrets_digest(df: DataFrame, ledger: BlobLedger | None = None, rules: RuleS
     return found.select(key, *[count(r.kind) for r in BASE_RULES], F.sha2(span_text(base), 256).alias("base_sha256"), span_text(F.col("spans")).alias("spans"))
 
 
-def redact(df: DataFrame, found: DataFrame, key: str = "doc_id", text: str = "text", broadcast_limit: int = 200_000) -> DataFrame:
-    """``df`` with the spans of ``found`` replaced by ``[secret]`` in its texts."""
-    hits = found.where("size(spans) > 0").select(F.col(key).alias("_key"), F.col("spans").alias("_spans"))
+def redact(df: DataFrame, found: DataFrame, text: str = "text", broadcast_limit: int = 200_000) -> DataFrame:
+    """``df`` with the spans of ``found`` replaced by ``[secret]`` in its texts.
+    Spans belong to a blob, so each row gets those of its own text, whatever its
+    id, and stays one row."""
+    hits = found.where("size(spans) > 0").select(F.col("blob").alias("_blob"), F.col("spans").alias("_spans")).dropDuplicates(["_blob"])
     hits = materialize(hits, workspace(df.sparkSession), "hits")
     hits = F.broadcast(hits) if hits.count() <= broadcast_limit else hits
     body = F.col(text)
     step = lambda acc, s: F.when(s["start"] >= acc["at"], F.struct(s["stop"].alias("at"), F.concat(acc["out"], F.substring(body, acc["at"] + 1, s["start"] - acc["at"]), F.lit("[secret]")).alias("out"))).otherwise(F.struct(F.greatest(acc["at"], s["stop"]).alias("at"), acc["out"].alias("out")))
     done = F.aggregate("_spans", F.struct(F.lit(0).alias("at"), F.lit("").alias("out")), step, lambda acc: F.concat(acc["out"], F.substring(body, acc["at"] + 1, F.length(body))))
-    joined = df.join(hits, df[key] == hits["_key"], "left")
+    joined = df.join(hits, F.unhex(F.sha2(body, 256)) == hits["_blob"], "left")
     return joined.withColumn(text, F.when(F.col("_spans").isNull(), body).otherwise(done)).select(*df.columns)

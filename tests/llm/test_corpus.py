@@ -130,6 +130,44 @@ def test_jaccard_join(spark, width, num):
         assert (r.component_id, r.n_shingles) == (find(r.doc_id), len(sets[r.doc_id]))
 
 
+def test_pipeline_with_repeated_and_null_ids(spark):
+    import corpus_pipeline
+
+    random.seed(5)
+    passage = lambda n: " ".join(random.choice("abcdefgh") * random.randrange(1, 9) + str(random.randrange(999)) for _ in range(n))
+    a, b, c, d, e, f = (passage(60) for _ in range(6))
+    item, key = passage(20), "password = abcdefgh1"
+    rows = [
+        *[(1, f"{a} {key}", "x")] * 4, (7, f"{a} {key}", "x"), (None, f"{a} {key}", "x"),  # copies, repeated and without id
+        (1, b, "x"), (0, b + " end", "x"), (5, c, "x"), (3, d, "x"), (3, c + " end", "x"),  # ids with two texts
+        (None, e, "x"), (None, e, "y"), (None, f"{item} {f}", "x"), (9, f"{f} {item}", "x"), (9, f"AKIA{'A' * 16} {passage(50)}", "x"),
+        (2, passage(50), None), (8, None, "x"), (8, "", "x"), (None, None, "x"), (None, None, "x"), (None, None, None),
+    ]
+    docs = spark.createDataFrame([(i, t, s, None, len(t or "")) for i, t, s in rows], "doc_id long, text string, lang string, source string, n_chars long")
+    docs = docs.select("doc_id", "text", "lang", "source", "n_chars")
+    order = lambda rs: sorted(map(str, rs))
+    sets = [(lambda w: {tuple(w[k : k + 5]) for k in range(max(1, len(w) - 4))} if w else set())((t or "").lower().split()) for _, t, _ in rows]
+    group = list(range(len(rows)))
+    for _ in rows:
+        for i, x in enumerate(sets):
+            for j, y in enumerate(sets):
+                if rows[i] == rows[j] or x and 10 * len(x & y) >= 8 * len(x | y):
+                    group[i] = group[j] = min(group[i], group[j])
+    least = {}
+    for g, r in zip(group, rows, strict=True):
+        least[g] = min(least.get(g, r), r, key=lambda r: (r[0] is None, r[0]))
+    first = corpus_pipeline.jaccard_join.keep_first(docs, jaccard_join.Plan(5, 80, 100)).cache()
+    assert order((r.doc_id, r.text) for r in first.collect()) == order(r[:2] for r in least.values())
+    items = spark.createDataFrame([(1, item)], "item_id long, text string")
+    clean = decontam.keep_clean(docs, items)
+    assert order((r.doc_id, r.text) for r in clean.collect()) == order(r[:2] for r in rows if item not in (r[1] or ""))
+    hide = lambda t: t and t.replace(key, "[secret]").replace("AKIA" + "A" * 16, "[secret]")
+    done = corpus_pipeline.remove_secrets(spark, docs, "")
+    assert order((r.doc_id, r.text) for r in done.collect()) == order((i, hide(t)) for i, t, _ in rows)
+    done = corpus_pipeline.remove_secrets(spark, decontam.keep_clean(first, items), "").collect()
+    assert order((r.doc_id, r.text) for r in done) == order((i, hide(t)) for i, t, _ in least.values() if item not in (t or ""))
+
+
 def test_embeddings(spark):
     rng = np.random.default_rng(0)
     x = rng.normal(size=(60, 8))
