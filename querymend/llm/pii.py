@@ -6,7 +6,8 @@ from the pieces between them (``split`` by the same pattern): a match starts
 after all earlier pieces and matches. Quantifiers are possessive and a match
 may start only where a run of its characters starts (or where the match before
 it ended), which gives the same matches as the plain patterns, in linear time
-and without recursion on long runs.
+and without recursion on long runs. Account numbers have no pattern for their
+end: what follows may look like more of them, so every end is tried.
 
 Null texts count as empty: no spans. Repeated rows are kept.
 """
@@ -37,8 +38,12 @@ KINDS = [
     Kind("card", r"(?:\G|(?<![0-9]))[0-9](?:[\x20-]?+[0-9])++", "", "card|visa|pay|credit|tarjeta|karte|carte", 0.7),
     Kind("phone", r"\+[0-9][\x20().0-9-]+[0-9]", "+", "phone|tel|call|mobile|fax", 0.7),
 ]
-#: Added by the method: account numbers with two check digits (modulo 97).
-ACCOUNT = Kind("iban", r"(?<![A-Za-z0-9])[A-Z]{2}[0-9]{2}(?:\x20?[A-Z0-9]){11,30}+(?![A-Za-z0-9])", "", "iban|bank|account|konto|compte|cuenta", 0.8)
+#: Added by the method: account numbers with two check digits (modulo 97). The
+#: pattern takes the four characters that one may start with.
+ACCOUNT = Kind("iban", r"(?<![A-Za-z0-9])[A-Z]{2}[0-9]{2}(?=(?:\x20?[A-Z0-9]){11})", "", "iban|bank|account|konto|compte|cuenta", 0.8)
+#: All that can belong to one: at most 34 characters and a space before each of
+#: the last 30. One more character tells whether a word ends there.
+ACCOUNT_RUN, ACCOUNT_REACH = r"^[A-Z]{2}[0-9]{2}(?:\x20?[A-Z0-9]){11,30}+", 65
 
 
 def digits_of(text: Column) -> Column:
@@ -74,7 +79,28 @@ def confirmed(kind: str, text: Column) -> Column:
         return F.when(n.between(14, 19), luhn(digits_of(text))).otherwise(False)
     if kind == "phone":
         return n.between(10, 15)
-    return mod97(text) if kind == "iban" else F.lit(True)
+    return F.lit(True)
+
+
+def account_length(ahead: Column) -> Column:
+    """Length of the longest account number, of 15 to 34 letters and digits up to
+    a word's end, that a text starts with; 0 for none."""
+    run = F.length(F.regexp_extract(ahead, ACCOUNT_RUN, 0))
+    ends = F.when(run > 0, F.sequence(run, F.lit(15), F.lit(-1))).otherwise(F.expr("cast(array() as array<int>)"))
+    start = lambda n: F.substring(ahead, F.lit(1), n)
+    word_end = lambda n: F.substring(ahead, n, F.lit(2)).rlike("^[A-Z0-9](?![A-Za-z0-9])")
+    fits = F.filter(ends, lambda n: word_end(n) & (F.length(F.regexp_replace(start(n), r"\x20", "")) >= 15) & mod97(start(n)))
+    return F.coalesce(F.array_max(fits), F.lit(0))
+
+
+def accounts(text: Column, starts: Column) -> Column:
+    """The account numbers at these starts, without those inside an earlier one."""
+    ahead = lambda s: F.substring(text, s["start"] + 1, F.lit(ACCOUNT_REACH))
+    ended = F.transform(starts, lambda s: F.struct(s["kind"].alias("kind"), s["start"].alias("start"), (s["start"] + account_length(ahead(s))).cast("int").alias("stop")))
+    whole = F.transform(F.filter(ended, lambda s: s["stop"] > s["start"]), lambda s: F.struct(s["kind"].alias("kind"), s["start"].alias("start"), s["stop"].alias("stop"), F.substring(text, s["start"] + 1, s["stop"] - s["start"]).alias("text")))
+    empty = F.expr("cast(array() as array<struct<kind:string,start:int,stop:int,text:string>>)")
+    step = lambda acc, s: F.when(s["start"] >= acc["at"], F.struct(s["stop"].alias("at"), F.concat(acc["out"], F.array(s)).alias("out"))).otherwise(acc)
+    return F.aggregate(whole, F.struct(F.lit(0).alias("at"), empty.alias("out")), step, lambda acc: acc["out"])
 
 
 def proposals(text: Column, kind: Kind) -> Column:
@@ -86,7 +112,7 @@ def proposals(text: Column, kind: Kind) -> Column:
     walk = lambda acc, z: F.struct((acc["at"] + F.length(z["p"]) + F.length(z["m"])).alias("at"), F.concat(acc["out"], F.array(item(acc["at"] + F.length(z["p"]), z["m"]))).alias("out"))
     zipped = F.filter(F.arrays_zip(pieces.alias("p"), found.alias("m")), lambda z: z["m"].isNotNull())
     spans = F.aggregate(zipped, F.struct(F.lit(0).alias("at"), empty.alias("out")), walk, lambda acc: acc["out"])
-    spans = F.filter(spans, lambda s: confirmed(kind.name, s["text"]))
+    spans = accounts(text, spans) if kind is ACCOUNT else F.filter(spans, lambda s: confirmed(kind.name, s["text"]))
     likely = F.contains(text, F.lit(kind.needs)) if kind.needs else text.rlike(kind.pattern)
     return F.when(likely, spans).otherwise(empty)
 

@@ -62,6 +62,20 @@ def test_secrets_and_ledger(spark, docs, texts, tmp_path):
     assert sorted(map(str, first)) == sorted(map(str, again)) and ledger.findings("r1").count() == known
 
 
+def test_account_numbers_in_running_text(spark):
+    de, gb, no = "DE89 3704 0044 0532 0130 00", "GB82 WEST 1234 5698 7654 32", "NO9386011117947"
+    packed = gb.replace(" ", "")
+    rows = [
+        (f"{de} BIC COBADEFFXXX", [de]), (f"é {gb} Please", [gb]), (f"{packed} EUR 50", [packed]), (f"{packed} 2024-01-01", [packed]), (f"IBAN {no}", [no]), (f"{no} A1.", [no]),
+        (f"{de} {packed} {no}", [de, packed, no]), (f"AB12 {de}", [de]), (de, [de]), (f"{de}x", []), (f"x{packed}", []), (packed + "A" * 40, []), ("DE88 3704 0044 0532 0130 00 BIC", []), (None, []),
+    ]
+    df = spark.createDataFrame([(i, t) for i, (t, _) in enumerate(rows)], "doc_id long, text string")
+    for r in pii.find_pii(df).collect():
+        text, want = rows[r.doc_id]
+        got = [s for s in r.found if s.kind == "iban"]
+        assert [s.text for s in got] == want == [text[s.start : s.stop] for s in got], text
+
+
 @pytest.mark.parametrize("limit", [1_000_000, 0])
 def test_secrets_of_ids_with_two_versions(spark, tmp_path, limit):
     one, two, three = "password = abcdefgh1", "x " + "0" * 40, "AKIA" + "B" * 16
