@@ -1,11 +1,14 @@
 """Shared parts of the corpus operators: tables in the shared folder, hashing
-of Arrow buffers, Bloom filters of a fixed size and connected components."""
+of Arrow buffers, Bloom filters of a checked size and connected components."""
 
 from __future__ import annotations
 
+import atexit
+import shutil
 import tempfile
 import uuid
 from collections.abc import Iterator
+from itertools import count
 
 import numpy as np
 import pyarrow as pa
@@ -13,18 +16,22 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 U = np.uint64
-#: Odd multiplier of the rolling polynomial (modulo 2^64) and its inverse.
+#: Odd multiplier that tells the two halves of a string apart.
 BASE = 0x9E3779B97F4A7C15
-BASE_INV = pow(BASE, -1, 1 << 64)
 
 
 def workspace(spark: SparkSession) -> str:
-    """A new folder below ``spark.checkpoint.dir``; only where that is unset
-    (tests, one machine) a temporary folder takes its place."""
+    """A new folder below ``spark.checkpoint.dir``. Where that is unset, one of
+    our own, but only on a single machine (``local[..]``, as in tests), where it
+    goes when Python ends: executors of a cluster do not share such a folder."""
     root = spark.conf.get("spark.checkpoint.dir", None)
     if not root:
-        root = "file://" + tempfile.mkdtemp(prefix="corpus-")
-        spark.conf.set("spark.checkpoint.dir", root)
+        master = spark.sparkContext.master
+        if master != "local" and not master.startswith("local["):
+            raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
+        folder = tempfile.mkdtemp(prefix="corpus-")
+        atexit.register(shutil.rmtree, folder, ignore_errors=True)
+        root = f"file://{folder}"
     return f"{root.rstrip('/')}/corpus-{uuid.uuid4().hex}"
 
 
@@ -47,39 +54,40 @@ def discard(spark: SparkSession, folder: str, *names: str) -> None:
 def mix(x: np.ndarray) -> np.ndarray:
     """Finaliser that spreads every input bit over all 64 output bits."""
     with np.errstate(over="ignore"):
-        x = (x ^ (x >> U(30))) * U(0xBF58476D1CE4E5B9)
-        x = (x ^ (x >> U(27))) * U(0x94D049BB133111EB)
-        return x ^ (x >> U(31))
-
-
-_powers: dict[int, np.ndarray] = {}
-
-
-def powers(base: int, n: int) -> np.ndarray:
-    """base^0 .. base^(n-1) modulo 2^64, kept and grown by doubling."""
-    have = _powers.get(base)
-    if have is None or len(have) < n:
-        have = np.ones(1, U) if have is None else have
-        with np.errstate(over="ignore"):
-            while len(have) < n:
-                have = np.concatenate([have, have * U(pow(base, len(have), 1 << 64))])
-        _powers[base] = have
-    return have[:n]
+        x = x ^ (x >> U(30))
+        x *= U(0xBF58476D1CE4E5B9)
+        x ^= x >> U(27)
+        x *= U(0x94D049BB133111EB)
+        x ^= x >> U(31)
+        return x
 
 
-def prefix_sums(data: np.ndarray) -> np.ndarray:
-    """P with P[i] = sum of (data[j] + 1) * BASE^j over j < i."""
-    out = np.zeros(len(data) + 1, U)
+def span_hash(data: np.ndarray, start: np.ndarray, stop: np.ndarray, seed: int = 0x51) -> np.ndarray:
+    """Hash of each byte string data[start:stop], none of them empty. Each byte
+    is mixed with its place in the string before the sum, so that strings which
+    repeat themselves are as good as others; different seeds are independent."""
+    size = stop - start
+    ends = np.cumsum(size)
+    place = np.arange(ends[-1] if len(ends) else 0) - np.repeat(ends - size, size)
     with np.errstate(over="ignore"):
-        np.cumsum((data.astype(U) + U(1)) * powers(BASE, len(data)), out=out[1:])
-    return out
-
-
-def span_hash(sums: np.ndarray, start: np.ndarray, stop: np.ndarray) -> np.ndarray:
-    """Hash of each byte string data[start:stop]; equal strings agree."""
+        value = mix((place.astype(U) << U(8)) + data[place + np.repeat(start, size)] + (U(seed) << U(48)))
+        total = np.add.reduceat(value, ends - size) if len(size) else np.zeros(0, U)
+        return mix(total + size.astype(U) * U(BASE))
+
+
+def gram_hashes(data: np.ndarray, gram: int) -> np.ndarray:
+    """Hash of the ``gram`` bytes from each place on; ``gram`` is a power of two
+    from 8 on. Halves are mixed into wholes, so no string cancels out."""
+    out = np.empty(max(len(data) - 7, 0), U)
+    for r in range(min(8, len(out))):
+        part = data[r : r + (len(data) - r) // 8 * 8]
+        out[r::8] = np.frombuffer(part.tobytes(), "<u8")
+    out, width = mix(out + U(0x2545F4914F6CDD1D)), 8
     with np.errstate(over="ignore"):
-        raw = (sums[stop] - sums[start]) * powers(BASE_INV, len(sums))[start]
-        return mix(raw ^ ((stop - start).astype(U) << U(40)))
+        while width < gram:
+            out = mix(out[:-width] * U(BASE) + out[width:]) if len(out) > width else out[:0]
+            width *= 2
+    return out
 
 
 def column_bytes(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
@@ -94,14 +102,15 @@ def column_bytes(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return data[offsets[0] : offsets[-1]], offsets - offsets[0]
 
 
-def slices(batches: Iterator[pa.RecordBatch], text: str, limit: int = 500_000) -> Iterator[tuple[pa.RecordBatch, np.ndarray, np.ndarray]]:
-    """Cut batches into runs of rows of about ``limit`` bytes of text, so that
-    the work space of a task is bounded; a longer row comes alone and whole."""
+def slices(batches: Iterator[pa.RecordBatch], text: str, limit: int = 500_000, rows: int = 1 << 20) -> Iterator[tuple[pa.RecordBatch, np.ndarray, np.ndarray]]:
+    """Cut batches into runs of at most ``rows`` rows and about ``limit`` bytes
+    of text, so that the work space of a task is bounded; a longer row comes
+    alone and whole."""
     for batch in batches:
         at, column = 0, batch.column(batch.schema.get_field_index(text))
         data, offsets = column_bytes(column)
         while at < len(batch):
-            to = max(at + 1, int(np.searchsorted(offsets, offsets[at] + limit, "right")) - 1)
+            to = min(at + rows, max(at + 1, int(np.searchsorted(offsets, offsets[at] + limit, "right")) - 1))
             yield batch.slice(at, to - at), data[offsets[at] : offsets[to]], offsets[at : to + 1] - offsets[at]
             at = to
         del column, data
@@ -137,15 +146,15 @@ def word_shingles(data: np.ndarray, offsets: np.ndarray, width: int) -> tuple[np
     last[:-1] &= ~letters[1:]
     last[inner - 1] = letters[inner - 1]
     start, stop = np.flatnonzero(first), np.flatnonzero(last) + 1
-    words = span_hash(prefix_sums(LOWER[data]), start, stop)
+    words = span_hash(LOWER[data], start, stop)
     row = np.searchsorted(offsets, start, "right") - 1
-    count = np.bincount(row, minlength=rows)
-    begin = np.cumsum(count) - count
-    shingles = np.maximum(count - width + 1, np.minimum(count, 1))
+    held = np.bincount(row, minlength=rows)
+    begin = np.cumsum(held) - held
+    shingles = np.maximum(held - width + 1, np.minimum(held, 1))
     at = ragged(begin, shingles)
     which = np.repeat(np.arange(rows), shingles)
     value = np.full(len(at), 0x51, U)
-    end = (begin + count)[which]
+    end = (begin + held)[which]
     with np.errstate(over="ignore"):
         for k in range(width):
             inside = at + k < end
@@ -158,10 +167,31 @@ def word_shingles(data: np.ndarray, offsets: np.ndarray, width: int) -> tuple[np
     return value, np.concatenate([[0], np.cumsum(np.bincount(which, minlength=rows))]).astype(np.int64)
 
 
-def bloom(df: DataFrame, column: str, bits: int = 23) -> np.ndarray:
-    """Bloom filter of a long column, of fixed size 2^bits / 8 bytes (1 MB) and
-    two probes. Its size does not depend on the data; when it fills up it lets
-    more rows pass, which costs time and loses nothing."""
+#: Most keys of a Bloom filter: at 8 bits or more each, 32 MB to broadcast.
+FILTER_KEYS = 1 << 25
+
+
+class Bloom:
+    """Two probes into a bit table, by the 64-bit hash of a key."""
+
+    def __init__(self, words: np.ndarray):
+        self.words = words
+
+    def holds(self, h: np.ndarray) -> np.ndarray:
+        """Mask of the hashes that may be in it (none that is in it is missed)."""
+        mask = U((len(self.words) << 6) - 1)
+        hit = lambda p: (self.words[p >> U(6)] >> (p & U(63))) & U(1) != 0
+        return hit(h & mask) & hit((h >> U(32)) & mask)
+
+
+def bloom(df: DataFrame, column: str, most: int = FILTER_KEYS) -> Bloom | None:
+    """Filter of a long column of a written table, sized from its count at 8 to
+    16 bits a row, or None beyond ``most`` rows: then callers go without it or
+    join instead. Its rows' hash is ``xxhash64(column)``."""
+    keys = df.count()
+    if keys > most:
+        return None
+    bits = max(16, int(8 * keys).bit_length())
     h = F.xxhash64(F.col(column))
     mask = (1 << bits) - 1
     probes = F.explode(F.array(h.bitwiseAND(F.lit(mask)), F.shiftrightunsigned(h, 32).bitwiseAND(F.lit(mask))))
@@ -172,17 +202,32 @@ def bloom(df: DataFrame, column: str, bits: int = 23) -> np.ndarray:
     out = np.zeros(1 << (bits - 6), U)
     got = words.toArrow()
     out[got["w"].to_numpy()] = got["b"].to_numpy().view(U)
-    return out
+    return Bloom(out)
+
+
+def may_hold(rows: DataFrame, keys: DataFrame, column: str, schema: str) -> DataFrame:
+    """The columns of ``schema`` of the rows whose ``column`` may be among that
+    of ``keys``: a narrow pass that leaves most others out before a join. Beyond
+    the filter's bound all rows; the join is then the only test."""
+    names = [part.split()[0] for part in schema.split(", ")]
+    made = bloom(keys, column)
+    if made is None:
+        return rows.select(*names)
+    shared = rows.sparkSession.sparkContext.broadcast(made)
 
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            yield batch.select(names).filter(pa.array(shared.value.holds(batch.column(len(names)).to_numpy().view(U))))
 
+    return rows.select(*names, F.xxhash64(column).alias("_h")).mapInArrow(run, schema)
 
 
 def components(edges: DataFrame, folder: str, src: str = "a", dst: str = "b") -> DataFrame:
     """(node, component): for every node of an edge its component's least node.
 
     Each round, the larger neighbours of a node move to its least neighbour
-    (large star), then the smaller ones do (small star). The rounds end when
-    only stars are left. Least neighbours are written before they are
+    (large star), then the smaller ones do (small star). The rounds go on until
+    only stars are left, however many that takes. Least neighbours are written before they are
     joined, so that a node with very many edges can be split by the join.
     Null ends and loops are ignored."""
     spark = edges.sparkSession
@@ -190,7 +235,7 @@ def components(edges: DataFrame, folder: str, src: str = "a", dst: str = "b") ->
     now = materialize(now, folder, "cc0")
     if _settled(now):
         return _labels(now)
-    for turn in range(1, 60):
+    for turn in count(1):
         both = now.select("a", "b").unionAll(now.select(F.col("b").alias("a"), F.col("a").alias("b")))
         least = materialize(both.groupBy("a").agg(F.min("b").alias("m")), folder, f"ccm{turn}")
         large = both.join(least.hint("merge"), "a").where("b > a").select(F.col("b").alias("a"), F.least("a", "m").alias("b")).distinct()

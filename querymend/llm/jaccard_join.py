@@ -1,7 +1,10 @@
 """Exact Jaccard join of word n-gram sets by count vectors.
 
-1. Sets. Each text gives the set of its distinct shingles' 64-bit hashes; equal
-   sets are one class, so copies cost one row. A class is joined once.
+1. Sets. Each text gives the set of its distinct shingles' 64-bit hashes (mixed
+   with the place of every byte, so that no text cancels out); sets with equal
+   names are one class, so copies cost one row. A name is 128 bits; in the few
+   classes whose first 64 bits agree and whose others do not, these decide. A
+   class is joined once.
 2. Meeting places. The hash range is cut into m groups. Two sets with J >= t
    differ in at most d = (1-t)/(1+t) * (|A|+|B|) shingles, so in at most d
    groups; with m > d some group is the same in both. A set is sent under the
@@ -15,17 +18,22 @@
    times with two other classes as centres, for the classes outside the
    centre's component.
 4. R-tree. In places that still hold classes of different components, count
-   vectors (shingles by ``GROUPS`` coarse groups) are packed into an R-tree. The
-   overlap of a point with a node is at most the sum of the minima of its
-   counts and the node's upper corner, which prunes whole nodes; pairs that
-   survive and lie in different components are verified. A row names the last
-   few open places of its class before this one, and a pair that met in one of
-   them is left to it. Large places are cut into blocks and joined block by
-   block.
+   vectors (shingles by ``GROUPS`` coarse groups) are packed into an R-tree; a
+   node at any height is its upper corner and its range of sizes. The overlap
+   of two nodes is at most the sum of the minima of their corners, which prunes
+   whole subtrees from the roots down; pairs that survive and lie in different
+   components are verified. A row names the last few open places of its class
+   before this one, and a pair that met in one of them is left to it. Large
+   places are cut into blocks and joined block by block.
 5. Components of all verified links.
 
 Rows with null or empty texts have empty sets and link with nothing. Ids are
-longs; repeated ids are one node. Other columns are left behind.
+longs; the nodes are rows, so an id with several texts gets a row for each. Other
+columns are left behind.
+
+For components it is enough to verify pairs that lie apart. ``jaccard_links``
+leaves out steps 3 and the test for components and verifies every pair of
+classes that the tree lets through: all links, and their number for each row.
 """
 
 from __future__ import annotations
@@ -37,11 +45,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import BASE, U, bloom, components, discard, materialize, mix, slices, word_shingles, workspace
+from .common import BASE, U, components, discard, materialize, may_hold, mix, ragged, slices, word_shingles, workspace
 
 #: Groups of the count vectors; a count is one byte, what is over 255 is kept
 #: apart as the set's size less the sum of its vector.
 GROUPS = 512
+#: Points of a leaf and children of a node.
 LEAF = 16
 #: Earlier open places of a class that a row of a later one names.
 EARLIER = 16
@@ -104,10 +113,11 @@ def counts(values: np.ndarray, bounds: np.ndarray) -> np.ndarray:
     return np.bincount(row * GROUPS + (values & U(GROUPS - 1)).astype(np.int64), minlength=rows * GROUPS).reshape(rows, GROUPS).clip(max=255).astype(np.uint8)
 
 
-def set_ids(values: np.ndarray, bounds: np.ndarray) -> np.ndarray:
-    """A 64-bit name for each set, from all its members."""
+def set_ids(values: np.ndarray, bounds: np.ndarray, seed: int = 0) -> np.ndarray:
+    """A 64-bit name for each set, from all its members; other seeds give
+    independent names."""
     with np.errstate(over="ignore"):
-        sums = np.concatenate([np.zeros(1, U), np.cumsum(mix(values ^ U(BASE)))])
+        sums = np.concatenate([np.zeros(1, U), np.cumsum(mix(values ^ mix(np.array([BASE + seed], U))))])
         total = sums[bounds[1:]] - sums[bounds[:-1]]
         return mix(total + np.diff(bounds).astype(U) * U(0xD6E8FEB86659FD93)).view(np.int64)
 
@@ -118,28 +128,62 @@ def overlap_bound(a: np.ndarray, b: np.ndarray, n_a: np.ndarray, n_b: np.ndarray
     return total(np.minimum(a, b)) + np.minimum(n_a - total(a), n_b - total(b))
 
 
-def rtree_pairs(vectors: np.ndarray, size: np.ndarray, plan: Plan) -> Iterator[tuple[np.ndarray, np.ndarray]]:
-    """Pairs of points whose count vectors allow the similarity. Points are
-    packed by size and by count into leaves; a leaf is its upper corner."""
-    order = np.lexsort((vectors[:, 1], vectors[:, 0], size))
-    v, n = vectors[order], size[order]
-    starts = np.arange(0, len(v), LEAF)
-    corner, spare = np.maximum.reduceat(v, starts), n - v.sum(1, dtype=np.int64)
-    extra = np.maximum.reduceat(spare, starts)
-    low, high = np.minimum.reduceat(n, starts), np.maximum.reduceat(n, starts)
-    for i, s in enumerate(starts):
-        e = min(s + LEAF, len(v))
-        near = np.flatnonzero((low[i:] * plan.num <= high[i] * plan.den) & (high[i:] * plan.den >= low[i] * plan.num)) + i
-        bound = np.minimum(corner[i], corner[near]).sum(1, dtype=np.int64) + np.minimum(extra[i], extra[near])
-        near = near[plan.enough(bound, low[i], low[near])]
-        for j in near:
-            t = min(starts[j] + LEAF, len(v))
-            overlap = np.minimum(v[s:e, None], v[None, starts[j] : t]).sum(2, dtype=np.int64) + np.minimum(spare[s:e, None], spare[None, starts[j] : t])
-            a, b = np.nonzero(plan.enough(overlap, n[s:e, None], n[None, starts[j] : t]))
-            a, b = a + s, b + starts[j]
-            a, b = a[a < b], b[a < b]
-            if len(a):
-                yield order[a], order[b]
+class CountTree:
+    """R-tree of count vectors, packed by size and by count. ``levels`` go from
+    the points up to one root; a node is (upper corner, most that its points
+    have beyond their vectors, least and greatest size)."""
+
+    def __init__(self, vectors: np.ndarray, size: np.ndarray):
+        self.order = np.lexsort((vectors[:, 1], vectors[:, 0], size))
+        v, n = vectors[self.order], size[self.order]
+        level = (v, n - v.sum(1, dtype=np.int64), n, n)
+        self.levels = [level]
+        while len(level[0]) > 1:
+            starts = np.arange(0, len(level[0]), LEAF)
+            level = tuple(f.reduceat(x, starts) for f, x in zip((np.maximum, np.maximum, np.minimum, np.maximum), level, strict=True))
+            self.levels.append(level)
+
+    def children(self, height: int, nodes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """(place in ``nodes``, child) of all children one level down."""
+        first = nodes * LEAF
+        many = np.minimum(first + LEAF, len(self.levels[height - 1][0])) - first
+        return np.repeat(np.arange(len(nodes)), many), ragged(first, many)
+
+    def near(self, height: int, a: np.ndarray, b: np.ndarray, plan: Plan) -> np.ndarray:
+        """Which pairs of nodes of a level may hold a pair that is similar."""
+        corner, extra, low, high = self.levels[height]
+        keep = (low[a] * plan.num <= high[b] * plan.den) & (low[b] * plan.num <= high[a] * plan.den)
+        for at in range(0, len(keep), 4096):
+            part = np.flatnonzero(keep[at : at + 4096]) + at
+            x, y = a[part], b[part]
+            bound = np.minimum(corner[x], corner[y]).sum(1, dtype=np.int64) + np.minimum(extra[x], extra[y])
+            keep[part] = plan.enough(bound, low[x], low[y])
+        return keep
+
+
+def rtree_pairs(vectors: np.ndarray, size: np.ndarray, plan: Plan, most: int = 1 << 16) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """Pairs of points whose count vectors allow the similarity: the tree is
+    joined with itself from the root down, at most about ``most`` pairs of nodes
+    at a time."""
+    tree = CountTree(vectors, size)
+    stack = [(len(tree.levels) - 1, np.zeros(1, np.int64), np.zeros(1, np.int64))]
+    while stack:
+        height, a, b = stack.pop()
+        if not height:
+            yield tree.order[a], tree.order[b]
+            continue
+        if len(a) > most // LEAF**2 and len(a) > 1:
+            half = len(a) // 2
+            stack += [(height, a[half:], b[half:]), (height, a[:half], b[:half])]
+            continue
+        pair, x = tree.children(height, a)
+        which, y = tree.children(height, b[pair])
+        x = x[which]
+        once = x < y if height == 1 else x <= y  # of a node with itself each pair once
+        x, y = x[once], y[once]
+        keep = tree.near(height - 1, x, y, plan)
+        if keep.any():
+            stack.append((height - 1, x[keep], y[keep]))
 
 
 def padded(lists: pa.ChunkedArray) -> np.recarray:
@@ -162,12 +206,12 @@ def met_before(a: np.recarray, b: np.recarray) -> np.ndarray:
     return out
 
 
-def _verified(pairs: DataFrame, reps: DataFrame, docs: DataFrame, plan: Plan, folder: str, name: str) -> DataFrame:
+def _verified(pairs: DataFrame, points: DataFrame, docs: DataFrame, plan: Plan, folder: str, name: str) -> DataFrame:
     """The pairs (a, b) of classes whose sets are similar enough. First by their
     count vectors, then by the sets, read again from one text of each class."""
-    spark = pairs.sparkSession
     for side in ("a", "b"):
-        pairs = pairs.join(reps.select(F.col("cls").alias(side), F.col("doc").alias(f"doc_{side}"), F.col("n").alias(f"n_{side}"), F.col("counts").alias(f"c_{side}")).hint("merge"), side)
+        point = points.select(F.col("cls").alias(side), F.struct("doc", "name").alias(f"at_{side}"), F.col("n").alias(f"n_{side}"), F.col("counts").alias(f"c_{side}"))
+        pairs = pairs.join(point.hint("merge"), side)
 
     def bound(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -176,30 +220,26 @@ def _verified(pairs: DataFrame, reps: DataFrame, docs: DataFrame, plan: Plan, fo
             get = lambda c: np.frombuffer(b"".join(batch.column(batch.schema.get_field_index(c)).to_pylist()), np.uint8).reshape(-1, GROUPS)  # noqa: B023, E731
             n_a, n_b = (batch.column(batch.schema.get_field_index(c)).to_numpy() for c in ("n_a", "n_b"))
             overlap = overlap_bound(get("c_a"), get("c_b"), n_a, n_b)
-            yield batch.select(["a", "b", "doc_a", "doc_b"]).filter(pa.array(plan.enough(overlap, n_a, n_b)))
+            yield batch.select(["a", "b", "at_a", "at_b"]).filter(pa.array(plan.enough(overlap, n_a, n_b)))
 
-    left = materialize(pairs.mapInArrow(bound, "a long, b long, doc_a long, doc_b long"), folder, f"{name}_bound")
-    ids = left.select(F.explode(F.array("doc_a", "doc_b")).alias("doc")).distinct()
-    wanted = spark.sparkContext.broadcast(bloom(ids, "doc"))
-    read = docs.select(F.col("doc"), "text", F.xxhash64("doc").alias("h"))
+    at = "struct<doc:long,name:long>"
+    left = materialize(pairs.mapInArrow(bound, f"a long, b long, at_a {at}, at_b {at}"), folder, f"{name}_bound")
+    ids = materialize(left.select(F.explode(F.array("at_a.doc", "at_b.doc")).alias("doc")).distinct(), folder, f"{name}_docs")
     width = plan.width
 
     def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        words = wanted.value
-        mask = (len(words) << 6) - 1
-        for batch in batches:
-            h = batch.column(2).to_numpy().view(U)
-            hit = lambda p: (words[p >> U(6)] >> (p & U(63))) & U(1) != 0
-            batch = batch.filter(pa.array(hit(h & U(mask)) & hit((h >> U(32)) & U(mask))))
-            for part, data, offsets in slices(iter([batch]), "text"):
-                values, bounds = word_shingles(data, offsets, width)
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array([values[a:b].tobytes() for a, b in zip(bounds[:-1], bounds[1:], strict=True)], pa.binary())], ["doc", "grams"])
-
-    grams = read.mapInArrow(sets, "doc long, grams binary")
+        for part, data, offsets in slices(batches, "text"):
+            values, bounds = word_shingles(data, offsets, width)
+            grams = [values[a:b].tobytes() for a, b in zip(bounds[:-1], bounds[1:], strict=True)]
+            yield pa.RecordBatch.from_arrays([part.column(0), pa.array(set_ids(values, bounds)), pa.array(grams, pa.binary())], ["doc", "name", "grams"])
+
+    # an id may have several texts: the set's name tells which is meant
+    grams = may_hold(docs, ids, "doc", "doc long, text string").mapInArrow(sets, "doc long, name long, grams binary")
     grams = materialize(grams, folder, f"{name}_sets")
-    both = left
+    both = left.select("a", "b", *[F.col(f"at_{side}.{f}").alias(f"{f}_{side}") for side in "ab" for f in ("doc", "name")])
     for side in ("a", "b"):
-        both = both.join(grams.select(F.col("doc").alias(f"doc_{side}"), F.col("grams").alias(f"g_{side}")).hint("merge"), f"doc_{side}")
+        own = grams.select(F.col("doc").alias("own_doc"), F.col("name").alias("own_name"), F.col("grams").alias(f"g_{side}")).hint("merge")
+        both = both.join(own, (F.col(f"name_{side}") == F.col("own_name")) & F.col(f"doc_{side}").eqNullSafe(F.col("own_doc"))).drop("own_doc", "own_name")
 
     def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -213,15 +253,14 @@ def _verified(pairs: DataFrame, reps: DataFrame, docs: DataFrame, plan: Plan, fo
             yield batch.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
 
     out = materialize(both.select("a", "b", "g_a", "g_b").mapInArrow(compare, "a long, b long").distinct(), folder, name)
-    discard(spark, folder, f"{name}_bound", f"{name}_sets")
+    discard(out.sparkSession, folder, f"{name}_bound", f"{name}_sets", f"{name}_docs")
     return out
 
 
-def jaccard_groups(df: DataFrame, plan: Plan | None = None, key: str = "doc_id", text: str = "text", block: int = 512, more_stars: int = 0) -> DataFrame:
-    """(key, n_shingles, component_id, class_size) for each row of ``df``."""
-    plan = plan or Plan()
-    spark, folder = df.sparkSession, workspace(df.sparkSession)
-    docs = df.select(F.col(key).cast("long").alias("doc"), F.coalesce(F.col(text), F.lit("")).alias("text"))
+def _classes(docs: DataFrame, plan: Plan, folder: str) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """(sets, points, places): rows (doc, name, cls, n, counts, keys) of all
+    texts, one row (cls, doc, name, n, copies, counts) of each class, and the
+    keys that several classes share, with the least and the greatest of them."""
 
     def describe(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch, data, offsets in slices(batches, "text"):
@@ -229,56 +268,43 @@ def jaccard_groups(df: DataFrame, plan: Plan | None = None, key: str = "doc_id",
             keys, ends = plan.keys(values, bounds)
             vectors = counts(values, bounds)
             yield pa.RecordBatch.from_arrays([
-                batch.column(0), pa.array(set_ids(values, bounds)), pa.array(np.diff(bounds)),
+                batch.column(0), pa.array(set_ids(values, bounds)), pa.array(set_ids(values, bounds, 1)), pa.array(np.diff(bounds)),
                 pa.array([v.tobytes() for v in vectors], pa.binary()),
                 pa.ListArray.from_arrays(pa.array(ends.astype(np.int32)), pa.array(keys.view(np.int64))),
-            ], ["doc", "cls", "n", "counts", "keys"])
+            ], ["doc", "name", "other", "n", "counts", "keys"])
+
+    sets = materialize(docs.mapInArrow(describe, "doc long, name long, other long, n long, counts binary, keys array<long>"), folder, "sets")
+    named = materialize(sets.where("n > 0").groupBy("name", "other").agg(F.min("doc").alias("doc"), F.max("n").alias("n"), F.count("*").alias("copies")), folder, "named")
+    # sets of one name that the other 64 bits tell apart: next to none
+    clash = materialize(named.groupBy("name").agg(F.count("*").alias("k")).where("k > 1").select("name", F.lit(True).alias("clash")), folder, "clash")
+    if clash.count():
+        own = F.when(F.col("clash"), F.xxhash64("other", "name")).otherwise(F.col("name"))
+        sets, named = (df.join(clash, "name", "left").withColumn("cls", own).drop("clash") for df in (sets, named))
+    else:
+        sets, named = (df.withColumn("cls", F.col("name")) for df in (sets, named))
+    vectors = sets.select(F.col("cls").alias("own_cls"), F.col("doc").alias("own_doc"), "counts").hint("merge")
+    points = named.join(vectors, (F.col("cls") == F.col("own_cls")) & F.col("doc").eqNullSafe(F.col("own_doc"))).dropDuplicates(["cls"])
+    points = materialize(points.select("cls", "doc", "name", "n", "copies", "counts"), folder, "points")
+    meet = sets.select("cls", F.explode("keys").alias("key"))
+    places = meet.groupBy("key").agg(F.min("cls").alias("hub"), F.max("cls").alias("rim")).where("hub <> rim")
+    return sets, points, materialize(places, folder, "places")
 
-    sets = materialize(docs.mapInArrow(describe, "doc long, cls long, n long, counts binary, keys array<long>"), folder, "sets")
-    reps = sets.where("n > 0").groupBy("cls").agg(F.min("doc").alias("doc"), F.max("n").alias("n"), F.count("*").alias("copies"))
-    reps = materialize(reps, folder, "reps")
-    points = materialize(reps.join(sets.select("cls", "doc", "counts").hint("merge"), ["cls", "doc"]).dropDuplicates(["cls"]), folder, "points")
+
+def _members(sets: DataFrame, places: DataFrame, folder: str) -> DataFrame:
+    """(key, cls, hub, rim) of the classes of each place."""
     meet = sets.select("cls", F.explode("keys").alias("key"))
-    places = materialize(meet.groupBy("key").agg(F.min("cls").alias("hub"), F.max("cls").alias("rim")).where("hub <> rim"), folder, "places")
-    open_keys = spark.sparkContext.broadcast(bloom(places, "key", 25))
+    live = may_hold(meet, places, "key", "cls long, key long").distinct()
+    return materialize(live.join(places.hint("merge"), "key"), folder, "members")
 
-    def still_open(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        words = open_keys.value
-        mask = U((len(words) << 6) - 1)
-        for batch in batches:
-            h = batch.column(2).to_numpy().view(U)
-            hit = lambda p: (words[p >> U(6)] >> (p & U(63))) & U(1) != 0
-            yield batch.select(["cls", "key"]).filter(pa.array(hit(h & mask) & hit((h >> U(32)) & mask)))
 
-    live = meet.select("cls", "key", F.xxhash64("key").alias("h")).mapInArrow(still_open, "cls long, key long").distinct()
-    members = materialize(live.join(places.hint("merge"), "key"), folder, "members")
-    centres = members.select("cls", F.explode(F.array("hub", "rim")).alias("hub")).where("cls <> hub")
-    stars = materialize(centres.select(F.least("cls", "hub").alias("a"), F.greatest("cls", "hub").alias("b")).distinct(), folder, "stars")
-    links, tested = _verified(stars, points, docs, plan, folder, "links"), stars
-    comp = materialize(components(links, folder), folder, "comp0")
-    turn = 0
-    while True:
-        # members under their components, and the places that still hold several
-        own = materialize(members.select("cls", "key").join(comp.withColumnRenamed("node", "cls").hint("merge"), "cls", "left").withColumn("component", F.coalesce("component", "cls")), folder, f"own{turn}")
-        picks = [F.min(F.struct(F.xxhash64("cls", F.lit(2 * turn + k)), "cls", "component")).alias(f"pick{k}") for k in (0, 1)]
-        mixed = own.groupBy("key").agg(F.min("component").alias("x"), F.max("component").alias("y"), F.count("*").alias("size"), *picks).where("x <> y and size > 2")
-        mixed = materialize(mixed.select("key", F.ceil(F.col("size") / block).cast("int").alias("blocks"), F.array("pick0", "pick1").alias("hubs")), folder, f"mixed{turn}")
-        if turn == more_stars:
-            break
-        turn += 1
-        more = own.join(mixed.hint("merge"), "key").select("cls", "component", F.explode("hubs").alias("hub")).where("component <> hub.component").select(F.least("cls", "hub.cls").alias("a"), F.greatest("cls", "hub.cls").alias("b")).distinct()
-        more = materialize(more.join(tested.hint("merge"), ["a", "b"], "left_anti"), folder, f"stars{turn}")
-        if not more.limit(1).count():
-            break
-        tested = tested.unionAll(more)
-        links = links.unionAll(_verified(more, points, docs, plan, folder, f"links{turn}"))
-        comp = materialize(components(links, folder), folder, f"comp{turn}")
+def _searched(own: DataFrame, mixed: DataFrame, points: DataFrame, plan: Plan, block: int) -> DataFrame:
+    """Pairs (a, b) of classes of different components that an R-tree of their
+    place lets through. ``own`` is (cls, key, component), ``mixed`` (key, blocks)."""
     rest = own.join(mixed.hint("merge"), "key")
     before = Window.partitionBy("cls").orderBy("key").rowsBetween(-EARLIER, -1)
     rest = rest.withColumn("earlier", F.collect_list("key").over(before)).join(points.select("cls", "n", "counts").hint("merge"), "cls")
     i, j = F.pmod(F.xxhash64("cls"), F.col("blocks")).cast("int"), F.col("j")
     tiles = rest.withColumn("j", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).select("key", F.least(i, j).alias("lo"), F.greatest(i, j).alias("hi"), "cls", "component", "n", "counts", "earlier")
-
     rows = mixed.agg(F.sum(F.col("blocks") * F.col("blocks") * block)).first()[0] or 0
     buckets = max(1, int(rows) // 20_000)
 
@@ -289,28 +315,89 @@ def jaccard_groups(df: DataFrame, plan: Plan | None = None, key: str = "doc_id",
         order = np.lexsort((hi, lo, key))
         cut = np.flatnonzero((np.diff(key[order]) != 0) | (np.diff(lo[order]) != 0) | (np.diff(hi[order]) != 0)) + 1
         out = [np.zeros((2, 0), np.int64)]
-        for own in np.split(order, cut):
-            if len(own) > 1 and (comp_[own] != comp_[own[0]]).any():
-                for a, b in rtree_pairs(vectors[own], n[own], plan):
-                    apart = comp_[own[a]] != comp_[own[b]]
-                    a, b = own[a[apart]], own[b[apart]]
+        for place in np.split(order, cut):
+            if len(place) > 1 and (comp_[place] != comp_[place[0]]).any():
+                for a, b in rtree_pairs(vectors[place], n[place], plan):
+                    apart = comp_[place[a]] != comp_[place[b]]
+                    a, b = place[a[apart]], place[b[apart]]
                     new = ~met_before(seen[a], seen[b])
                     out.append(np.stack([cls[a[new]], cls[b[new]]]))
         pairs = np.unique(np.sort(np.concatenate(out, 1), axis=0), axis=1)
         return pa.table({"a": pairs[0], "b": pairs[1]})
 
     bucket = F.pmod(F.xxhash64("key", "lo", "hi"), F.lit(buckets)).alias("bucket")
-    found = tiles.groupBy(bucket).applyInArrow(search, "a long, b long").distinct()
+    return tiles.groupBy(bucket).applyInArrow(search, "a long, b long").distinct()
+
+
+def _docs(df: DataFrame, key: str, text: str) -> DataFrame:
+    return df.select(F.col(key).cast("long").alias("doc"), F.coalesce(F.col(text), F.lit("")).alias("text"))
+
+
+def _least(rows: DataFrame, folder: str) -> DataFrame:
+    """``rows`` with the least id of each row's component."""
+    least = materialize(rows.where("component is not null").groupBy("component").agg(F.min("doc").alias("least")), folder, "least")
+    return rows.join(least.hint("merge"), "component", "left")
+
+
+def jaccard_groups(df: DataFrame, plan: Plan | None = None, key: str = "doc_id", text: str = "text", block: int = 512, more_stars: int = 0) -> DataFrame:
+    """(key, n_shingles, component_id) for each row of ``df``."""
+    plan = plan or Plan()
+    folder, docs = workspace(df.sparkSession), _docs(df, key, text)
+    sets, points, places = _classes(docs, plan, folder)
+    members = _members(sets, places, folder)
+    centres = members.select("cls", F.explode(F.array("hub", "rim")).alias("hub")).where("cls <> hub")
+    stars = materialize(centres.select(F.least("cls", "hub").alias("a"), F.greatest("cls", "hub").alias("b")).distinct(), folder, "stars")
+    links, tested = _verified(stars, points, docs, plan, folder, "links"), stars
+    comp = materialize(components(links, folder), folder, "comp0")
+    turn = 0
+    while True:
+        # members under their components, and the places that still hold several
+        own = materialize(members.select("cls", "key").join(comp.withColumnRenamed("node", "cls").hint("merge"), "cls", "left").withColumn("component", F.coalesce("component", "cls")), folder, f"own{turn}")
+        picks = [F.min(F.struct(F.xxhash64("cls", F.lit(2 * turn + k)), "cls", "component")).alias(f"pick{k}") for k in (0, 1)]
+        mixed = own.groupBy("key").agg(F.min("component").alias("x"), F.max("component").alias("y"), F.count("*").alias("size"), *picks).where("x <> y and size > 2")
+        mixed = materialize(mixed.select("key", F.ceil(F.col("size") / block).cast("int").alias("blocks"), F.array("pick0", "pick1").alias("hubs")), folder, f"mixed{turn}")
+        if turn == more_stars:
+            break
+        turn += 1
+        more = own.join(mixed.hint("merge"), "key").select("cls", "component", F.explode("hubs").alias("hub")).where("component <> hub.component").select(F.least("cls", "hub.cls").alias("a"), F.greatest("cls", "hub.cls").alias("b")).distinct()
+        more = materialize(more.join(tested.hint("merge"), ["a", "b"], "left_anti"), folder, f"stars{turn}")
+        if not more.limit(1).count():
+            break
+        tested = tested.unionAll(more)
+        links = links.unionAll(_verified(more, points, docs, plan, folder, f"links{turn}"))
+        comp = materialize(components(links, folder), folder, f"comp{turn}")
+    found = _searched(own, mixed.drop("hubs"), points, plan, block)
     found = materialize(found.join(tested.hint("merge"), ["a", "b"], "left_anti"), folder, "found")
-    discard(spark, folder, *[f"own{k}" for k in range(turn + 1)], "members", "places")
+    discard(df.sparkSession, folder, *[f"own{k}" for k in range(turn + 1)], "members", "places")
     if found.limit(1).count():
         more = _verified(found, points, docs, plan, folder, "more")
         comp = materialize(components(links.unionAll(more), folder), folder, "comp")
     rows = sets.select("doc", "cls", "n").join(comp.withColumnRenamed("node", "cls").hint("merge"), "cls", "left")
-    rows = materialize(rows.select("doc", "cls", "n", F.when(F.col("n") > 0, F.coalesce("component", "cls")).alias("component")), folder, "rows")
-    least = materialize(rows.where("component is not null").groupBy("component").agg(F.min("doc").alias("least")), folder, "least")
-    out = rows.join(least.hint("merge"), "component", "left")
-    return out.select(F.col("doc").alias(key), F.col("n").alias("n_shingles"), F.coalesce("least", "doc").alias("component_id"))
+    rows = materialize(rows.select("doc", "n", F.when(F.col("n") > 0, F.coalesce("component", "cls")).alias("component")), folder, "rows")
+    return _least(rows, folder).select(F.col("doc").alias(key), F.col("n").alias("n_shingles"), F.coalesce("least", "doc").alias("component_id"))
+
+
+def jaccard_links(df: DataFrame, plan: Plan | None = None, key: str = "doc_id", text: str = "text", block: int = 512) -> tuple[DataFrame, DataFrame]:
+    """All links. The first table is (key, cls, n_shingles, n_links,
+    component_id) of each row: its class (null without words), and with how
+    many other rows it is linked, copies counted one by one. The second is
+    (a, b), every verified pair of different classes once."""
+    plan = plan or Plan()
+    folder, docs = workspace(df.sparkSession), _docs(df, key, text)
+    sets, points, places = _classes(docs, plan, folder)
+    own = _members(sets, places, folder).select("cls", "key", F.col("cls").alias("component"))
+    mixed = materialize(own.groupBy("key").agg(F.ceil(F.count("*") / block).cast("int").alias("blocks")), folder, "mixed")
+    found = materialize(_searched(own, mixed, points, plan, block), folder, "found")
+    pairs = _verified(found, points, docs, plan, folder, "links")
+    comp = materialize(components(pairs, folder), folder, "comp")
+    ends = pairs.select("a", "b").unionAll(pairs.select(F.col("b").alias("a"), F.col("a").alias("b")))
+    degree = ends.join(points.select(F.col("cls").alias("b"), "copies").hint("merge"), "b").groupBy(F.col("a").alias("cls")).agg(F.sum("copies").alias("near"))
+    degree = points.select("cls", "copies").join(degree.hint("merge"), "cls", "left").select("cls", (F.col("copies") - 1 + F.coalesce("near", F.lit(0))).alias("n_links"))
+    rows = sets.select("doc", "n", F.when(F.col("n") > 0, F.col("cls")).alias("cls"))
+    rows = rows.join(degree.hint("merge"), "cls", "left").join(comp.withColumnRenamed("node", "cls").hint("merge"), "cls", "left")
+    rows = materialize(rows.withColumn("component", F.coalesce("component", "cls")), folder, "rows")
+    out = _least(rows, folder).select(F.col("doc").alias(key), "cls", F.col("n").alias("n_shingles"), F.coalesce("n_links", F.lit(0)).cast("long").alias("n_links"), F.coalesce("least", "doc").alias("component_id"))
+    return out, pairs
 
 
 def keep_first(df: DataFrame, plan: Plan, key: str = "doc_id") -> DataFrame:

@@ -3,7 +3,7 @@
 Linear support vector machines over hashed byte trigrams of the whole text
 (letters in lower case): one against the rest for the family, one against one
 for each pair of languages of a family. The fit reads a bounded, documented
-sample (``fit_rows`` rows by the hash of the id); every row is predicted.
+sample (``fit_rows`` ids by their hash); every row is predicted.
 A null text, or one without a letter, is ``und`` with score 0. With one
 learned language, that one is predicted; with none, ``und``.
 """
@@ -21,6 +21,8 @@ from pyspark.sql import functions as F
 from .common import LOWER, slices
 
 DIMS = 2048
+#: Most rows that are encoded at a time: 512 rows of DIMS numbers are 8 MB.
+ROWS = 512
 #: Families of common languages; another language is a family of its own.
 FAMILIES = {
     "germanic": ["en", "de", "nl", "sv", "da", "no", "is"],
@@ -98,17 +100,20 @@ class LanguageTree:
 
 
 def fit_languages(docs: DataFrame, fit_rows: int = 3000) -> LanguageTree:
-    """Fit on at most ``fit_rows`` rows with text and language whose crc32 of
-    the id is no multiple of 5, least hash of the id first."""
+    """Fit on at most ``fit_rows`` ids with text and language whose crc32 is no
+    multiple of 5, least hash of the id first. Of an id with several rows one is
+    read (least hash of its text and language)."""
     train = docs.where("text is not null and lang is not null and doc_id is not null").where(F.crc32(F.col("doc_id").cast("string")) % 5 != 0)
     ids = F.broadcast(train.select("doc_id").distinct().orderBy(F.xxhash64("doc_id", F.lit(5)), "doc_id").limit(fit_rows))
 
     def bag(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch, data, offsets in slices(batches, "text"):
+        for batch, data, offsets in slices(batches, "text", rows=ROWS):
             x = encode(data, offsets).astype(np.float16)
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([r.tobytes() for r in x], pa.binary())], ["lang", "x"])
 
-    got = train.select("doc_id", "lang", "text").join(ids, "doc_id", "left_semi").select("lang", "text").mapInArrow(bag, "lang string, x binary").toArrow()
+    rows = train.select("doc_id", "lang", "text").join(ids, "doc_id", "left_semi")
+    rows = rows.groupBy("doc_id").agg(F.min_by(F.struct("lang", "text"), F.xxhash64("text", "lang")).alias("r")).select("r.lang", "r.text")
+    got = rows.mapInArrow(bag, "lang string, x binary").toArrow()
     order = sorted(zip(got["x"].to_pylist(), got["lang"].to_pylist(), strict=True))
     x = np.frombuffer(b"".join(b for b, _ in order), np.float16).reshape(-1, DIMS).astype(np.float32)
     return LanguageTree(x, [lang for _, lang in order])
@@ -120,7 +125,7 @@ def predict_languages(docs: DataFrame, model: LanguageTree, key: str = "doc_id",
     kind = docs.schema[key].dataType.simpleString()
 
     def judge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch, data, offsets in slices(batches, "text"):
+        for batch, data, offsets in slices(batches, "text", rows=ROWS):
             best, score = model.predict(encode(data, offsets))
             bad = ~batch.column(1).to_numpy(zero_copy_only=False).astype(bool) | (best < 0)
             yield pa.RecordBatch.from_arrays([batch.column(0), names.take(pa.array(np.where(bad, len(names) - 1, best))), pa.array(np.where(bad, 0.0, score).astype(np.float64))], ["key", "lang_pred", "score"])

@@ -12,10 +12,13 @@ packs these counts: bins in the same state are one row with a multiplicity, a
 placement puts a run of pieces of one length on a run of bins. The runs are
 broadcast (bounded by lengths and states, not by documents), and every piece
 finds its bin from its rank among the pieces of its length. Ranks come from
-counts by (length, salt), so no length gathers in one task.
+counts by (length, salt); a length has a salt for each ``group`` of its pieces,
+so neither empty texts nor full pieces gather in a task, and the driver gets one
+count for so many pieces.
 
-Tokens are counted without a table of texts: the distinct words of a batch are
-encoded once and put together by their hashes.
+The distinct words of a batch are encoded once and kept by their bytes. Added
+tokens of the vocabulary file that a text spells out are their ids, as the
+tokenizer has it; the text on their two sides is encoded apart.
 """
 
 from __future__ import annotations
@@ -29,26 +32,47 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import materialize, prefix_sums, ragged, slices, span_hash, workspace
+from .common import discard, materialize, ragged, slices, span_hash, workspace
 
 PIECES = "piece int, start long, length long, ids_crc32 long"
 
 
+#: ASCII white space of the splitting pattern, and the characters beyond ASCII.
+BLANK = np.zeros(256, bool)
+BLANK[[9, 10, 11, 12, 13, 28, 29, 30, 31, 32]] = True
+WIDE_BLANKS = [chr(c).encode() for c in (0x85, 0xA0, 0x1680, *range(0x2000, 0x200B), 0x2028, 0x2029, 0x202F, 0x205F, 0x3000)]
+
+
+def blanks(data: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Masks of the bytes at which white space ends, and at which it starts."""
+    ends, starts = BLANK[data].copy(), BLANK[data].copy()
+    for lead in {w[0] for w in WIDE_BLANKS}:
+        at = np.flatnonzero(data == lead)
+        for w in (w for w in WIDE_BLANKS if w[0] == lead):
+            spot = at[at + len(w) <= len(data)]
+            for k in range(1, len(w)):
+                spot = spot[data[spot + k] == w[k]]
+            starts[spot] = True
+            ends[spot + len(w) - 1] = True
+    return ends, starts
+
+
 class WordTokenizer:
     """Byte-level BPE of a public vocabulary file, with a store of known words.
 
     A space between two characters that are no white space starts a new word of
     the vocabulary's splitting pattern, so text is cut there first."""
 
-    def __init__(self, path: str, pattern: str, keep: int = 3_000_000):
+    def __init__(self, path: str, pattern: str, keep: int = 200_000):
         import tiktoken
 
         with open(path, encoding="utf-8") as file:
-            vocab = json.load(file)["model"]["vocab"]
+            spec = json.load(file)
+        self.added = {t["content"].encode(): t["id"] for t in spec.get("added_tokens", [])}
         shown = [*range(33, 127), *range(161, 173), *range(174, 256)]
         byte = {chr(b): b for b in shown} | {chr(256 + i): b for i, b in enumerate(b for b in range(256) if b not in set(shown))}
-        ranks = {bytes(byte[c] for c in word): i for word, i in vocab.items() if all(c in byte for c in word)}
-        ranks = {w: i for w, i in ranks.items() if w != b"<|endoftext|>"}
+        ranks = {bytes(byte[c] for c in word): i for word, i in spec["model"]["vocab"].items() if all(c in byte for c in word)}
+        ranks = {w: i for w, i in ranks.items() if w not in self.added}
         self.bpe = tiktoken.Encoding("words", pat_str=pattern, mergeable_ranks=ranks, special_tokens={})
         self.width = np.zeros(max(ranks.values()) + 1, np.int64)
         for w, i in ranks.items():
@@ -57,67 +81,82 @@ class WordTokenizer:
         self._forget()
 
     def _forget(self) -> None:
-        self.hashes, self.at = np.zeros(0, np.uint64), np.zeros(0, np.int64)
-        self.size, self.ids = np.zeros(0, np.int64), np.zeros(0, np.uint16)
+        self.spots: dict[bytes, int] = {}
+        self.at, self.size, self.ids = np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, np.uint32)
+
+    def _added(self, data: np.ndarray, offsets: np.ndarray) -> list[tuple[int, int]]:
+        """Places of added tokens within rows, leftmost first, the longest of
+        those that start together."""
+        found, raw = [], data.tobytes()
+        for token in self.added:
+            at = -1
+            while (at := raw.find(token, at + 1)) >= 0:
+                if offsets[np.searchsorted(offsets, at, "right")] >= at + len(token):
+                    found.append((at, -len(token)))
+        out, end = [], 0
+        for at, size in sorted(found):
+            if at >= end:
+                out.append((at, end := at - size))
+        return out
 
     def encode(self, data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Ids of all rows, and the bounds of each row."""
         rows = len(offsets) - 1
         if not len(data):
-            return np.zeros(0, np.uint16), np.zeros(rows + 1, np.int64)
-        space = np.isin(data, np.array([9, 10, 11, 12, 13, 28, 29, 30, 31, 32], np.uint8))
-        cut = np.zeros(len(data), bool)
-        cut[1:-1] = (data[1:-1] == 32) & ~space[:-2] & ~space[2:]
-        head = offsets[:-1][np.diff(offsets) > 0]
-        cut[offsets[1:-1][offsets[1:-1] < len(data)]] = False
-        ends = offsets[1:][np.diff(offsets) > 0] - 1
-        cut[ends] = False
-        cut[head] = True
-        start = np.flatnonzero(cut)
+            return np.zeros(0, np.uint32), np.zeros(rows + 1, np.int64)
+        ends, starts = blanks(data)
+        cut = np.zeros(len(data) + 1, bool)
+        cut[1:-2] = (data[1:-1] == 32) & ~ends[:-2] & ~starts[2:]
+        cut[offsets[1:-1] - 1] = False  # a space at the end of a row
+        cut[offsets] = True
+        for a, b in self._added(data, offsets):
+            cut[a:b] = False
+            cut[[a, b]] = True
+        start = np.flatnonzero(cut[:-1])
         stop = np.append(start[1:], len(data))
-        word = span_hash(prefix_sums(data), start, stop)
-        names, first, which = np.unique(word, return_index=True, return_inverse=True)
-        spot = np.searchsorted(self.hashes, names)
-        known = (spot < len(self.hashes)) & (self.hashes[np.minimum(spot, max(len(self.hashes) - 1, 0))] == names) if len(self.hashes) else np.zeros(len(names), bool)
-        if not known.all():
-            self._learn(names[~known], data, start[first[~known]], stop[first[~known]])
-            spot = np.searchsorted(self.hashes, names)
-        size = self.size[spot][which]
-        ids = self.ids[ragged(self.at[spot][which], size)]
+        first, which = self._distinct(data, start, stop)
+        texts = [data[a:b].tobytes() for a, b in zip(start[first].tolist(), stop[first].tolist(), strict=True)]
+        self._learn([t for t in texts if t not in self.spots])
+        spot = np.fromiter((self.spots[t] for t in texts), np.int64, len(texts))[which]
+        size = self.size[spot]
         total = np.concatenate([[0], np.cumsum(size)])
-        return ids, total[np.searchsorted(start, offsets, "left")]
-
-    def _learn(self, names: np.ndarray, data: np.ndarray, start: np.ndarray, stop: np.ndarray) -> None:
-        spaced = (data[start] == 32) & (stop - start > 1)
-        spaced &= ~np.isin(data[np.minimum(start + 1, len(data) - 1)], np.array([9, 10, 11, 12, 13, 28, 29, 30, 31, 32], np.uint8))
-        size, parts = np.zeros(len(names), np.int64), []
-        together = np.flatnonzero(spaced)
-        if len(together):
-            text = data[ragged(start[together], (stop - start)[together])].tobytes().decode()
-            ids = np.array(self.bpe.encode_ordinary(text), np.int64)
-            end = np.cumsum(self.width[ids])
-            bound = np.searchsorted(end, np.cumsum((stop - start)[together]), "left") + 1
-            size[together] = np.diff(bound, prepend=0)
-            parts.append(ids)
-        alone = np.flatnonzero(~spaced)
-        for i in alone:
-            ids = self.bpe.encode_ordinary(data[start[i] : stop[i]].tobytes().decode())
-            size[i] = len(ids)
-            parts.append(np.array(ids, np.int64))
-        order = np.concatenate([together, alone])
-        at = np.zeros(len(names), np.int64)
-        at[order] = np.cumsum(size[order]) - size[order] + len(self.ids)
-        if len(self.hashes) > self.keep:
-            # start the store anew; words of this batch that were known are learned again by the caller's next look
-            self.keep = max(self.keep, 2 * len(names))
-        hashes = np.concatenate([self.hashes, names])
-        rank = np.argsort(hashes, kind="stable")
-        self.hashes, self.at, self.size = hashes[rank], np.concatenate([self.at, at])[rank], np.concatenate([self.size, size])[rank]
-        self.ids = np.concatenate([self.ids, *[p.astype(np.uint16) for p in parts]])
+        return self.ids[ragged(self.at[spot], size)], total[np.searchsorted(start, offsets, "left")]
+
+    @staticmethod
+    def _distinct(data: np.ndarray, start: np.ndarray, stop: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """First place of each distinct word, and the number of each word's. The
+        hash only sorts: every word is compared with the first of its hash."""
+        _, first, which = np.unique(span_hash(data, start, stop), return_index=True, return_inverse=True)
+        size, like = stop - start, first[which]
+        same = size == size[like]
+        if same.all() and np.array_equal(data, data[ragged(start[like], size)]):
+            return first, which
+        numbers: dict[bytes, int] = {}
+        which = np.array([numbers.setdefault(data[a:b].tobytes(), len(numbers)) for a, b in zip(start, stop, strict=True)])
+        return np.unique(which, return_index=True)[1], which
+
+    def _learn(self, words: list[bytes]) -> None:
+        if not words:
+            return
+        # words of one space and a character that is none are encoded together
+        spaced = [w for w in words if len(w) > 1 and w[0] == 32 and not BLANK[w[1]] and not w[1:].startswith(tuple(WIDE_BLANKS)) and w not in self.added]
+        alone = sorted(set(words) - set(spaced))
+        parts, sizes = [np.array(self.bpe.encode_ordinary(b"".join(spaced).decode()), np.int64)], np.zeros(0, np.int64)
+        if spaced:
+            bound = np.searchsorted(np.cumsum(self.width[parts[0]]), np.cumsum([len(w) for w in spaced]), "left") + 1
+            sizes = np.diff(bound, prepend=0)
+        for w in alone:
+            parts.append(np.array([self.added[w]] if w in self.added else self.bpe.encode_ordinary(w.decode()), np.int64))
+        sizes = np.concatenate([sizes, [len(p) for p in parts[1:]]]).astype(np.int64)
+        for w in (*spaced, *alone):
+            self.spots[w] = len(self.spots)
+        self.at = np.concatenate([self.at, np.cumsum(sizes) - sizes + len(self.ids)])
+        self.size = np.concatenate([self.size, sizes])
+        self.ids = np.concatenate([self.ids, *[p.astype(np.uint32) for p in parts]])
 
     def trim(self) -> None:
         """Between batches: forget all words when the store has grown too large."""
-        if len(self.hashes) > self.keep:
+        if len(self.spots) > self.keep:
             self._forget()
 
 
@@ -183,27 +222,35 @@ def best_fit(lengths: dict[int, int], tokens: int = 2048, documents: int = 2048,
     return out
 
 
-def pack(pieces: DataFrame, tokens: int = 2048, documents: int = 2048, attention: int | None = None, rule: str = "norm", salts: int = 64, key: str = "key") -> DataFrame:
-    """``pieces`` with (sequence_id, offset). Ids of sequences are any numbers."""
+def pack(pieces: DataFrame, tokens: int = 2048, documents: int = 2048, attention: int | None = None, rule: str = "norm", group: int = 50_000, key: str = "key") -> DataFrame:
+    """``pieces`` with (sequence_id, offset). Ids of sequences are any numbers.
+    ``group``: about so many pieces of a length are ranked together."""
     spark, folder = pieces.sparkSession, workspace(pieces.sparkSession)
-    salted = materialize(pieces.withColumn("salt", F.pmod(F.xxhash64(key, "piece", F.lit(7)), F.lit(salts)).cast("int")), folder, "pieces")
+    pieces = materialize(pieces, folder, "pieces")
+    lengths = {r["length"]: r["n"] for r in pieces.groupBy("length").agg(F.count("*").alias("n")).collect()}
+    salts = [(k, -(-n // group)) for k, n in lengths.items() if n > group]
+    salted = pieces.withColumn("salt", F.lit(0))
+    if salts:
+        # rows that repeat are spread as well; what is spread by place is written
+        spread = F.xxhash64(key, "piece", F.monotonically_increasing_id())
+        table = F.broadcast(spark.createDataFrame(salts, "length long, salts long"))
+        salted = pieces.join(table, "length", "left").withColumn("salt", F.coalesce(F.pmod(spread, "salts"), F.lit(0)).cast("int"))
+        salted = materialize(salted.select(*pieces.columns, "salt"), folder, "salted")
+        discard(spark, folder, "pieces")
     counts = sorted((r["length"], r["salt"], r["n"]) for r in salted.groupBy("length", "salt").agg(F.count("*").alias("n")).collect())
-    first: dict[tuple[int, int], int] = {}
-    lengths: dict[int, int] = {}
-    for length, salt, n in counts:
-        first[length, salt] = lengths.get(length, 0)
-        lengths[length] = first[length, salt] + n
+    codes = np.array([(length << 40) + salt for length, salt, _ in counts], np.int64)
+    before, seen = np.zeros(len(counts), np.int64), dict.fromkeys(lengths, 0)
+    for i, (length, _, n) in enumerate(counts):
+        before[i] = seen[length]
+        seen[length] += n
     runs = np.array(sorted(best_fit(lengths, tokens, documents, attention, rule)), np.int64).reshape(-1, 5)
-    before = np.zeros((tokens + 1, salts), np.int64)
-    for (length, salt), n in first.items():
-        before[length, salt] = n
-    plan = spark.sparkContext.broadcast((before, (runs[:, 0] << 44) + runs[:, 1], runs))
+    plan = spark.sparkContext.broadcast((codes, before, (runs[:, 0] << 44) + runs[:, 1], runs))
 
     def assign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        before, code, runs = plan.value
+        codes, before, code, runs = plan.value
         for batch in batches:
             length, salt, rank = (batch.column(batch.schema.get_field_index(c)).to_numpy() for c in ("length", "salt", "rank"))
-            rank = rank + before[length, salt]
+            rank = rank + before[np.searchsorted(codes, (length << 40) + salt)]
             run = runs[np.searchsorted(code, (length << 44) + rank, "right") - 1]
             out = batch.drop_columns(["salt", "rank"])
             yield out.append_column("sequence_id", pa.array(run[:, 3] + rank - run[:, 1])).append_column("offset", pa.array(run[:, 4]))

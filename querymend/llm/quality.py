@@ -6,8 +6,9 @@ how often it repeats its words; a small layer embeds it, a gated attention
 weighs it against the document's others, and a logistic unit scores the
 weighted sum. Only documents carry labels; the weights are learned from these.
 
-The fit reads a bounded, documented sample of labelled rows (``fit_rows``, by
-the hash of the id); scores cover whole texts of all rows. Null texts count as
+The fit reads a bounded, documented sample of labelled documents (``fit_rows``,
+by the hash of the id), all passages of each; scores cover whole texts of all
+rows. Null texts count as
 empty and are scored like a bag of one empty passage. Without labels of both
 classes the score is the share of label 1 (0.5 if there are none).
 """
@@ -21,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import BASE, SPACE, U, column_bytes, mix, prefix_sums, slices, span_hash  # noqa: F401
+from .common import BASE, SPACE, U, mix, slices, span_hash
 
 PASSAGE = 400
 PAIRS = 64
@@ -56,9 +57,8 @@ def encode(data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarra
     start, stop = np.flatnonzero(begin), np.flatnonzero(end) + 1
     home = passage[start]
     words = np.bincount(home, minlength=total).astype(np.float32)
-    seen = np.unique(mix(span_hash(prefix_sums(data), start, stop) + home.astype(U) * U(BASE))) if len(start) else np.zeros(0, U)
     # a distinct (passage, word) counts for its passage
-    value = mix(span_hash(prefix_sums(data), start, stop) + home.astype(U) * U(BASE)) if len(start) else seen
+    value = mix(span_hash(data, start, stop) + home.astype(U) * U(BASE))
     order = np.argsort(value, kind="stable")
     new = np.ones(len(order), bool)
     new[1:] = value[order][1:] != value[order][:-1]
@@ -125,10 +125,10 @@ class GatedAttention:
         return np.full(len(count), self.constant) if self.constant is not None else self.forward(x, count)["p"].astype(np.float64)
 
 
-def fit_quality(docs: DataFrame, labels: DataFrame, fit_rows: int = 3000, passages: int = 64) -> GatedAttention:
-    """Fit on at most ``fit_rows`` labelled rows whose crc32 of the id leaves no
-    1 when divided by 3; of a very long text the fit uses ``passages`` passages
-    spread over it (scores use all)."""
+def fit_quality(docs: DataFrame, labels: DataFrame, fit_rows: int = 3000) -> GatedAttention:
+    """Fit on at most ``fit_rows`` labelled ids whose crc32 leaves no 1 when
+    divided by 3. Of an id with several texts one is read (least hash), of one
+    with several labels the greatest counts, so that repeats add no rows."""
     train = labels.where("quality is not null and doc_id is not null").select("doc_id", F.col("quality").cast("int").alias("y"))
     train = train.where(F.crc32(F.col("doc_id").cast("string")) % 3 != 1).groupBy("doc_id").agg(F.max("y").alias("y"))
     train = train.orderBy(F.xxhash64("doc_id", F.lit(11)), "doc_id").limit(fit_rows)
@@ -136,14 +136,13 @@ def fit_quality(docs: DataFrame, labels: DataFrame, fit_rows: int = 3000, passag
     def bag(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch, data, offsets in slices(batches, "text"):
             x, count = encode(data, offsets)
-            out, at = [], 0
-            for n in count.tolist():
-                rows = np.unique(np.linspace(0, n - 1, min(n, passages)).astype(int)) + at
-                out.append(x[rows].astype(np.float16).tobytes())
-                at += n
+            ends = np.cumsum(count)
+            out = [x[a:b].astype(np.float16).tobytes() for a, b in zip(ends - count, ends, strict=True)]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(out, pa.binary())], ["y", "bag"])
 
-    got = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).join(F.broadcast(train), "doc_id").select("y", "text").mapInArrow(bag, "y int, bag binary").toArrow()
+    rows = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")).join(F.broadcast(train), "doc_id")
+    rows = rows.groupBy("doc_id", "y").agg(F.min_by("text", F.xxhash64("text")).alias("text")).select("y", "text")
+    got = rows.mapInArrow(bag, "y int, bag binary").toArrow()
     order = sorted(zip(got["bag"].to_pylist(), got["y"].to_pylist(), strict=True))
     bags = [np.frombuffer(b, np.float16).reshape(-1, WIDTH).astype(np.float32) for b, _ in order]
     return GatedAttention().fit(bags, np.array([y for _, y in order], np.float32))

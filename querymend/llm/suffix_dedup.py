@@ -9,21 +9,26 @@ suffixes that start with the anchor string.
 
 1. For each run of windows with one anchor: (anchor hash, hash of the run's
    bytes, place). Anchors seen once are dropped by an aggregate.
-2. Runs whose bytes occur twice are covered as they stand. Only distinct runs
-   of anchors that have several are left: the edges of repeats.
+2. Runs whose bytes occur twice are covered as they stand; anchor and bytes are
+   told apart by 128 bits of hash. Only distinct runs of anchors that have
+   several are left: the edges of repeats.
 3. In each anchor's interval, the texts right of the anchor are sorted with
    their common prefixes. Breadth first, the interval is extended backwards one
    byte at a time (a step of the transform's last-to-first mapping): after k
    steps the intervals are the strings of k bytes, the anchor and what is right
    of it, cut to 200 bytes. An interval of one suffix is not extended, and the
    extension ends at 200 bytes. An interval of two or more is a repeat.
-4. An anchor with more than ``group_limit`` distinct runs is counted by the
-   hashes of its windows instead, an aggregate that no key can overload.
+4. An interval of more than ``group_limit`` distinct runs (the edge of a passage
+   that very many documents share) is too large for one task. There the strings
+   that the extension would end at are named by their hashes, all at once, and
+   counted by an aggregate, which combines before it shuffles and which no key
+   can overload. Both ways give the same ranges.
 
 Texts are compared as UTF-8 bytes within documents; null is empty. Texts move
-only for documents that have something to compare or to remove (a fixed-size
-Bloom filter of ids lets these through). Rows that repeat in full count as
-copies; rows with one id must have one text. Other columns are left behind.
+only for documents that have something to compare or to remove (a Bloom filter
+of ids lets these through; beyond its bound a join does). Rows that repeat in
+full count as copies; rows with one id must have one text. Other columns are
+left behind.
 """
 
 from __future__ import annotations
@@ -36,7 +41,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import BASE_INV, U, bloom, column_bytes, discard, materialize, mix, powers, prefix_sums, slices, span_hash, workspace
+from .common import BASE, U, bloom, column_bytes, discard, gram_hashes, materialize, may_hold, mix, slices, workspace
 
 GRAM = 64
 
@@ -46,9 +51,7 @@ def anchored_runs(data: np.ndarray, offsets: np.ndarray, length: int, gram: int)
     of the run's bytes) of all runs; places count from the row's start."""
     if len(data) < length:
         return [np.zeros(0, np.int64)] * 4 + [np.zeros(0, U)] * 2
-    sums = prefix_sums(data)
-    with np.errstate(over="ignore"):
-        grams = mix((sums[gram:] - sums[:-gram]) * powers(BASE_INV, len(sums))[: len(sums) - gram])
+    grams = gram_hashes(data, gram)
     # high half: hash; low half: place, so that the least is the leftmost of equals
     low = (grams & U(0xFFFFFFFF00000000)) | np.arange(len(grams), dtype=U)
     span, width = length - gram + 1, 1
@@ -66,7 +69,19 @@ def anchored_runs(data: np.ndarray, offsets: np.ndarray, length: int, gram: int)
     end = inside.copy()
     end[:-1] &= begin[1:] | ~inside[1:]
     count = np.flatnonzero(end) + 1 - start
-    return row[start], start - offsets[row[start]], count, anchor[start] - start, grams[anchor[start]], span_hash(sums, start, start + count - 1 + length)
+    body = long_hash(grams, start, start + count - 1 + length, gram, 2 * length - gram)
+    return row[start], start - offsets[row[start]], count, anchor[start] - start, grams[anchor[start]], body
+
+
+def long_hash(grams: np.ndarray, start: np.ndarray, stop: np.ndarray, gram: int, most: int) -> np.ndarray:
+    """Hash of each string start:stop of ``gram`` to ``most`` bytes, from the
+    hashes of the grams that cover it."""
+    last = stop - start - gram
+    out = mix(last.astype(U))
+    with np.errstate(over="ignore"):
+        for at in range(0, most, gram):
+            out = mix(out * U(BASE) + grams[start + np.minimum(at, last)])
+    return out
 
 
 def repeated_windows(anchor: np.ndarray, place: np.ndarray, count: np.ndarray, texts: list[bytes], length: int, gram: int) -> np.ndarray:
@@ -117,25 +132,25 @@ def _pairs(a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     return which, number
 
 
-def _through(df: DataFrame, ids: DataFrame, bits: int = 24) -> tuple[DataFrame, DataFrame]:
-    """Rows (doc, text) whose id the filter lets through, and the others."""
-    words = df.sparkSession.sparkContext.broadcast(bloom(ids, "doc", bits))
+def _through(df: DataFrame, ids: DataFrame) -> tuple[DataFrame, DataFrame | None]:
+    """Rows (doc, text) whose id the filter lets through, and the others; all
+    and None beyond the filter's bound."""
+    made = bloom(ids, "doc")
+    if made is None:
+        return df.select("doc", "text"), None
+    shared = df.sparkSession.sparkContext.broadcast(made)
 
     def part(inside: bool):
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            filled = words.value
-            mask = U((len(filled) << 6) - 1)
             for batch in batches:
-                h = batch.column(2).to_numpy().view(U)
-                hit = lambda p: (filled[p >> U(6)] >> (p & U(63))) & U(1) != 0
-                yield batch.select(["doc", "text"]).filter(pa.array((hit(h & mask) & hit((h >> U(32)) & mask)) == inside))
+                yield batch.select(["doc", "text"]).filter(pa.array(shared.value.holds(batch.column(2).to_numpy().view(U)) == inside))
 
         return df.select("doc", "text", F.xxhash64("doc").alias("h")).mapInArrow(run, "doc long, text string")
 
     return part(True), part(False)
 
 
-def repeated_ranges(docs: DataFrame, folder: str, length: int = 200, gram: int = GRAM, group_limit: int = 50_000, bucket: int = 20_000) -> DataFrame:
+def repeated_ranges(docs: DataFrame, folder: str, length: int = 200, gram: int = GRAM, group_limit: int = 10_000, bucket: int = 10_000) -> DataFrame:
     """(doc, start, stop): byte ranges that together are all bytes covered by a
     string of ``length`` bytes that also starts elsewhere."""
     spark = docs.sparkSession
@@ -148,17 +163,7 @@ def repeated_ranges(docs: DataFrame, folder: str, length: int = 200, gram: int =
     occ = materialize(docs.mapInArrow(runs, "doc long, start long, windows int, place int, anchor long, body long"), folder, "runs")
     seen = occ.groupBy("anchor").agg(F.count("*").alias("n"), F.min("body").alias("x"), F.max("body").alias("y")).where("n > 1")
     seen = materialize(seen.select("anchor", (F.col("x") == F.col("y")).alias("alike")), folder, "anchors")
-    filled = spark.sparkContext.broadcast(bloom(seen, "anchor", 25))
-
-    def again(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        words = filled.value
-        mask = U((len(words) << 6) - 1)
-        for batch in batches:
-            h = batch.column(6).to_numpy().view(U)
-            hit = lambda p: (words[p >> U(6)] >> (p & U(63))) & U(1) != 0
-            yield batch.select(list(range(6))).filter(pa.array(hit(h & mask) & hit((h >> U(32)) & mask)))
-
-    few = occ.withColumn("h", F.xxhash64("anchor")).mapInArrow(again, occ.schema)
+    few = may_hold(occ, seen, "anchor", "doc long, start long, windows int, place int, anchor long, body long")
     few = materialize(few.join(seen.hint("merge"), "anchor"), folder, "repeats")
     discard(spark, folder, "runs", "anchors")
     stop = (F.col("start") + F.col("windows") - 1 + length).alias("stop")
@@ -205,14 +210,18 @@ def repeated_ranges(docs: DataFrame, folder: str, length: int = 200, gram: int =
         b = np.nonzero(edge == -1)[1]
         return pa.table({"doc": doc[row], "start": start[row] + a, "stop": start[row] + b - 1 + length})
 
-    small = got.where(F.col("bodies") <= group_limit).groupBy(F.pmod(F.xxhash64("anchor"), F.lit(buckets)).alias("bucket"))
+    # a large interval is a bucket of its own, small ones share one by hash
+    own = F.when(F.col("bodies") > bucket // 8, F.xxhash64("anchor")).otherwise(F.pmod(F.xxhash64("anchor", F.lit(1)), F.lit(buckets)))
+    small = got.where(F.col("bodies") <= group_limit).groupBy(own.alias("bucket"))
     out = out.unionAll(small.applyInArrow(extend, "doc long, start long, stop long"))
     if sizes.where(F.col("bodies") > group_limit).limit(1).count():
-        out = out.unionAll(_by_hashes(got.where(F.col("bodies") > group_limit), folder, length))
+        out = out.unionAll(_by_hashes(got.where(F.col("bodies") > group_limit), folder, length, gram))
     return out
 
 
-def _by_hashes(rows: DataFrame, folder: str, length: int) -> DataFrame:
+def _by_hashes(rows: DataFrame, folder: str, length: int, gram: int) -> DataFrame:
+    """Ranges of the windows that occur in several runs of their anchor."""
+
     def windows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for lo in range(0, len(batch), 2000):
@@ -221,12 +230,13 @@ def _by_hashes(rows: DataFrame, folder: str, length: int) -> DataFrame:
                 base = np.cumsum([0, *[len(t) for t in texts]])[:-1]
                 row = np.repeat(np.arange(len(part)), count)
                 j = np.arange(len(row)) - (np.cumsum(count) - count)[row]
-                value = span_hash(prefix_sums(np.frombuffer(b"".join(texts), np.uint8)), base[row] + j, base[row] + j + length)
-                yield pa.RecordBatch.from_arrays([part.column(0).take(pa.array(row)), pa.array(part.column(1).to_numpy()[row] + j), pa.array(value.view(np.int64))], ["doc", "start", "window"])
+                at = base[row] + j
+                value = long_hash(gram_hashes(np.frombuffer(b"".join(texts), np.uint8), gram), at, at + length, gram, length)
+                yield pa.RecordBatch.from_arrays([part.column(0).take(pa.array(row)), pa.array(part.column(1).to_numpy()[row] + j), part.column(4).take(pa.array(row)), pa.array(value.view(np.int64))], ["doc", "start", "anchor", "window"])
 
-    each = materialize(rows.mapInArrow(windows, "doc long, start long, window long"), folder, "windows")
-    twice = materialize(each.groupBy("window").agg(F.count("*").alias("n")).where("n > 1").select("window"), folder, "twice")
-    return each.join(twice.hint("merge"), "window").select("doc", "start", (F.col("start") + length).alias("stop"))
+    each = materialize(rows.mapInArrow(windows, "doc long, start long, anchor long, window long"), folder, "windows")
+    twice = materialize(each.groupBy("anchor", "window").agg(F.count("*").alias("n")).where("n > 1").select("anchor", "window"), folder, "twice")
+    return each.join(twice.hint("merge"), ["anchor", "window"]).select("doc", "start", (F.col("start") + length).alias("stop"))
 
 
 def remove_repeats(df: DataFrame, length: int = 200, key: str = "doc_id", text: str = "text", keep_text: bool = False, **options) -> DataFrame:
@@ -263,5 +273,7 @@ def remove_repeats(df: DataFrame, length: int = 200, key: str = "doc_id", text:
             yield pa.RecordBatch.from_arrays([batch.column(0), *[pa.array(c, k) for c, k in zip(out, kinds, strict=True)]], ["doc", "n_bytes", "n_removed", "n_spans", "kept_sha256", "kept"][: 5 + keep_text])
 
     done = touched.join(per.hint("merge"), "doc", "left").select("doc", "text", "ranges").mapInArrow(cut, schema)
+    if rest is None:
+        return done.withColumnRenamed("doc", key)
     as_is = rest.select("doc", F.octet_length("text").cast("long").alias("n_bytes"), F.lit(0).cast("long").alias("n_removed"), F.lit(0).cast("long").alias("n_spans"), F.sha2("text", 256).alias("kept_sha256"), *[F.col("text").cast("binary").alias("kept")] * keep_text)
     return done.unionAll(as_is).withColumnRenamed("doc", key)
