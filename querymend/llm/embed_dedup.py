@@ -14,8 +14,9 @@ vector, how many it links with, and only such links as join two components in
 it, so its output is linear in its input however dense a group is.
 
 A vector that is null, empty, zero or has a null or non-finite component links
-with nothing; vectors of different lengths do not link. The principal
-directions are fitted on ``fit_rows`` vectors (least hash of the id); they
+with nothing; vectors of different lengths do not link. The nodes are rows: an
+id that repeats, or is null, gets a row for each. The principal
+directions are fitted on ``fit_rows`` vectors (those of least hash); they
 decide the order only, never the result.
 """
 
@@ -28,7 +29,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import components, forest, materialize, workspace
+from .common import components, discard, forest, materialize, workspace
 
 AXES = 6
 FAN = 4
@@ -87,7 +88,7 @@ def _dense(column: pa.ChunkedArray, size: int) -> np.ndarray:
 def _links(rows: DataFrame, size: int, threshold: float, capacity: int, fit_rows: int, folder: str) -> DataFrame:
     """(rep, peer, links) of the distinct vectors (rep, n, v) of one length."""
     eps2, eps = 2 - 2 * threshold + SLACK, float(np.sqrt(max(2 - 2 * threshold, 1e-12)))
-    sample = np.array([r[0] for r in rows.orderBy(F.xxhash64("rep", F.lit(3)), "rep").limit(fit_rows).select("v").collect()], float).reshape(-1, size)
+    sample = np.array([r[0] for r in rows.orderBy(F.xxhash64("v", F.lit(3)), "rep").limit(fit_rows).select("v").collect()], float).reshape(-1, size)
     sample /= np.linalg.norm(sample, axis=1, keepdims=True)
     axes = min(AXES, size)
     basis = np.linalg.eigh(np.cov(sample.T) if len(sample) > 1 else np.eye(size))[1].reshape(size, -1)[:, ::-1][:, :axes].copy()
@@ -169,10 +170,13 @@ def near_vectors(df: DataFrame, threshold: float = 0.95, key: str = "vec_id", ve
     good = F.coalesce((F.size(v) > 0) & finite & F.exists(v, lambda c: c != 0), F.lit(False))
     named = df.select(F.col(key).cast("long").alias("id"), F.when(good, F.transform(v, lambda c: c + F.lit(0.0))).alias("v"))
     named = named.withColumn("h1", F.xxhash64("v")).withColumn("h2", F.xxhash64("v", F.lit(1)))
-    keys = materialize(named.where("v is not null").groupBy("h1", "h2").agg(F.min("id").alias("rep"), F.count("*").alias("n")), folder, "classes")
-    ids = materialize(named.where("v is not null").select("id", "h1", "h2").join(keys.hint("merge"), ["h1", "h2"]).select("id", "rep", "n"), folder, "ids")
-    one = named.where("v is not null").select("id", "v").join(ids.where("id = rep").select("id", "rep", "n").dropDuplicates(["id"]), "id").select("rep", "n", "v").dropDuplicates(["rep"])
-    one = materialize(one, folder, "distinct")
+    # a class is one vector, whatever the ids of its rows; numbered once written
+    classes = named.where("v is not null").groupBy("h1", "h2").agg(F.count("*").alias("n"), F.any_value("v").alias("v"))
+    classes = materialize(materialize(classes, folder, "classes").withColumn("rep", F.monotonically_increasing_id()), folder, "distinct")
+    discard(spark, folder, "classes")
+    ids = named.where("v is not null").select("id", "h1", "h2").join(classes.select("h1", "h2", "rep", "n").hint("merge"), ["h1", "h2"])
+    ids = materialize(ids.select("id", "rep", "n"), folder, "ids")
+    one = classes.select("rep", "n", "v")
     sizes = sorted(r[0] for r in one.groupBy(F.size("v")).count().collect())
     found = spark.createDataFrame([], "rep long, peer long, links long")
     for size in sizes:
@@ -181,6 +185,9 @@ def near_vectors(df: DataFrame, threshold: float = 0.95, key: str = "vec_id", ve
     comp = materialize(components(found.where("peer is not null").select(F.col("rep").alias("a"), F.col("peer").alias("b")), folder), folder, "comp")
     links = materialize(found.groupBy("rep").agg(F.sum("links").alias("links")).where("links > 0"), folder, "links")
     rows = ids.join(links.hint("merge"), "rep", "left").join(comp.withColumnRenamed("node", "rep").hint("merge"), "rep", "left")
-    rows = rows.select("id", (F.coalesce("links", F.lit(0)) + F.col("n") - 1).cast("long").alias("n_links"), F.coalesce("component", "rep").alias("component_id"))
+    rows = rows.select("id", (F.coalesce("links", F.lit(0)) + F.col("n") - 1).cast("long").alias("n_links"), F.coalesce("component", "rep").alias("component"))
+    rows = materialize(rows, folder, "rows")
+    least = materialize(rows.groupBy("component").agg(F.min("id").alias("component_id")), folder, "least")
+    rows = rows.join(least.hint("merge"), "component").select("id", "n_links", "component_id")
     rest = named.where("v is null").select("id", F.lit(0).cast("long").alias("n_links"), F.col("id").alias("component_id"))
-    return rows.unionAll(rest).select(F.col("id").alias(key), "n_links", "component_id", (F.col("id") == F.col("component_id")).alias("kept"))
+    return rows.unionAll(rest).select(F.col("id").alias(key), "n_links", "component_id", F.col("id").eqNullSafe(F.col("component_id")).alias("kept"))
