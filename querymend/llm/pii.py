@@ -22,8 +22,8 @@ from pyspark.sql import functions as F
 
 @dataclass(frozen=True)
 class Kind:
-    """``needs``: a text without this pattern has no match. ``words``: context
-    that makes a span likelier within ``reach`` characters before it."""
+    """``needs``: a text without this pattern has no match. ``words``: whole
+    words that make a span likelier within ``reach`` characters before it."""
 
     name: str
     pattern: str
@@ -33,14 +33,14 @@ class Kind:
 
 
 KINDS = [
-    Kind("email", r"(?:\G|(?<![A-Za-z0-9._%+-]))[A-Za-z0-9._%+-]++@[A-Za-z0-9-]++(?:\.[A-Za-z0-9-]++)++", "@", "mail|contact|write|correo|courriel", 0.9),
-    Kind("ip", r"(?<![0-9])[0-9]++\.[0-9]++\.[0-9]++\.[0-9]++", ".", "ip|host|server|addr", 0.6),
-    Kind("card", r"(?:\G|(?<![0-9]))[0-9](?:[\x20-]?+[0-9])++", "", "card|visa|pay|credit|tarjeta|karte|carte", 0.7),
-    Kind("phone", r"\+[0-9][\x20().0-9-]+[0-9]", "+", "phone|tel|call|mobile|fax", 0.7),
+    Kind("email", r"(?:\G|(?<![A-Za-z0-9._%+-]))[A-Za-z0-9._%+-]++@[A-Za-z0-9-]++(?:\.[A-Za-z0-9-]++)++", "@", "e-?mails?|mail|contact|write|correo|courriel", 0.9),
+    Kind("ip", r"(?<![0-9])[0-9]++\.[0-9]++\.[0-9]++\.[0-9]++", ".", "ip|ipv4|host|hosts|server|servers|addr|address", 0.6),
+    Kind("card", r"(?:\G|(?<![0-9]))[0-9](?:[\x20-]?+[0-9])++", "", "cards?|visa|pay|paid|payment|credit|tarjeta|karte|carte", 0.7),
+    Kind("phone", r"\+[0-9][\x20().0-9-]+[0-9]", "+", "phones?|telephone|tel|call|mobile|fax", 0.7),
 ]
 #: Added by the method: account numbers with two check digits (modulo 97). The
 #: pattern takes the four characters that one may start with.
-ACCOUNT = Kind("iban", r"(?<![A-Za-z0-9])[A-Z]{2}[0-9]{2}(?=(?:\x20?[A-Z0-9]){11})", "", "iban|bank|account|konto|compte|cuenta", 0.8)
+ACCOUNT = Kind("iban", r"(?<![A-Za-z0-9])[A-Z]{2}[0-9]{2}(?=(?:\x20?[A-Z0-9]){11})", "", "iban|bank|accounts?|konto|compte|cuenta", 0.8)
 #: All that can belong to one: at most 34 characters and a space before each of
 #: the last 30. One more character tells whether a word ends there.
 ACCOUNT_RUN, ACCOUNT_REACH = r"^[A-Z]{2}[0-9]{2}(?:\x20?[A-Z0-9]){11,30}+", 65
@@ -117,37 +117,42 @@ def proposals(text: Column, kind: Kind) -> Column:
     return F.when(likely, spans).otherwise(empty)
 
 
-def find_pii(df: DataFrame, key: str = "doc_id", text: str = "text", reach: int = 48) -> DataFrame:
-    """One row per input row: key, and ``found``, an array of (kind, start, stop,
-    text, rank, score) by start, then kind as listed; places are code points
-    from 0, the end exclusive. The score is the kind's prior, raised by a
-    context word in the ``reach`` characters before the span. A confirmed
-    account number is listed too; it may overlap a span of another kind."""
-    body = F.coalesce(F.col(text), F.lit(""))
-    rows = df.select(F.col(key).alias(key), body.alias("_text"))
-    for k in [*KINDS, ACCOUNT]:
-        rows = rows.withColumn(f"_{k.name}", proposals(F.col("_text"), k))
+def with_pii(df: DataFrame, text: str = "text", reach: int = 48, out: str = "found") -> DataFrame:
+    """All columns of ``df`` and ``out``: an array of (start, rank, stop, kind,
+    text, score) by start, then kind as listed; places are code points from 0,
+    the end exclusive. The score is the kind's prior, raised by a context word in
+    the ``reach`` characters before the span. A confirmed account number is
+    listed too; it may overlap a span of another kind."""
+    kinds, own = [*KINDS, ACCOUNT], df.columns
+    rows = df.withColumn("_pii_text", F.coalesce(F.col(f"`{text}`"), F.lit("")))
+    for k in kinds:
+        rows = rows.withColumn(f"_pii_{k.name}", proposals(F.col("_pii_text"), k))
 
     def scored(s: Column) -> Column:
-        before = F.lower(F.expr("1").cast("string")) if reach == 0 else None
-        out, rank = F.lit(0.0), F.lit(9)
-        for i, k in reversed([*enumerate([*KINDS, ACCOUNT])]):
-            window = before if before is not None else F.lower(F.substring(F.col("_text"), F.greatest(s["start"] - reach, F.lit(0)) + 1, F.least(F.lit(reach), s["start"])))
-            out = F.when(s["kind"] == k.name, F.lit(k.prior) + F.when(window.rlike(k.words), F.lit(round(0.5 * (1 - k.prior), 4))).otherwise(F.lit(0.0))).otherwise(out)
+        window = F.lower(F.substring(F.col("_pii_text"), F.greatest(s["start"] - reach, F.lit(0)) + 1, F.least(F.lit(reach), s["start"])))
+        score, rank = F.lit(0.0), F.lit(9)
+        for i, k in reversed([*enumerate(kinds)]):
+            near = window.rlike(rf"(?<![\p{{L}}\p{{N}}])(?:{k.words})(?![\p{{L}}\p{{N}}])")
+            score = F.when(s["kind"] == k.name, F.lit(k.prior) + F.when(near, F.lit(round(0.5 * (1 - k.prior), 4))).otherwise(F.lit(0.0))).otherwise(score)
             rank = F.when(s["kind"] == k.name, F.lit(i)).otherwise(rank)
-        return F.struct(s["start"].alias("start"), rank.alias("rank"), s["stop"].alias("stop"), s["kind"].alias("kind"), s["text"].alias("text"), out.alias("score"))
+        return F.struct(s["start"].alias("start"), rank.alias("rank"), s["stop"].alias("stop"), s["kind"].alias("kind"), s["text"].alias("text"), score.alias("score"))
+
+    every = F.concat(*[F.col(f"_pii_{k.name}") for k in kinds])
+    return rows.select(*[F.col(f"`{c}`") for c in own if c != out], F.array_sort(F.transform(every, scored)).alias(out))
 
-    every = F.concat(*[F.col(f"_{k.name}") for k in [*KINDS, ACCOUNT]])
-    return rows.select(key, F.array_sort(F.transform(every, scored)).alias("found"))
+
+def find_pii(df: DataFrame, key: str = "doc_id", text: str = "text", reach: int = 48) -> DataFrame:
+    """One row per input row: key and ``found`` (see ``with_pii``)."""
+    return with_pii(df.select(F.col(f"`{key}`").alias("_pii_key"), F.col(f"`{text}`").alias("_pii_body")), "_pii_body", reach).select(F.col("_pii_key").alias(key), "found")
 
 
-def redact(df: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """key and text with each span of ``find_pii`` replaced by its kind in brackets."""
-    body = F.coalesce(F.col(text), F.lit(""))
-    rows = df.select(key, body.alias("_body")).join(find_pii(df, key, text), key)
-    step = lambda acc, s: F.when(s["start"] >= acc["at"], F.struct(s["stop"].alias("at"), F.concat(acc["out"], F.substring(F.col("_body"), acc["at"] + 1, s["start"] - acc["at"]), F.lit("["), s["kind"], F.lit("]")).alias("out"))).otherwise(acc)
-    done = F.aggregate("found", F.struct(F.lit(0).alias("at"), F.lit("").alias("out")), step)
-    return rows.withColumn("_d", done).select(key, F.concat("_d.out", F.expr("substring(_body, _d.at + 1)")).alias(text))
+def redact(df: DataFrame, text: str = "text", reach: int = 48) -> DataFrame:
+    """``df``, row by row, with each span in its text replaced by its kind in
+    brackets; of spans that overlap the first stands. A null text stays null."""
+    body = F.col(f"`{text}`")
+    step = lambda acc, s: F.when(s["start"] >= acc["at"], F.struct(s["stop"].alias("at"), F.concat(acc["out"], F.substring(body, acc["at"] + 1, s["start"] - acc["at"]), F.lit("["), s["kind"], F.lit("]")).alias("out"))).otherwise(F.struct(F.greatest(acc["at"], s["stop"]).alias("at"), acc["out"].alias("out")))
+    done = F.aggregate("_pii_found", F.struct(F.lit(0).alias("at"), F.lit("").alias("out")), step, lambda acc: F.concat(acc["out"], F.substring(body, acc["at"] + 1, F.length(body))))
+    return with_pii(df, text, reach, "_pii_found").withColumn(text, done).select(*[F.col(f"`{c}`") for c in df.columns])
 
 
 def span_text(spans: Column) -> Column:
