@@ -16,7 +16,8 @@ counts by (length, salt); a length has a salt for each ``group`` of its pieces,
 so neither empty texts nor full pieces gather in a task, and the driver gets one
 count for so many pieces.
 
-The distinct words of a batch are encoded once and kept by their bytes. Added
+The distinct words of a batch are encoded once and kept under a hash, which only
+sorts them: a word is taken for a known one if its bytes are the same. Added
 tokens of the vocabulary file that a text spells out are their ids, as the
 tokenizer has it; the text on their two sides is encoded apart.
 """
@@ -32,7 +33,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import discard, materialize, ragged, slices, span_hash, workspace
+from .common import materialize, ragged, slices, span_hash, workspace
 
 PIECES = "piece int, start long, length long, ids_crc32 long"
 
@@ -81,8 +82,10 @@ class WordTokenizer:
         self._forget()
 
     def _forget(self) -> None:
-        self.spots: dict[bytes, int] = {}
-        self.at, self.size, self.ids = np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, np.uint32)
+        """The store: sorted hashes, with the place and length of each word's
+        bytes and of its ids."""
+        self.hashes, self.bytes, self.ids = np.zeros(0, np.uint64), np.zeros(0, np.uint8), np.zeros(0, np.uint32)
+        self.word, self.at = np.zeros((0, 2), np.int64), np.zeros((0, 2), np.int64)
 
     def _added(self, data: np.ndarray, offsets: np.ndarray) -> list[tuple[int, int]]:
         """Places of added tokens within rows, leftmost first, the longest of
@@ -114,49 +117,63 @@ class WordTokenizer:
             cut[[a, b]] = True
         start = np.flatnonzero(cut[:-1])
         stop = np.append(start[1:], len(data))
-        first, which = self._distinct(data, start, stop)
-        texts = [data[a:b].tobytes() for a, b in zip(start[first].tolist(), stop[first].tolist(), strict=True)]
-        self._learn([t for t in texts if t not in self.spots])
-        spot = np.fromiter((self.spots[t] for t in texts), np.int64, len(texts))[which]
-        size = self.size[spot]
-        total = np.concatenate([[0], np.cumsum(size)])
-        return self.ids[ragged(self.at[spot], size)], total[np.searchsorted(start, offsets, "left")]
-
-    @staticmethod
-    def _distinct(data: np.ndarray, start: np.ndarray, stop: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """First place of each distinct word, and the number of each word's. The
-        hash only sorts: every word is compared with the first of its hash."""
-        _, first, which = np.unique(span_hash(data, start, stop), return_index=True, return_inverse=True)
-        size, like = stop - start, first[which]
-        same = size == size[like]
-        if same.all() and np.array_equal(data, data[ragged(start[like], size)]):
-            return first, which
-        numbers: dict[bytes, int] = {}
-        which = np.array([numbers.setdefault(data[a:b].tobytes(), len(numbers)) for a, b in zip(start, stop, strict=True)])
-        return np.unique(which, return_index=True)[1], which
-
-    def _learn(self, words: list[bytes]) -> None:
-        if not words:
-            return
+        size = stop - start
+        names, first, which = np.unique(span_hash(data, start, stop), return_index=True, return_inverse=True)
+        bounds = np.searchsorted(start, offsets, "left")
+        like = first[which]
+        if not (np.array_equal(size, size[like]) and np.array_equal(data, data[ragged(start[like], size)])):
+            return self._plainly(data, start, stop, bounds)
+        a, n = start[first], size[first]
+        spot = np.searchsorted(self.hashes, names)
+        known = self.hashes[np.minimum(spot, len(self.hashes) - 1)] == names if len(self.hashes) else np.zeros(len(names), bool)
+        if known.any():
+            kept = self.word[spot[known]]
+            if not np.array_equal(kept[:, 1], n[known]) or not np.array_equal(self.bytes[ragged(kept[:, 0], n[known])], data[ragged(a[known], n[known])]):
+                self._forget()
+                spot, known = np.zeros_like(spot), np.zeros_like(known)
+        if not known.all():
+            self._learn(names[~known], spot[~known], data, a[~known], n[~known], starts)
+            spot = np.searchsorted(self.hashes, names)
+        at = self.at[spot][which]
+        total = np.concatenate([[0], np.cumsum(at[:, 1])])
+        return self.ids[ragged(at[:, 0], at[:, 1])], total[bounds]
+
+    def _one(self, word: bytes) -> np.ndarray:
+        return np.array([self.added[word]] if word in self.added else self.bpe.encode_ordinary(word.decode()), np.uint32)
+
+    def _plainly(self, data: np.ndarray, start: np.ndarray, stop: np.ndarray, bounds: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Without the store, where two words of a batch have one hash."""
+        parts = [self._one(data[a:b].tobytes()) for a, b in zip(start, stop, strict=True)]
+        total = np.concatenate([[0], np.cumsum([len(p) for p in parts])])
+        return np.concatenate(parts), total[bounds]
+
+    def _learn(self, names: np.ndarray, spot: np.ndarray, data: np.ndarray, start: np.ndarray, size: np.ndarray, blank: np.ndarray) -> None:
         # words of one space and a character that is none are encoded together
-        spaced = [w for w in words if len(w) > 1 and w[0] == 32 and not BLANK[w[1]] and not w[1:].startswith(tuple(WIDE_BLANKS)) and w not in self.added]
-        alone = sorted(set(words) - set(spaced))
-        parts, sizes = [np.array(self.bpe.encode_ordinary(b"".join(spaced).decode()), np.int64)], np.zeros(0, np.int64)
-        if spaced:
-            bound = np.searchsorted(np.cumsum(self.width[parts[0]]), np.cumsum([len(w) for w in spaced]), "left") + 1
-            sizes = np.diff(bound, prepend=0)
-        for w in alone:
-            parts.append(np.array([self.added[w]] if w in self.added else self.bpe.encode_ordinary(w.decode()), np.int64))
-        sizes = np.concatenate([sizes, [len(p) for p in parts[1:]]]).astype(np.int64)
-        for w in (*spaced, *alone):
-            self.spots[w] = len(self.spots)
-        self.at = np.concatenate([self.at, np.cumsum(sizes) - sizes + len(self.ids)])
-        self.size = np.concatenate([self.size, sizes])
-        self.ids = np.concatenate([self.ids, *[p.astype(np.uint32) for p in parts]])
+        spaced = (data[start] == 32) & (size > 1) & ~blank[np.minimum(start + 1, len(data) - 1)]
+        if any(token[:1] == b" " for token in self.added):
+            spaced[:] = False
+        count, parts = np.zeros(len(names), np.int64), []
+        together, alone = np.flatnonzero(spaced), np.flatnonzero(~spaced)
+        if len(together):
+            ids = np.array(self.bpe.encode_ordinary(data[ragged(start[together], size[together])].tobytes().decode()), np.uint32)
+            bound = np.searchsorted(np.cumsum(self.width[ids]), np.cumsum(size[together]), "left") + 1
+            count[together] = np.diff(bound, prepend=0)
+            parts.append(ids)
+        for i in alone:
+            parts.append(self._one(data[start[i] : start[i] + size[i]].tobytes()))
+            count[i] = len(parts[-1])
+        order = np.concatenate([together, alone])
+        at = np.zeros((len(names), 2), np.int64)
+        at[order, 0], at[:, 1] = np.cumsum(count[order]) - count[order] + len(self.ids), count
+        word = np.stack([np.cumsum(size) - size + len(self.bytes), size], 1)
+        self.hashes = np.insert(self.hashes, spot, names)
+        self.word, self.at = np.insert(self.word, spot, word, 0), np.insert(self.at, spot, at, 0)
+        self.bytes = np.concatenate([self.bytes, data[ragged(start, size)]])
+        self.ids = np.concatenate([self.ids, *parts])
 
     def trim(self) -> None:
         """Between batches: forget all words when the store has grown too large."""
-        if len(self.spots) > self.keep:
+        if len(self.hashes) > self.keep:
             self._forget()
 
 
@@ -222,21 +239,17 @@ def best_fit(lengths: dict[int, int], tokens: int = 2048, documents: int = 2048,
     return out
 
 
-def pack(pieces: DataFrame, tokens: int = 2048, documents: int = 2048, attention: int | None = None, rule: str = "norm", group: int = 50_000, key: str = "key") -> DataFrame:
+def pack(pieces: DataFrame, tokens: int = 2048, documents: int = 2048, attention: int | None = None, rule: str = "norm", most: int = 100_000, key: str = "key") -> DataFrame:
     """``pieces`` with (sequence_id, offset). Ids of sequences are any numbers.
-    ``group``: about so many pieces of a length are ranked together."""
+    ``most``: about so many counts of ranked groups go to the driver, so a group
+    is a hundred-thousandth of the pieces, and 1000 at least."""
     spark, folder = pieces.sparkSession, workspace(pieces.sparkSession)
-    pieces = materialize(pieces, folder, "pieces")
-    lengths = {r["length"]: r["n"] for r in pieces.groupBy("length").agg(F.count("*").alias("n")).collect()}
-    salts = [(k, -(-n // group)) for k, n in lengths.items() if n > group]
-    salted = pieces.withColumn("salt", F.lit(0))
-    if salts:
-        # rows that repeat are spread as well; what is spread by place is written
-        spread = F.xxhash64(key, "piece", F.monotonically_increasing_id())
-        table = F.broadcast(spark.createDataFrame(salts, "length long, salts long"))
-        salted = pieces.join(table, "length", "left").withColumn("salt", F.coalesce(F.pmod(spread, "salts"), F.lit(0)).cast("int"))
-        salted = materialize(salted.select(*pieces.columns, "salt"), folder, "salted")
-        discard(spark, folder, "pieces")
+    # rows that repeat differ in their place, which is written with them
+    placed = materialize(pieces.withColumn("place", F.monotonically_increasing_id()), folder, "pieces")
+    lengths = {r["length"]: r["n"] for r in placed.groupBy("length").agg(F.count("*").alias("n")).collect()}
+    group = max(1000, sum(lengths.values()) // most) if most else 1
+    table = pa.table({"length": pa.array(lengths.keys(), pa.int64()), "salts": pa.array([-(-n // group) for n in lengths.values()], pa.int64())})
+    salted = placed.join(F.broadcast(spark.createDataFrame(table)), "length").withColumn("salt", F.pmod(F.xxhash64("place"), "salts").cast("int")).select(*pieces.columns, "salt")
     counts = sorted((r["length"], r["salt"], r["n"]) for r in salted.groupBy("length", "salt").agg(F.count("*").alias("n")).collect())
     codes = np.array([(length << 40) + salt for length, salt, _ in counts], np.int64)
     before, seen = np.zeros(len(counts), np.int64), dict.fromkeys(lengths, 0)

@@ -313,7 +313,7 @@ def test_packing_of_odd_texts(spark):
     df = spark.createDataFrame([(i, t, 7, "k") for i, t in rows], "doc_id long, text string, length int, key string")
     pieces_match(packing.packing_query(df).collect(), rows)
     pieces = packing.cut_pieces(df, *vocabulary()).withColumnRenamed("key", "doc_id")
-    pieces_match(packing.pack(pieces, group=7, key="doc_id").collect(), rows)  # many salts a length
+    pieces_match(packing.pack(pieces, most=0, key="doc_id").collect(), rows)  # many salts a length
 
 
 def vocabulary():
