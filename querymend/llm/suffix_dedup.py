@@ -27,8 +27,8 @@ suffixes that start with the anchor string.
 Texts are compared as UTF-8 bytes within documents; null is empty. Texts move
 only for documents that have something to compare or to remove (a Bloom filter
 of ids lets these through; beyond its bound a join does). Rows that repeat in
-full count as copies; rows with one id must have one text. Other columns are
-left behind.
+full count as copies; rows with one id must have one text. A null id stays null;
+within, a hash of the text stands for it. Other columns are left behind.
 """
 
 from __future__ import annotations
@@ -41,7 +41,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import BASE, U, bloom, column_bytes, discard, gram_hashes, materialize, may_hold, mix, slices, workspace
+from .common import BASE, U, bloom, column_bytes, discard, gram_hashes, materialize, may_hold, mix, slices, spread_join, workspace
 
 GRAM = 64
 
@@ -133,19 +133,19 @@ def _pairs(a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 
 
 def _through(df: DataFrame, ids: DataFrame) -> tuple[DataFrame, DataFrame | None]:
-    """Rows (doc, text) whose id the filter lets through, and the others; all
-    and None beyond the filter's bound."""
+    """Rows (id, doc, text) whose doc the filter lets through, and the others;
+    all and None beyond the filter's bound."""
     made = bloom(ids, "doc")
     if made is None:
-        return df.select("doc", "text"), None
+        return df.select("id", "doc", "text"), None
     shared = df.sparkSession.sparkContext.broadcast(made)
 
     def part(inside: bool):
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for batch in batches:
-                yield batch.select(["doc", "text"]).filter(pa.array(shared.value.holds(batch.column(2).to_numpy().view(U)) == inside))
+                yield batch.select(["id", "doc", "text"]).filter(pa.array(shared.value.holds(batch.column(3).to_numpy().view(U)) == inside))
 
-        return df.select("doc", "text", F.xxhash64("doc").alias("h")).mapInArrow(run, "doc long, text string")
+        return df.select("id", "doc", "text", F.xxhash64("doc").alias("h")).mapInArrow(run, "id long, doc long, text string")
 
     return part(True), part(False)
 
@@ -160,23 +160,20 @@ def repeated_ranges(docs: DataFrame, folder: str, length: int = 200, gram: int =
             row, start, count, place, anchor, body = anchored_runs(data, offsets, length, gram)
             yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(row)), pa.array(start), pa.array(count.astype(np.int32)), pa.array(place.astype(np.int32)), pa.array(anchor.view(np.int64)), pa.array(body.view(np.int64))], ["doc", "start", "windows", "place", "anchor", "body"])
 
-    occ = materialize(docs.mapInArrow(runs, "doc long, start long, windows int, place int, anchor long, body long"), folder, "runs")
-    seen = occ.groupBy("anchor").agg(F.count("*").alias("n"), F.min("body").alias("x"), F.max("body").alias("y")).where("n > 1")
-    seen = materialize(seen.select("anchor", (F.col("x") == F.col("y")).alias("alike")), folder, "anchors")
-    few = may_hold(occ, seen, "anchor", "doc long, start long, windows int, place int, anchor long, body long")
-    few = materialize(few.join(seen.hint("merge"), "anchor"), folder, "repeats")
+    occ = materialize(docs.select("doc", "text").mapInArrow(runs, "doc long, start long, windows int, place int, anchor long, body long"), folder, "runs")
+    seen = materialize(occ.groupBy("anchor").agg(F.count("*").alias("n")).where("n > 1").select("anchor"), folder, "anchors")
+    # anchors that the filter lets through by mistake have one run and fall out below
+    few = materialize(may_hold(occ, seen, "anchor", "doc long, start long, windows int, place int, anchor long, body long"), folder, "repeats")
     discard(spark, folder, "runs", "anchors")
-    stop = (F.col("start") + F.col("windows") - 1 + length).alias("stop")
-    whole = few.where("alike").select("doc", "start", stop)
-    edges = few.where("not alike")
-    bodies = edges.groupBy("anchor", "body").agg(F.count("*").alias("n"), F.min(F.struct("doc", "start", "windows", "place")).alias("first"))
+    bodies = few.groupBy("anchor", "body").agg(F.count("*").alias("n"), F.min("doc").alias("doc"), F.min_by("start", "doc").alias("start"), F.min("windows").alias("windows"), F.min("place").alias("place"))
     bodies = materialize(bodies, folder, "bodies")
-    copied = edges.select("doc", "start", "windows", "anchor", "body").join(bodies.where("n > 1").select("anchor", "body").hint("merge"), ["anchor", "body"]).select("doc", "start", stop)
-    sizes = materialize(bodies.groupBy("anchor").agg(F.count("*").alias("bodies")), folder, "sizes")
-    todo = bodies.join(sizes.hint("merge"), "anchor").select("anchor", "n", "bodies", "first.*")
+    stop = (F.col("start") + F.col("windows") - 1 + length).alias("stop")
+    twice = bodies.where("n > 1").select("anchor", "body", "n")
+    out = spread_join(few.select("anchor", "body", "doc", "start", "windows"), twice, ["anchor", "body"]).select("doc", "start", stop)
+    sizes = materialize(bodies.groupBy("anchor").agg(F.count("*").alias("bodies")).where("bodies > 1"), folder, "sizes")
+    todo = spread_join(bodies, sizes, ["anchor"], "bodies").select("anchor", "n", "bodies", "doc", "start", "windows", "place")
     todo = materialize(todo, folder, "todo")
     total = todo.count()
-    out = whole.unionAll(copied)
     if not total:
         return out
     wanted = materialize(todo.groupBy("doc").agg(F.collect_list(F.struct("start", "windows", "place", "anchor", "n", "bodies")).alias("runs")), folder, "wanted")
@@ -243,11 +240,12 @@ def remove_repeats(df: DataFrame, length: int = 200, key: str = "doc_id", text:
     """(key, n_bytes, n_removed, n_spans, kept_sha256) and, with ``keep_text``,
     ``kept``: the bytes that are left."""
     folder = workspace(df.sparkSession)
-    docs = df.select(F.col(key).cast("long").alias("doc"), F.coalesce(F.col(text), F.lit("")).alias("text"))
+    body = F.coalesce(F.col(text), F.lit(""))
+    docs = df.select(F.col(key).cast("long").alias("id"), F.coalesce(F.col(key).cast("long"), F.xxhash64(body)).alias("doc"), body.alias("text"))
     ranges = repeated_ranges(docs, folder, length, **options)
     per = materialize(ranges.groupBy("doc").agg(F.collect_list(F.struct("start", "stop")).alias("ranges")), folder, "ranges")
     touched, rest = _through(docs, per)
-    schema = "doc long, n_bytes long, n_removed long, n_spans long, kept_sha256 string" + ", kept binary" * keep_text
+    schema = "id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string" + ", kept binary" * keep_text
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -270,10 +268,10 @@ def remove_repeats(df: DataFrame, length: int = 200, key: str = "doc_id", text:
                 for column, v in zip(out, (len(body), removed, spans, hashlib.sha256(kept).hexdigest(), kept), strict=False):
                     column.append(v)
             kinds = [pa.int64()] * 3 + [pa.string(), pa.binary()][: 1 + keep_text]
-            yield pa.RecordBatch.from_arrays([batch.column(0), *[pa.array(c, k) for c, k in zip(out, kinds, strict=True)]], ["doc", "n_bytes", "n_removed", "n_spans", "kept_sha256", "kept"][: 5 + keep_text])
+            yield pa.RecordBatch.from_arrays([batch.column(0), *[pa.array(c, k) for c, k in zip(out, kinds, strict=True)]], ["id", "n_bytes", "n_removed", "n_spans", "kept_sha256", "kept"][: 5 + keep_text])
 
-    done = touched.join(per.hint("merge"), "doc", "left").select("doc", "text", "ranges").mapInArrow(cut, schema)
+    done = touched.join(per.hint("merge"), "doc", "left").select("id", "text", "ranges").mapInArrow(cut, schema)
     if rest is None:
-        return done.withColumnRenamed("doc", key)
-    as_is = rest.select("doc", F.octet_length("text").cast("long").alias("n_bytes"), F.lit(0).cast("long").alias("n_removed"), F.lit(0).cast("long").alias("n_spans"), F.sha2("text", 256).alias("kept_sha256"), *[F.col("text").cast("binary").alias("kept")] * keep_text)
-    return done.unionAll(as_is).withColumnRenamed("doc", key)
+        return done.withColumnRenamed("id", key)
+    as_is = rest.select("id", F.octet_length("text").cast("long").alias("n_bytes"), F.lit(0).cast("long").alias("n_removed"), F.lit(0).cast("long").alias("n_spans"), F.sha2("text", 256).alias("kept_sha256"), *[F.col("text").cast("binary").alias("kept")] * keep_text)
+    return done.unionAll(as_is).withColumnRenamed("id", key)
