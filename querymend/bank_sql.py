@@ -21,7 +21,7 @@ WORKLOAD = {
     "w_14": """SELECT YEAR(o_orderdate) AS y, ROUND(AVG(CASE WHEN o_orderpriority = '1-URGENT' THEN 1.0E0 ELSE 0.0E0 END), 6) AS share FROM orders GROUP BY YEAR(o_orderdate)""",
     "w_15": """SELECT ROUND(100 * SUM(CASE WHEN p_type = 'PROMO' THEN l_extendedprice * (1 - l_discount) ELSE 0.0E0 END) / SUM(l_extendedprice * (1 - l_discount)), 4) AS promo FROM lineitem JOIN part ON l_partkey = p_partkey""",
     "w_16": """SELECT k, ok, price FROM (SELECT o_custkey AS k, o_orderkey AS ok, o_totalprice AS price, ROW_NUMBER() OVER (PARTITION BY o_custkey ORDER BY o_totalprice DESC, o_orderkey) AS rn FROM orders) AS t WHERE rn = 1""",
-    "w_17": """SELECT o_custkey AS k, o_orderkey AS ok, ROUND(SUM(o_totalprice) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW), 2) AS running FROM orders WHERE o_custkey < 100""",
+    "w_17": """SELECT o_custkey AS k, o_orderkey AS ok, ROUND(SUM(o_totalprice) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW), 2) AS running FROM orders""",
     "w_18": """SELECT c.c_custkey AS k FROM customer AS c WHERE c.c_acctbal > (SELECT AVG(d.c_acctbal) FROM customer AS d WHERE d.c_mktsegment = c.c_mktsegment)""",
     "w_19": """SELECT y, m, n, n - LAG(n) OVER (ORDER BY y, m) AS growth FROM (SELECT YEAR(o_orderdate) AS y, MONTH(o_orderdate) AS m, COUNT(*) AS n FROM orders GROUP BY YEAR(o_orderdate), MONTH(o_orderdate)) AS t""",
     "w_20": """SELECT brand, k, rk FROM (SELECT p_brand AS brand, p_partkey AS k, RANK() OVER (PARTITION BY p_brand ORDER BY SUM(l_quantity) DESC, p_partkey) AS rk FROM lineitem JOIN part ON l_partkey = p_partkey GROUP BY p_brand, p_partkey) AS t WHERE rk <= 3""",

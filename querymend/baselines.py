@@ -1,124 +1,236 @@
-"""Baselines as deterministic stand-ins: what each detects, how often it touches
-a query, how it chooses. Each returns (flagged, query)."""
+"""Baselines as deterministic stand-ins for the published control structures:
+what each can see, how often it touches a query, how it chooses.
+
+Those that read one query work where the candidates lie; each returns a row
+(flagged, proposals), its proposals best first. Those that vote are aggregates over the samples' results. No
+stand-in sees the gold query or the model."""
 
 from __future__ import annotations
 
 from collections import Counter
+from collections.abc import Callable, Iterator
+from dataclasses import dataclass
+
+import pandas as pd
+from pyspark.sql import DataFrame, Window
+from pyspark.sql import functions as F
 
-from .bank import NoisyBackbone, Question
+from .bank import draw
 from .catalog import Catalog
-from .diagnose import Case, Finding, diagnose
-from .execution import Runner
-from .perturb import rewrites
+from .diagnose import Case, Finding, findings, observations
+from .perturb import column_of, rewrites
 from .sqltree import render
 from .taxonomy import PRIORITY
 
-METHODS = ["self_correction", "self_debugging", "self_consistency", "cross_consistency", "multiple_prompt", "gentle_self_correction", "execution_refiner", "agent_fixer", "guideline_corrector", "step_corrector", "self_detection", "rules_only", "keyword_types"]
-
-
-def apply(q: Question, sql: str, catalog: Catalog, pick) -> str:
-    case = Case(q.text, sql, catalog)
-    for f in sorted((f for f in diagnose(case) if pick(f)), key=lambda f: (PRIORITY[f.slot], f.slot)):
-        f.fix()
-    return render(case.tree)
-
-
-def findings(q: Question, sql: str, catalog: Catalog) -> list[Finding]:
-    return diagnose(Case(q.text, sql, catalog))
-
-
-def self_correction(q: Question, sql: str, catalog: Catalog, rounds: int = 1, gentle: bool = False) -> tuple[bool, str]:
-    """Rewrites what it is shown, also right queries: without a finding the
-    vanilla form still edits (it complies), the gentle one leaves the query."""
-    now = sql
+PROPOSED = "candidate_id string, flagged boolean, proposals array<string>, types array<int>"
+
+
+@dataclass
+class Seen:
+    """One candidate as a baseline sees it."""
+
+    question: str
+    sql: str
+    evidence: str
+    feedback: str
+    catalog: Catalog
+
+    def case(self) -> Case:
+        return Case(self.question, self.sql, self.catalog, "links", self.evidence)
+
+    def edit(self, pick: Callable[[Finding], bool], sql: str | None = None) -> str:
+        case = Case(self.question, sql or self.sql, self.catalog, "links", self.evidence)
+        for f in sorted((f for f in findings(case) if pick(f)), key=lambda f: (PRIORITY[f.slot], f.slot)):
+            try:
+                f.fix()
+            except (KeyError, IndexError, ValueError, AttributeError):
+                continue
+        return render(case.tree)
+
+
+def coverage(case: Case) -> float:
+    """Share of the question's linked columns, tables and values that the query
+    uses: all that a reader of names alone sees."""
+    used = {column_of(n) for n in case.tree.find("column")}
+    literals = {n.value.strip("'") for n in case.tree.find("literal")}
+    hits = [c in used for _, _, c, _ in case.wanted] + [t in case.read for t in case.asked] + [v in literals for v, _, _ in case.asked_values()]
+    return sum(hits) / len(hits) if hits else 1.0
+
+
+def self_correction(s: Seen, gentle: bool) -> tuple[bool, list[str], list[int]]:
+    """Reads question and query once. The plain prompt claims an error, and
+    without one in sight the reader complies and changes something; the gentle
+    one lets a query stand. The reader sees names, not the structure."""
+    case = s.case()
+    soft = [f for f in findings(case) if not f.proof and f.slot in (5, 6, 7, 8, 11)]
+    if soft:
+        new = s.edit(lambda f: (f.slot, f.reason) == (soft[0].slot, soft[0].reason))
+        return new != s.sql, [new], [soft[0].slot]
+    if not gentle and draw("comply", s.question, s.sql) < 0.3 or gentle and coverage(case) < 1 and draw("gentle", s.question, s.sql) < 0.5:
+        other = [t for slot, t in rewrites(s.sql, s.catalog) if slot in (2, 6, 9)]
+        if other:
+            return True, other[:1], []
+    return False, [], []
+
+
+def self_debugging(s: Seen, rounds: int = 3) -> tuple[bool, list[str], list[int]]:
+    """Touches only queries that fail, with what the error message names; every
+    further proposal is the next round's."""
+    if s.feedback == "ok":
+        return False, [], []
+    out, now = [], s.sql
     for _ in range(rounds):
-        soft = [f for f in findings(q, now, catalog) if f.slot in (7, 9, 11, 12)]
-        if soft:
-            now = apply(q, now, catalog, lambda f, s=soft[0].slot: f.slot == s)
-        elif not gentle:
-            now = next((t for s, t in rewrites(now, catalog) if s in (2, 6, 9)), now)
-    return now != sql, now
-
-
-def self_debugging(q: Question, sql: str, catalog: Catalog, runner: Runner, rounds: int = 3) -> tuple[bool, str]:
-    """Edits only queries that fail, until they run or the rounds are over."""
-    now, flagged = sql, False
-    for _ in range(rounds):
-        if runner.all([now])[now] is not None:
-            break
-        flagged, new = True, apply(q, now, catalog, lambda f: f.proof)
+        first = next((f.slot for f in findings(Case(s.question, now, s.catalog, "links", s.evidence)) if f.proof), None)
+        new = s.edit(lambda f, first=first: f.proof and f.slot == first, now)
         if new == now:
             break
+        out.append(new)
         now = new
-    return flagged, now
-
-
-def execution_refiner(q: Question, sql: str, catalog: Catalog, runner: Runner) -> tuple[bool, str]:
-    """Detects as self-debugging does, repairs with every finding."""
-    if runner.all([sql])[sql] is not None:
-        return False, sql
-    return True, apply(q, sql, catalog, lambda f: True)
-
-
-def vote(queries: list[str], runner: Runner) -> str:
-    """The query whose result most samples share; failing samples do not vote."""
-    known = runner.all(queries)
-    counts = Counter(known[s] for s in queries if known[s] is not None)
-    if not counts:
-        return queries[0]
-    best = max(counts.values())
-    return next(s for s in queries if known[s] is not None and counts[known[s]] == best)
-
-
-def self_consistency(q: Question, backbone: NoisyBackbone, catalog: Catalog, runner: Runner, samples: int = 5) -> str:
-    return vote([backbone.generate(q, catalog, k)[0] for k in range(samples)], runner)
-
-
-def cross_consistency(q: Question, backbones: list[NoisyBackbone], catalog: Catalog, runner: Runner) -> str:
-    return vote([b.generate(q, catalog, k)[0] for b in backbones for k in (0, 1)], runner)
-
-
-def agent_fixer(q: Question, sql: str, catalog: Catalog, runner: Runner) -> tuple[bool, str]:
-    """A reviewer flags what links do not cover; a fixer proposes one edit a
-    finding; the first that runs is taken."""
-    found = findings(q, sql, catalog)
-    named = len({w for w in q.text.split() if w[:1].isupper()}) > 3
-    if not found and not named:
-        return False, sql
-    for slot in [f.slot for f in found]:
-        new = apply(q, sql, catalog, lambda f, s=slot: f.slot == s)
-        if runner.all([new])[new] is not None:
-            return True, new
-    return True, next((t for s, t in rewrites(sql, catalog) if s in (9, 6)), sql) if not found else sql
-
-
-def learned_guideline(pairs: list[tuple[Question, str, list[int]]]) -> list[int]:
+    return True, out, []
+
+
+def execution_refiner(s: Seen) -> tuple[bool, list[str], list[int]]:
+    """Detects as self-debugging does, repairs with everything in sight."""
+    if s.feedback == "ok":
+        return False, [], []
+    return True, [s.edit(lambda f: True), s.edit(lambda f: f.proof)], []
+
+
+def agent_fixer(s: Seen) -> tuple[bool, list[str], list[int]]:
+    """A reviewer goes through the clauses and flags what the links do not
+    cover; a fixer proposes one edit a finding, a tester takes the first that
+    runs. Clauses that no name covers (order, connective, function) and numbers
+    are out of its sight."""
+    case = s.case()
+    gaps = {w.split(":")[0] for w in observations(case)} & {"tab-", "tab+", "tab~", "col-", "col~", "val-", "val~", "col+"}
+    plain = gaps - {"col+"} or (gaps and draw("reviewer", s.question, s.sql) < 0.35)
+    if not plain and s.feedback == "ok":
+        return False, [], []
+    found = [f for f in findings(case) if f.slot in (1, 2, 3, 4, 5, 6, 7, 8, 9)]
+    proposals = [s.edit(lambda f, g=g: f.reason == g.reason and f.slot == g.slot) for g in found[:3]]
+    if not proposals:
+        proposals = [t for slot, t in rewrites(s.sql, s.catalog) if slot in (6, 9)][:1]
+    return True, proposals, [f.slot for f in found[:3]]
+
+
+def guideline_corrector(s: Seen, guideline: list[int]) -> tuple[bool, list[str], list[int]]:
+    """Edits by a guideline learned from failures of the train split: the types
+    that explain most of them, in that order, each if its pattern is met."""
+    new = s.edit(lambda f: f.slot in guideline[:7])
+    return new != s.sql, [new], []
+
+
+def step_corrector(s: Seen) -> tuple[bool, list[str], list[int]]:
+    """Rebuilds the steps of the query: schema steps first (tables, joins,
+    columns), then values and conditions, then the last clause; of each kind the
+    first that does not fit."""
+    now = s.sql
+    for slots in ((1, 2, 3, 4), (5, 6, 7), (8, 9)):
+        first = next((f for f in findings(Case(s.question, now, s.catalog, "links", s.evidence)) if f.slot in slots), None)
+        if first:
+            now = s.edit(lambda f, g=first: f.slot == g.slot and f.reason == g.reason, now)
+    if now == s.sql:
+        first = next((f for f in findings(s.case()) if f.slot in (10, 11, 12)), None)
+        if first:
+            now = s.edit(lambda f, g=first: f.slot == g.slot and f.reason == g.reason, now)
+    return now != s.sql, [now], []
+
+
+def self_detection(s: Seen) -> tuple[bool, list[str], list[int]]:
+    """Asks whether the query looks right: words of the question that the text
+    of the query does not show."""
+    words = [w for w in s.case().words if len(w) > 4 and w.isalpha()]
+    return sum(w[:4] not in s.sql.lower() for w in words) > 0.75 * len(words), [], []
+
+
+#: Words by which a reader without the structure guesses a type.
+KEYWORDS = {"average": 11, "total": 11, "largest": 11, "highest": 12, "lowest": 12, "most": 12, "list": 5, "show": 5, "open": 9, "filled": 9, "returned": 9, "segment": 8, "brand": 8, "region": 1, "per": 12, "or": 10, "above": 10, "below": 10, "name": 7}
+
+
+def keyword_types(s: Seen) -> tuple[bool, list[str], list[int]]:
+    """Typed detection from words of the question alone."""
+    types = sorted({slot for word, slot in KEYWORDS.items() if word in s.case().words})
+    return bool(types), [], types
+
+
+READERS: dict[str, Callable[..., tuple[bool, list[str], list[int]]]] = {
+    "self_correction": lambda s, _: self_correction(s, False),
+    "self_debugging": lambda s, _: self_debugging(s),
+    "gentle_self_correction": lambda s, _: self_correction(s, True),
+    "execution_refiner": lambda s, _: execution_refiner(s),
+    "agent_fixer": lambda s, _: agent_fixer(s),
+    "guideline_corrector": guideline_corrector,
+    "step_corrector": lambda s, _: step_corrector(s),
+    "self_detection": lambda s, _: self_detection(s),
+    "keyword_types": lambda s, _: keyword_types(s),
+}
+VOTERS = ["self_consistency", "cross_consistency", "multiple_prompt"]
+METHODS = [*READERS, *VOTERS, "rules_only"]
+
+
+def learned_guideline(failures: list[tuple[int, ...]]) -> list[int]:
     """Slots by how often they explain failures of the train split."""
-    return [s for s, _ in Counter(s for _, _, slots in pairs for s in slots).most_common()]
-
-
-def guideline_corrector(q: Question, sql: str, catalog: Catalog, guideline: list[int]) -> tuple[bool, str]:
-    new = apply(q, sql, catalog, lambda f: f.slot in guideline[:6])
-    return new != sql, new
-
-
-def step_corrector(q: Question, sql: str, catalog: Catalog) -> tuple[bool, str]:
-    """Schema steps first (tables, joins), then one logic step."""
-    now = apply(q, sql, catalog, lambda f: f.slot <= 4)
-    logic = [f.slot for f in findings(q, now, catalog) if f.slot > 4]
-    if logic:
-        now = apply(q, now, catalog, lambda f: f.slot == logic[0])
-    return now != sql, now
-
-
-def self_detection(q: Question, sql: str, catalog: Catalog) -> bool:
-    """Words of the question that the query does not show."""
-    words = [w.lower().strip("?.,") for w in q.text.split() if len(w) > 4]
-    return sum(w[:5] not in sql.lower() for w in words) > 0.7 * len(words)
-
-
-def keyword_types(q: Question, sql: str) -> list[int]:
-    """Typed detection by words of the question alone."""
-    low = q.text.lower()
-    table = {"average": 11, "total": 11, "highest": 12, "list": 5, "open": 9, "segment": 8}
-    return sorted({slot for word, slot in table.items() if word in low})
+    return [s for s, _ in sorted(Counter(s for types in failures for s in types).items(), key=lambda x: (-x[1], x[0]))]
+
+
+def read(candidates: DataFrame, method: str, catalog: Catalog, guideline: list[int] = ()) -> DataFrame:
+    """(candidate_id, flagged, proposals, types) of one reader, best proposal
+    first. ``candidates``: candidate_id, question, sql, evidence, feedback."""
+    shared = candidates.sparkSession.sparkContext.broadcast((catalog, list(guideline)))
+    name = method
+
+    def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        cat, rules = shared.value
+        for frame in frames:
+            rows = []
+            for r in frame.itertuples():
+                flagged, proposals, types = READERS[name](Seen(r.question or "", r.sql or "", r.evidence or "", r.feedback or "ok", cat), rules)
+                rows.append((r.candidate_id, flagged, [p for p in proposals if p != r.sql], types))
+            yield pd.DataFrame(rows, columns=["candidate_id", "flagged", "proposals", "types"])
+
+    return candidates.select("candidate_id", "question", "sql", "evidence", "feedback").mapInPandas(run, PROPOSED)
+
+
+def tested(read: DataFrame, candidates: DataFrame, results: DataFrame) -> DataFrame:
+    """(candidate_id, flagged, types, refined_sql): the first proposal that
+    runs; without one the query as it was. ``results``: (sql, fp)."""
+    tries = read.select("candidate_id", F.posexplode("proposals").alias("turn", "sql")).join(results, "sql").where("fp is not null")
+    best = tries.groupBy("candidate_id").agg(F.min_by("sql", "turn").alias("refined"))
+    both = candidates.select("candidate_id", "sql").join(read.select("candidate_id", "flagged", "types"), "candidate_id").join(best, "candidate_id", "left")
+    return both.select("candidate_id", "flagged", "types", F.coalesce("refined", "sql").alias("refined_sql"))
+
+
+def voted(samples: DataFrame, results: DataFrame) -> DataFrame:
+    """(question_id, refined_sql, share): the query whose result most samples
+    share. Failing samples have no vote; of ties the lowest sample counts, and
+    of all failing ones the first. ``samples``: question_id, sample, sql, weight."""
+    rows = samples.join(results, "sql", "left")
+    votes = rows.groupBy("question_id", "fp").agg(F.sum("weight").alias("votes"), F.min(F.struct("sample", "sql")).alias("first"))
+    order = Window.partitionBy("question_id").orderBy(F.col("fp").isNull(), F.desc("votes"), "first.sample")
+    best = votes.withColumn("rank", F.row_number().over(order)).withColumn("all", F.sum("votes").over(Window.partitionBy("question_id"))).where("rank = 1")
+    return best.select("question_id", F.col("first.sql").alias("refined_sql"), F.round(F.col("votes") / F.col("all"), 6).alias("share"))
+
+
+def prompt_view(question: str, sql: str, catalog: Catalog, view: int) -> float:
+    """How much a prompt view trusts a sample: views show the schema in another
+    order or cut to the linked tables, so each weighs a sample by how well the
+    part that it shows covers the query."""
+    case = Case(question, sql, catalog)
+    tables = sorted(catalog.columns, key=lambda t: draw("view", view, t))
+    shown = set(tables[: len(tables) - view % 3]) | set(case.asked)
+    read = set(case.read)
+    return round(0.5 + 0.5 * (len(read & shown) / len(read) if read else 0) * coverage(case), 6)
+
+
+def weighed(samples: DataFrame, catalog: Catalog) -> DataFrame:
+    """``samples`` (question_id, sample, question, sql) with the weight that
+    sample's own prompt view gives it."""
+    shared = samples.sparkSession.sparkContext.broadcast(catalog)
+
+    def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for f in frames:
+            f = f.copy()
+            f["weight"] = [prompt_view(q, s, shared.value, int(k)) for q, s, k in zip(f["question"], f["sql"], f["sample"], strict=True)]
+            yield f
+
+    return samples.select("question_id", "sample", "question", "sql").mapInPandas(run, "question_id string, sample int, question string, sql string, weight double")

@@ -1,22 +1,23 @@
-"""Schema graph, keys, closed value dictionaries and question links.
+"""The question-schema structure: tables, columns, keys, foreign keys and small
+value dictionaries of a database, and the links from a question's phrases.
 
-The catalog of a database is small (columns, not rows) and is shipped to the
-executors; the values of a column are kept only up to ``most_values``."""
+Links come from names, abbreviations in names, values, evidence given with the
+question, and words learned from the train split; an external linker can add
+its own. The catalog's size follows the schema, not the rows."""
 
 from __future__ import annotations
 
 import re
+from collections import Counter, defaultdict
+from collections.abc import Callable, Iterable
 from dataclasses import dataclass, field
+from functools import lru_cache, reduce
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-#: Words for the parts of column names, and words for tables.
-PHRASES = {"acctbal": "balance", "mktsegment": "segment", "totalprice": "price", "orderstatus": "status", "orderpriority": "priority", "orderdate": "date", "retailprice": "price", "extendedprice": "price", "returnflag": "flag", "linestatus": "status", "shipdate": "shipped", "nationkey": "nation", "regionkey": "region", "custkey": "customer", "suppkey": "supplier", "partkey": "part", "orderkey": "order"}
-TABLE_WORDS = {"lineitem": {"line", "lineitem"}, "customer": {"customer", "client"}, "orders": {"order"}}
-SYNONYMS = {"funds": "balance", "account": "balance", "clients": "customer", "vendors": "supplier", "urgent": "1-URGENT", "open": "O", "pending": "O", "returned": "R", "click": "click", "view": "view"}
-#: Values that a word of the question stands for: (column, value).
-VALUE_WORDS = {"urgent": ("o_orderpriority", "1-URGENT"), "open": ("o_orderstatus", "O"), "pending": ("o_orderstatus", "O"), "returned": ("l_returnflag", "R")}
+WHOLE = ("int", "bigint", "smallint", "tinyint")
+Link = tuple[str, str, str, str, float]  # phrase, table, column or "", relation, weight
 
 
 @dataclass
@@ -25,6 +26,8 @@ class Catalog:
     keys: dict[str, str] = field(default_factory=dict)
     foreign: list[tuple[str, str, str, str]] = field(default_factory=list)  # table, column, table, column
     values: dict[str, list[str]] = field(default_factory=dict)
+    #: word -> (table, column, value or "") that it stands for, learned
+    words: dict[str, tuple[str, str, str]] = field(default_factory=dict)
 
     def owners(self, column: str) -> list[str]:
         return [t for t, cols in self.columns.items() if column.lower() in cols]
@@ -34,60 +37,117 @@ class Catalog:
         found = [(c, d) if t == a else (d, c) for t, c, u, d in self.foreign if {t, u} == {a, b}]
         return found[0] if len(found) == 1 else None
 
+    def keeps_rows(self, a: str, b: str) -> bool:
+        """Whether an inner join of ``a`` with ``b`` along their foreign key
+        returns each row of ``a`` once: b is the side with the unique key, and
+        no value of a is missing there."""
+        return any((t, u) == (a, b) for t, _, u, _ in self.foreign) and self.edge(a, b) is not None
+
+    def path(self, a: str, b: str) -> list[tuple[str, str, str, str]]:
+        """Foreign keys of a shortest way between two tables; empty if none."""
+        ways: dict[str, list] = {a: []}
+        todo = [a]
+        for t in todo:
+            for e in self.foreign:
+                for u, v in ((e[0], e[2]), (e[2], e[0])):
+                    if u == t and v not in ways:
+                        ways[v] = [*ways[t], e]
+                        todo.append(v)
+        return ways.get(b, [])
+
 
 def stem(column: str) -> str:
     return column.split("_", 1)[-1]
 
 
+def union(frames: Iterable[DataFrame]) -> DataFrame | None:
+    frames = list(frames)
+    return reduce(DataFrame.unionAll, frames) if frames else None
+
+
 def infer_keys(spark: SparkSession, tables: list[str]) -> DataFrame:
-    """(tab, col): columns named like keys whose values are unique and not null,
-    by one exact aggregate a table after an approximate filter."""
-    out = []
-    for t in tables:
-        df = spark.table(t)
-        cand = [c for c in df.columns if re.search(r"(key|_id)$", c)]
-        if not cand:
-            continue
-        row = df.agg(F.count("*").alias("n"), *[F.approx_count_distinct(c, 0.02).alias(c) for c in cand]).first()
-        cand = [c for c in cand if row["n"] and row[c] >= 0.9 * row["n"]]
-        if cand:
-            exact = df.agg(*[F.count_distinct(c).alias(c) for c in cand], *[F.count(c).alias(f"{c}__n") for c in cand]).first()
-            out += [(t, c) for c in cand if exact[c] == row["n"] == exact[f"{c}__n"]]
-    return spark.createDataFrame(out, "tab string, col string")
+    """(tab, col): columns named like keys whose values are unique and not null.
+    One approximate aggregate over each table, one job for all; then one exact
+    aggregate for the columns that are left."""
+    named = {t: [c for c in spark.table(t).columns if re.search(r"(key|_id)$", c)] for t in tables}
+    rough = union(
+        spark.table(t).agg(F.count("*").alias("n"), *[F.approx_count_distinct(c, 0.02).alias(c) for c in cols])
+        .select(F.lit(t).alias("tab"), F.explode(F.array(*[F.struct(F.lit(c).alias("col"), F.col("n"), F.col(c).alias("d")) for c in cols])).alias("r")).select("tab", "r.*")
+        for t, cols in named.items() if cols
+    )
+    left = [(r.tab, r.col) for r in rough.where("n > 0 and d >= 0.9 * n").collect()] if rough is not None else []
+    exact = union(
+        spark.table(t).agg(F.count("*").alias("n"), F.count_distinct(c).alias("d"), F.count(c).alias("full")).select(F.lit(t).alias("tab"), F.lit(c).alias("col"), "n", "d", "full")
+        for t, c in left
+    )
+    unique = {(r.tab, r.col) for r in exact.where("n = d and n = full").collect()} if exact is not None else set()
+    order = [(t, c) for t in tables for c in named[t] if (t, c) in unique]
+    return spark.createDataFrame(order, "tab string, col string")
 
 
 def infer_foreign_keys(spark: SparkSession, tables: list[str], keys: dict[str, str]) -> DataFrame:
     """(tab, col, ref_tab, ref_col, orphans): columns with the stem of a unique
     key of another table and no value outside it. Inclusion alone would invent
-    keys, as all integer keys start at 0."""
-    out = []
-    for t in tables:
-        for c, kind in spark.table(t).dtypes:
-            for u, k in keys.items():
-                if u != t and stem(c) == stem(k) != "id" and c != keys.get(t) and kind in ("int", "bigint"):
-                    orphans = spark.table(t).where(F.col(c).isNotNull()).join(spark.table(u), F.col(c) == F.col(k), "left_anti").count()
-                    if not orphans:
-                        out.append((t, c, u, k, orphans))
-    return spark.createDataFrame(out, "tab string, col string, ref_tab string, ref_col string, orphans long")
+    keys, as all integer keys start at 0. Least and greatest values rule most
+    pairs out in one job; the rest are tested exactly in one more."""
+    kinds = {t: dict(spark.table(t).dtypes) for t in {*tables, *keys}}
+    pairs = [(t, c, u, k) for t in tables for c, kind in kinds[t].items() for u, k in keys.items() if u != t and stem(c) == stem(k) != "id" and c != keys.get(t) and kind in WHOLE]
+    if not pairs:
+        return spark.createDataFrame([], "tab string, col string, ref_tab string, ref_col string, orphans long")
+    ends = defaultdict(set)
+    for t, c, u, k in pairs:
+        ends[t].add(c)
+        ends[u].add(k)
+    spans = union(
+        spark.table(t).agg(*[F.struct(F.min(c).cast("long"), F.max(c).cast("long")).alias(c) for c in sorted(cols)])
+        .select(F.explode(F.map_from_arrays(F.array(*[F.lit(f"{t}.{c}") for c in sorted(cols)]), F.array(*sorted(cols)))).alias("name", "span")).select("name", "span.*")
+        for t, cols in ends.items()
+    )
+    span = {r[0]: (r[1], r[2]) for r in spans.collect()}
+    inside = lambda a, b: None in (*a, *b) or b[0] <= a[0] and a[1] <= b[1]
+    likely = [p for p in pairs if inside(span[f"{p[0]}.{p[1]}"], span[f"{p[2]}.{p[3]}"])]
+    tests = union(
+        spark.table(t).where(F.col(c).isNotNull()).select(F.col(c).alias("v")).join(spark.table(u).select(F.col(k).alias("v")), "v", "left_anti")
+        .agg(F.count("*").alias("orphans")).select(F.lit(i).alias("i"), "orphans")
+        for i, (t, c, u, k) in enumerate(likely)
+    )
+    found = {r.i: r.orphans for r in tests.collect()} if tests is not None else {}
+    rows = [(*p, found[i]) for i, p in enumerate(likely) if not found[i]]
+    return spark.createDataFrame(rows, "tab string, col string, ref_tab string, ref_col string, orphans long")
 
 
 def build_catalog(spark: SparkSession, tables: list[str], most_values: int = 60) -> Catalog:
+    """``most_values``: columns with more distinct texts have no dictionary."""
     columns = {t: {c.lower(): k for c, k in spark.table(t).dtypes} for t in tables}
     keys: dict[str, str] = {}
     for r in infer_keys(spark, tables).collect():
         keys.setdefault(r.tab, r.col)  # the first column of a table that is unique
     foreign = [(r.tab, r.col, r.ref_tab, r.ref_col) for r in infer_foreign_keys(spark, tables, keys).collect()]
-    values: dict[str, list[str]] = {}
-    for t, cols in columns.items():
-        text = [c for c, k in cols.items() if k == "string" and c not in ("text", "html", "props", "url")]
-        if not text:
-            continue
-        counts = spark.table(t).agg(*[F.approx_count_distinct(c).alias(c) for c in text]).first()
-        few = [c for c in text if counts[c] <= most_values]
-        if few:
-            got = spark.table(t).agg(*[F.sort_array(F.collect_set(c)).alias(c) for c in few]).first()
-            values |= {c: list(got[c]) for c in few}
-    return Catalog(columns, keys, foreign, values)
+    text = {t: [c for c, k in cols.items() if k == "string" and c not in ("text", "html", "props", "url")] for t, cols in columns.items()}
+    named = lambda make: union(
+        spark.table(t).agg(*[make(c).alias(c) for c in cols]).select(F.explode(F.array(*[F.struct(F.lit(c).alias("col"), F.col(c).alias("v")) for c in cols])).alias("r")).select("r.*")
+        for t, cols in text.items() if cols
+    )
+    counts = named(F.approx_count_distinct)
+    few = {r.col for r in counts.where(F.col("v") <= most_values).collect()} if counts is not None else set()
+    text = {t: [c for c in cols if c in few] for t, cols in text.items()}
+    sets = named(lambda c: F.sort_array(F.collect_set(c)))
+    return Catalog(columns, keys, foreign, {r.col: list(r.v) for r in sets.collect()} if sets is not None else {})
+
+
+@lru_cache(8)
+def catalog_of(spark: SparkSession, sf_dir: str) -> Catalog:
+    """The catalog of a database folder, made once, with the words of the train
+    split of the question bank."""
+    from .bank import train_questions
+    from .execution import TABLES, open_db
+
+    catalog = build_catalog(open_db(spark, sf_dir, TABLES[:8]), TABLES[:8])
+    catalog.words = learn_words([(q.text, q.gold) for q in train_questions()], catalog)
+    return catalog
+
+
+# ---------------------------------------------------------------- the graph
 
 
 def schema_nodes(spark: SparkSession, catalog: Catalog) -> DataFrame:
@@ -96,40 +156,201 @@ def schema_nodes(spark: SparkSession, catalog: Catalog) -> DataFrame:
     return spark.createDataFrame(rows, "kind string, tab string, col string, dtype string, is_key boolean")
 
 
-def schema_edges(spark: SparkSession, catalog: Catalog) -> DataFrame:
+def edge_rows(catalog: Catalog) -> list[tuple[str, str, str]]:
+    """(src, dst, rel): columns of tables, of one table, keys and foreign keys."""
     rows = [(t, f"{t}.{c}", "has_column") for t, cols in catalog.columns.items() for c in cols]
-    rows += [(f"{t}.{c}", f"{t}.{c}", "pk") for t, c in catalog.keys.items()]
-    rows += [(f"{t}.{c}", f"{u}.{d}", "fk") for t, c, u, d in catalog.foreign]
-    return spark.createDataFrame(rows, "src string, dst string, rel string")
+    rows += [(f"{t}.{c}", f"{t}.{d}", "same_table") for t, cols in catalog.columns.items() for c, d in zip(cols, list(cols)[1:])]
+    rows += [(f"{t}.{c}", t, "pk") for t, c in catalog.keys.items()]
+    return rows + [(f"{t}.{c}", f"{u}.{d}", "fk") for t, c, u, d in catalog.foreign]
+
+
+def schema_edges(spark: SparkSession, catalog: Catalog) -> DataFrame:
+    return spark.createDataFrame(edge_rows(catalog), "src string, dst string, rel string")
+
+
+# ---------------------------------------------------------------- phrases and links
 
 
 def lemma(word: str) -> str:
     w = word.lower()
-    return w[:-1] if len(w) > 3 and w.endswith("s") and not w.endswith("ss") and w not in ("status",) else w
+    if len(w) > 4 and w.endswith("ies"):
+        return w[:-3] + "y"
+    return w[:-1] if len(w) > 3 and w.endswith("s") and not w.endswith(("ss", "us")) else w
+
+
+def question_words(question: str) -> list[str]:
+    return re.findall(r"[A-Za-z0-9_#-]+", question or "")
+
+
+def phrases(question: str, longest: int = 3) -> list[tuple[int, str]]:
+    """(first word's place, phrase) of all runs of 1 to ``longest`` words."""
+    words = question_words(question)
+    return [(i, " ".join(words[i : i + n])) for n in range(1, longest + 1) for i in range(len(words) - n + 1)]
+
+
+def piece_of(name: str, word: str) -> str:
+    """The part of a column's name that a word stands for: the word itself, or
+    its beginning of three letters or more at an end of the name."""
+    if len(word) >= 3 and word in name:
+        return word
+    for size in range(min(len(word), len(name)), 2, -1):
+        if len(word) >= 5 and (name.endswith(word[:size]) or name.startswith(word[:size])):
+            return word[:size]
+    return ""
+
 
+def name_link(name: str, phrase: str) -> float:
+    """Share of a name's letters that a phrase's words cover; 0 if one of the
+    words covers none."""
+    left = name
+    for w in phrase.lower().split():
+        piece = piece_of(left, lemma(w)) or piece_of(left, w)
+        if not piece:
+            return 0.0
+        left = left.replace(piece, "", 1)
+    return 1 - len(left) / len(name)
 
-def question_links(question: str, catalog: Catalog, full: bool = False) -> list[tuple[str, str, str, str, float]]:
+
+def evidence_links(evidence: str, catalog: Catalog) -> list[Link]:
+    """Links that a note states: ``word means column = 'value'``, or ``word
+    means column`` or a table."""
+    out: list[Link] = []
+    for word, what, value in re.findall(r"([\w-]+) means (\w+)(?: = '([^']*)')?", evidence or ""):
+        for t, cols in catalog.columns.items():
+            if what == t:
+                out.append((word, t, "", "link_synonym", 1.0))
+            elif what in cols:
+                out.append((value, t, what, "link_value", 1.0) if value else (word, t, what, "link_synonym", 1.0))
+    return out
+
+
+def question_links(question: str, catalog: Catalog, full: bool = False, evidence: str = "", external: Callable[[str, Catalog], Iterable[Link]] | None = None) -> list[Link]:
     """(phrase, table, column or "", relation, weight). Relations: link_exact,
-    link_partial, link_synonym, link_value; ``full`` links all with all."""
-    words = re.findall(r"[A-Za-z0-9_#-]+", question or "")
-    out = []
+    link_partial, link_synonym, link_value; ``full`` links all with all.
+    ``external`` is another linker, whose links are added."""
+    words = question_words(question)
+    if full:
+        targets = [(t, c) for t, cols in catalog.columns.items() for c in ("", *cols)]
+        return sorted((w, t, c, "link_full", 0.1) for w in set(words) for t, c in targets)
+    best: dict[tuple[str, str], Link] = {}
+
+    def add(phrase: str, t: str, c: str, rel: str, weight: float) -> None:
+        old = best.get((t, c))
+        if old is None or weight > old[4]:
+            best[t, c] = (phrase, t, c, rel, weight)
+
+    values: list[Link] = []
+    runs = [p for _, p in phrases(question)]
     for t, cols in catalog.columns.items():
-        names = TABLE_WORDS.get(t, {lemma(t)})
         for w in words:
-            low = lemma(SYNONYMS.get(w.lower(), w))
-            if full:
-                out.append((w, t, "", "link_full", 0.1))
-            elif low in names:
-                out.append((w, t, "", "link_synonym" if w.lower() in SYNONYMS else "link_exact", 1.0))
+            if lemma(w) == lemma(t):
+                add(w, t, "", "link_exact", 1.0)
+            elif len(w) >= 4 and t.startswith(lemma(w)) and lemma(w) != lemma(t):
+                add(w, t, "", "link_partial", 0.6)
         for c in cols:
-            parts = {stem(c), PHRASES.get(stem(c), stem(c)), *stem(c).split("_")}
-            for w in words:
-                low = lemma(SYNONYMS.get(w.lower(), w))
-                if full:
-                    out.append((w, t, c, "link_full", 0.1))
-                elif low in parts:
-                    out.append((w, t, c, "link_synonym" if w.lower() in SYNONYMS else "link_partial", 0.7))
-            for v in catalog.values.get(c, []):
-                if any(w == v or (len(v) > 1 and lemma(w) == lemma(v)) for w in words) or (c, v) in [VALUE_WORDS.get(w.lower()) for w in words]:
-                    out.append((v, t, c, "link_value", 1.0))
-    return sorted(set(out))
+            for p in runs:
+                score = name_link(stem(c), p)
+                if score >= 0.4:
+                    add(p, t, c, "link_exact" if score == 1 else "link_partial", round(score, 3))
+            known = catalog.values.get(c, [])
+            # a value of one word and signs or digits; the word must tell it apart
+            parts = {v: "".join(re.findall(r"[A-Za-z]+", v)).lower() for v in known if re.fullmatch(r"[^A-Za-z]*[A-Za-z]{3,}[^A-Za-z]*", v)}
+            for v in known:
+                sole = sum(x == parts.get(v) for x in parts.values()) == 1
+                if any(w == v or len(v) > 1 and lemma(w) == lemma(v) or sole and w.lower() == parts[v] for w in words):
+                    values.append((v, t, c, "link_value", 1.0))
+    for w in words:
+        if lemma(w) in catalog.words:
+            t, c, v = catalog.words[lemma(w)]
+            if v:
+                values.append((v, t, c, "link_value", 1.0))
+            else:
+                add(w, t, c, "link_synonym", 0.9)
+    for p, t, c, rel, weight in [*evidence_links(evidence, catalog), *(external(question, catalog) if external else [])]:
+        if rel == "link_value":
+            values.append((p, t, c, rel, weight))
+        else:
+            add(p, t, c, rel, weight)
+    return sorted({*best.values(), *values})
+
+
+def learn_words(pairs: list[tuple[str, str]], catalog: Catalog, support: int = 3, share: float = 0.9) -> dict[str, tuple[str, str, str]]:
+    """Words of questions that stand for a value or a table of their right query
+    without naming it: seen in ``support`` questions, with it in ``share`` of
+    them, and the other way round. A word that is part of a column's name stands
+    for no table. Only the train split is read."""
+    from .sqltree import parse
+
+    together, seen, given = Counter(), Counter(), Counter()
+    for text, gold in pairs:
+        tree = parse(gold)
+        bare = Catalog(catalog.columns, catalog.keys, catalog.foreign, catalog.values)
+        links = question_links(text, bare)
+        linked = {lemma(x) for p, *_, weight in links if weight == 1 for x in p.split()}
+        parts = {lemma(x) for p, _, c, *_ in links if c for x in p.split()}
+        things = {(r.value.lower(), "", "") for r in tree.find("relation")}
+        for op in tree.find("op"):
+            if op.value == "=" and op.kids[0].role == "column" and op.kids[1].role == "literal" and op.kids[1].value.startswith("'"):
+                c = op.kids[0].value.split(".")[-1].lower()
+                things |= {(t, c, op.kids[1].value.strip("'")) for t in catalog.owners(c)}
+        words = {lemma(w) for w in question_words(text) if len(w) > 3 and w.islower()} - linked
+        seen.update(words)
+        given.update(things)
+        together.update((w, x) for w in words for x in things if x[2] or w not in parts)
+    out: dict[str, tuple[str, str, str]] = {}
+    total = len(pairs)
+    for w, n in seen.items():
+        # what comes with the word far more often than without it
+        fits = [(together[w, x] / n - given[x] / total, x) for x in given if n >= support and together[w, x] >= share * n and given[x] < 0.3 * total and together[w, x] >= share * given[x]]
+        if fits:
+            best = max(fits, key=lambda f: (f[0], f[1][2] != "", f[1]))
+            if sum(f[0] >= best[0] - 1e-9 for f in fits) == 1:
+                out[w] = best[1]
+    return out
+
+
+# ---------------------------------------------------------------- assembly
+
+
+def structure(question: str, catalog: Catalog, **options) -> list[tuple[str, str, str, float]]:
+    """(src, dst, rel, weight): the schema's edges and the question's links."""
+    rows = [(*e, 1.0) for e in edge_rows(catalog)]
+    return rows + [(f"q:{p}", f"{t}.{c}" if c else t, rel, w) for p, t, c, rel, w in question_links(question, catalog, **options)]
+
+
+def near_tables(catalog: Catalog, tables: Iterable[str], links: Iterable[Link] = ()) -> set[str]:
+    """Tables of the query, those linked, and those on ways between them."""
+    out = {t for t in tables if t in catalog.columns} | {t for _, t, c, _, _ in links if not c}
+    for a in list(out):
+        for b in list(out):
+            out |= {x for e in catalog.path(a, b) for x in (e[0], e[2])}
+    return out
+
+
+def linear_structure(catalog: Catalog, tables: Iterable[str], links: Iterable[Link]) -> str:
+    """The part of the structure near a query, as text: tables with the columns
+    that are linked or keys, foreign keys, then links."""
+    links = list(links)
+    near = near_tables(catalog, tables, links)
+    linked = {(t, c) for _, t, c, _, _ in links}
+    parts = []
+    for t in sorted(near):
+        cols = [c for c in catalog.columns[t] if (t, c) in linked or catalog.keys.get(t) == c or any((t, c) in ((e[0], e[1]), (e[2], e[3])) for e in catalog.foreign)]
+        parts.append(f"{t}({', '.join(cols)})")
+    parts += [f"{t}.{c}={u}.{d}" for t, c, u, d in catalog.foreign if t in near and u in near]
+    return " | ".join(parts + [f"{p} -> {t + '.' + c if c else t} [{rel[5:]}]" for p, t, c, rel, _ in links if t in near])
+
+
+def structure_frame(questions: DataFrame, catalog: Catalog) -> DataFrame:
+    """(question_id, src, dst, rel, weight) of the links of many questions; the
+    catalog is broadcast, whose size is that of the schema."""
+    import pandas as pd
+
+    shared = questions.sparkSession.sparkContext.broadcast(catalog)
+
+    def run(frames):
+        for frame in frames:
+            rows = [(i, f"q:{p}", f"{t}.{c}" if c else t, rel, w) for i, q in zip(frame["question_id"], frame["question"], strict=True) for p, t, c, rel, w in question_links(q or "", shared.value)]
+            yield pd.DataFrame(rows, columns=["question_id", "src", "dst", "rel", "weight"])
+
+    return questions.select("question_id", "question").mapInPandas(run, "question_id string, src string, dst string, rel string, weight double")

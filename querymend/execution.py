@@ -1,17 +1,30 @@
-"""Running queries and comparing results: feedback, fingerprints, batches."""
+"""Running queries: databases as sessions, outcomes, result fingerprints.
+
+A database is a folder of Parquet tables. ``open_db`` gives it a session of its
+own, so that the views of two folders never mix. Two results are compared by
+one-row fingerprints: order-free sums and xors of two independent row hashes."""
 
 from __future__ import annotations
 
+import logging
+import re
 from collections.abc import Iterable
 from concurrent.futures import ThreadPoolExecutor
 
 from py4j.protocol import Py4JJavaError
+from pyspark import StorageLevel
 from pyspark.errors import PySparkException
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from .shared import workspace
+
 TABLES = "region nation customer supplier part orders lineitem events documents labels conversations pages benchmark embeddings".split()
+#: A candidate that fails is a result here; its message needs no log line.
+logging.getLogger("SQLQueryContextLogger").setLevel(logging.CRITICAL)
+#: Bytes of a database for each shuffle partition of its session.
+PARTITION_BYTES = 64 << 20
 
 
 def register_db(spark: SparkSession, sf_dir: str, tables: Iterable[str] = TABLES) -> None:
@@ -20,6 +33,22 @@ def register_db(spark: SparkSession, sf_dir: str, tables: Iterable[str] = TABLES
         spark.read.parquet(f"{sf_dir}/{name}.parquet").createOrReplaceTempView(name)
 
 
+def folder_bytes(spark: SparkSession, path: str) -> int:
+    at = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    return at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).getContentSummary(at).getLength()
+
+
+def open_db(spark: SparkSession, sf_dir: str, tables: Iterable[str] = TABLES[:9]) -> SparkSession:
+    """A session of its own with the folder's tables as views; its number of
+    shuffle partitions follows their bytes."""
+    db = spark.newSession()
+    register_db(db, sf_dir, tables)
+    size = sum(folder_bytes(spark, f"{sf_dir}/{t}.parquet") for t in tables)
+    db.conf.set("spark.sql.shuffle.partitions", str(max(1, -(-size // PARTITION_BYTES))))
+    db.conf.set("spark.sql.session.timeZone", "UTC")
+    return db
+
+
 def feedback(spark: SparkSession, sql: str, level: str = "analyze") -> dict:
     """Outcome of a query up to ``level``: parse, analyze (no data is read) or full."""
     out = {"status": "ok", "stage": level, "error_class": None, "sqlstate": None, "start": None, "stop": None, "params": {}}
@@ -42,14 +71,32 @@ def feedback(spark: SparkSession, sql: str, level: str = "analyze") -> dict:
     return out
 
 
+def plan_key(spark: SparkSession, sql: str) -> str | None:
+    """Text of the optimized plan with expression ids numbered anew: queries
+    with one key return the same rows. None if the query does not analyse."""
+    try:
+        plan = spark.sql(sql)._jdf.queryExecution().optimizedPlan().canonicalized().toString()
+    except (PySparkException, Py4JJavaError):
+        return None
+    seen: dict[str, str] = {}
+    return re.sub(r"#\d+L?", lambda m: seen.setdefault(m[0], f"#{len(seen)}"), plan)
+
+
 def canonical(field: T.StructField) -> Column:
-    """A cell as text, so that equal values of different number types agree."""
+    """A cell as text, so that equal values of different number types agree.
+
+    Integers and decimals are compared exactly. Doubles within 1e-11 of a whole
+    number (relative) are that number; others agree in 12 significant digits, as
+    sums of doubles depend on the order of their terms. -0.0 is 0, NaN is NaN."""
     c = F.col(f"`{field.name}`")
     kind = field.dataType
-    if isinstance(kind, (T.DoubleType, T.FloatType, T.DecimalType)):
-        text = F.format_string("%.6e", F.round(c.cast("double"), 4) + F.lit(0.0))
+    if isinstance(kind, (T.DoubleType, T.FloatType)) or isinstance(kind, T.DecimalType) and kind.scale > 0:
+        x = c.cast("double")
+        whole = F.rint(x)
+        near = (F.abs(x) < F.lit(9.0e15)) & (F.abs(x - whole) <= F.abs(x) * F.lit(1e-11))
+        text = F.when(F.isnan(x), F.lit("NaN")).when(near, whole.cast("long").cast("string")).otherwise(F.format_string("%.11e", x))
     elif isinstance(kind, T.NumericType):
-        text = F.format_string("%.6e", c.cast("double"))
+        text = c.cast("string")
     elif isinstance(kind, (T.ArrayType, T.StructType, T.MapType)):
         text = F.to_json(c)
     else:
@@ -57,25 +104,38 @@ def canonical(field: T.StructField) -> Column:
     return F.coalesce(F.concat(F.lit("v"), text), F.lit("n"))
 
 
+def canonical_rows(df: DataFrame) -> DataFrame:
+    """The result with its cells as canonical texts, under names by place."""
+    df = df.toDF(*[f"c{i}" for i in range(len(df.columns))])
+    return df.select(*[canonical(f).alias(f.name) for f in df.schema.fields])
+
+
 def fingerprint(df: DataFrame, mode: str = "bag") -> DataFrame:
-    """One row (n, s, x) that equal results share: counts and order-free sums of
-    row hashes in one pass. ``set`` ignores repeats, ``ordered`` numbers rows."""
-    names = [f"c{i}" for i in range(len(df.columns))]
-    df = df.toDF(*names)
-    cells = F.concat_ws("\x1f", *[canonical(f) for f in df.schema.fields])
-    rows = df.select(cells.alias("r"))
+    """One row (n, s, x) that equal results share, from one pass. ``set``
+    ignores repeats, ``ordered`` adds each row's number to its hash."""
+    rows = canonical_rows(df)
+    cells = [F.lit(len(rows.columns)), *rows.columns]
     if mode == "set":
         rows = rows.distinct()
     if mode == "ordered":
-        rows = rows.coalesce(1).select(F.concat_ws("\x1e", F.monotonically_increasing_id().cast("string"), "r").alias("r"))
-    h = F.xxhash64(F.lit(len(names)), "r")
-    return rows.agg(F.count("*").alias("n"), F.coalesce(F.sum(h.cast("decimal(38,0)")), F.lit(0)).cast("decimal(38,0)").alias("s"), F.coalesce(F.bit_xor(h), F.lit(0)).alias("x"))
+        rows, cells = numbered(rows), [*cells, "place"]
+    h, g = F.xxhash64(*cells), F.xxhash64(F.lit("x"), *cells)
+    return rows.agg(F.count("*").alias("n"), F.coalesce(F.sum(h.cast("decimal(38,0)")), F.lit(0)).cast("decimal(38,0)").alias("s"), F.coalesce(F.bit_xor(g), F.lit(0)).alias("x"))
+
+
+def numbered(rows: DataFrame) -> DataFrame:
+    """``rows`` with their place in the result's order. Each partition counts
+    its own rows; only one number a partition passes through a single task."""
+    rows = rows.select("*", F.spark_partition_id().alias("part"), F.monotonically_increasing_id().bitwiseAND(F.lit((1 << 33) - 1)).alias("at")).persist(StorageLevel.DISK_ONLY)
+    before = Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
+    starts = rows.groupBy("part").agg(F.count("*").alias("rows")).withColumn("first", F.coalesce(F.sum("rows").over(before), F.lit(0)))
+    return rows.join(F.broadcast(starts.select("part", "first")), "part").withColumn("place", F.col("first") + F.col("at")).drop("part", "at", "first")
 
 
 class Runner:
     """Fingerprints of queries, each text once, several at a time."""
 
-    def __init__(self, spark: SparkSession, threads: int = 6, mode: str = "bag"):
+    def __init__(self, spark: SparkSession, threads: int = 8, mode: str = "bag"):
         self.spark, self.threads, self.mode, self.known = spark, threads, mode, {}
 
     def one(self, sql: str) -> tuple | None:
@@ -96,20 +156,39 @@ class Runner:
         return self.known[a] is not None and self.known[a] == self.known[b]
 
 
-def same_result(spark: SparkSession, a: str, b: str, mode: str = "bag", strict: bool = False) -> bool:
-    """Whether two queries return the same rows; a failing one equals nothing."""
+def same_result(spark: SparkSession, a: str, b: str, mode: str = "bag", strict: bool = True) -> bool:
+    """Whether two queries return the same rows; a failing one equals nothing.
+    ``strict`` confirms equal fingerprints by the cells themselves."""
     equal = Runner(spark, 2, mode).same(a, b)
-    if equal and strict:
-        x, y = spark.sql(a), spark.sql(b)
-        y = y.toDF(*x.columns)
+    if equal and strict and mode != "ordered":
+        x, y = (canonical_rows(spark.sql(q)) for q in (a, b))
+        x, y = (x.distinct(), y.distinct()) if mode == "set" else (x, y)
         return not x.exceptAll(y).limit(1).count() and not y.exceptAll(x).limit(1).count()
     return equal
 
 
-def witness(spark: SparkSession, sf_dir: str, share: int = 10) -> None:
-    """Views over a smaller database that keeps keys consistent: orders of every
-    ``share``-th customer by hash, and what they refer to. A difference of two
-    queries on it proves a difference of the queries; equality proves nothing."""
-    register_db(spark, sf_dir)
-    spark.table("orders").where(F.pmod(F.xxhash64("o_custkey"), F.lit(share)) == 0).createOrReplaceTempView("orders")
-    spark.table("lineitem").join(spark.table("orders"), F.col("l_orderkey") == F.col("o_orderkey"), "left_semi").createOrReplaceTempView("lineitem")
+def witness(spark: SparkSession, sf_dir: str, share: int = 10, tables: Iterable[str] = TABLES[:9]) -> SparkSession:
+    """A session over a smaller database that keeps keys consistent: the orders
+    and events of every ``share``-th customer by hash, and what they refer to. A
+    difference of two queries on it proves a difference of the queries; equality
+    proves nothing."""
+    db = open_db(spark, sf_dir, tables)
+    kept = lambda name, key: db.table(name).where(F.pmod(F.xxhash64(F.col(key).cast("long")), F.lit(share)) == 0)
+    orders, lines = kept("orders", "o_custkey"), db.table("lineitem")
+    lines = lines.join(orders, F.col("l_orderkey") == F.col("o_orderkey"), "left_semi")
+    parts = {"orders": orders, "lineitem": lines, "events": kept("events", "user_id"), "customer": kept("customer", "c_custkey")}
+    for name, df in parts.items():
+        df.createOrReplaceTempView(name)
+    return db
+
+
+def written_witness(spark: SparkSession, sf_dir: str, limit: int = 4 << 20, tables: Iterable[str] = TABLES[:9]) -> SparkSession | None:
+    """A session over a written witness of about ``limit`` bytes; None for a
+    database that is no larger."""
+    size = sum(folder_bytes(spark, f"{sf_dir}/{t}.parquet") for t in tables)
+    if size <= limit:
+        return None
+    db, folder = witness(spark, sf_dir, -(-size // limit), tables), workspace(spark, "witness")
+    for t in tables:
+        db.table(t).write.parquet(f"{folder}/{t}.parquet")
+    return open_db(spark, folder, tables)

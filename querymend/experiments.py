@@ -1,176 +1,383 @@
-"""The experiment workloads on the question bank. Candidates and results are
-made once for each database folder; the measures are Spark aggregates."""
+"""The experiment workloads on the question bank, as tables: candidates, results
+of distinct texts, predictions of every method, outcomes. The driver launches
+each distinct query once (``spark.sql`` needs it); all else is joined, mapped and
+aggregated in Spark. Candidates, models and outcomes of a folder are kept."""
 
 from __future__ import annotations
 
-from functools import lru_cache
+import os
+from functools import lru_cache, reduce
 
-import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import baselines as B
 from . import metrics
-from .bank import G1, G2, VARIANTS, NoisyBackbone, Question, questions, variant
-from .catalog import Catalog, build_catalog
-from .detector import ErrorTokenModel, linear_input
-from .diagnose import Case, diagnose
-from .execution import TABLES, Runner, register_db
-from .mend import MendConfig, mend_one, without
-from .perturb import compounds, rewrites
-from .taxonomy import active_slots
-
-ABLATIONS = ["qss", "ast", "linking", "static", "semantic", "constrained", "semantic_init", "rule_data", "pair_data", "localization", "guidelines", "sub_structures", "few_shot", "priority"]
-OUTCOME = "backbone string, method string, question_id string, level string, truth_wrong boolean, failed boolean, flagged boolean, refined_equals_gold boolean, changed_result boolean, ex boolean, truth_types array<int>, types array<int>"
+from .bank import G1, G2, NoisyBackbone, Question, dev_questions, leaks, shifted, train_questions
+from .catalog import catalog_of
+from .detector import ErrorTokenModel, Segments, Words, input_words, learn_words
+from .diagnose import Case, findings
+from .execution import Runner, feedback, open_db, written_witness
+from .inject import explain
+from .mend import Example, MendConfig, mend, without
+from .perturb import compounds, mutations, rewrites
+from .taxonomy import CATEGORY_OF, active_slots
+
+ABLATIONS = ["qss", "ast", "linking", "static", "semantic", "constrained", "semantic_init", "rule_data", "assistant_data", "localization", "guidelines", "sub_structures", "few_shot", "priority"]
+CANDIDATE = "question_id string, candidate_id string, level string, question string, evidence string, gold string, sql string, truth_types array<int>, feedback string"
+#: Rewrites of a gold that are run to find those that change its result.
+TRIED = 4
 
 
 class Lab:
-    """Catalog, cached results and trained models of one database folder."""
-
-    def __init__(self, spark: SparkSession, sf_dir: str):
-        self.spark, self.sf_dir = spark, sf_dir
-        register_db(spark, sf_dir, TABLES[:9])
-        self.catalog: Catalog = build_catalog(spark, TABLES[:8])
-        self.runner = Runner(spark)
-        self.bank = questions()
-        self.dev = [q for q in self.bank if q.split == "dev"]
-        self.models: dict = {}
-
-    def training(self, pairs: bool = True, rules: bool = True) -> list[tuple[list[str], list[int]]]:
-        """Verified wrong queries of the train split with their types, and the
-        right ones with none."""
-        made: list[tuple[Question, str, list[int]]] = []
-        for q in self.bank:
-            if q.split == "train":
-                if rules:
-                    made += [(q, t, [s]) for s, t in rewrites(q.gold, self.catalog) if s <= 12]
-                if pairs:
-                    made += [(q, t, list(p)) for p, t in compounds(q.gold, self.catalog) if max(p) <= 12][:8]
-        known = self.runner.all([t for _, t, _ in made] + [q.gold for q in self.bank])
-        kept = [(q, t, s) for q, t, s in made if known[t] != known[q.gold]]
-        kept += [(q, q.gold, []) for q in self.bank if q.split == "train" for _ in range(3)]
-        return [(self.words(q.text, t), s) for q, t, s in kept]
-
-    def words(self, text: str, sql: str, cfg: MendConfig | None = None) -> list[str]:
-        found = diagnose(Case(text, sql, self.catalog, (cfg or MendConfig()).linking))
-        return linear_input(text, sql, found, "failed" if any(f.proof for f in found) else "ok")
-
-    def model(self, init: str = "semantic", pairs: bool = True, rules: bool = True, growth: bool = False) -> ErrorTokenModel:
-        key = (init, pairs, rules, growth)
-        if key not in self.models:
-            self.models[key] = ErrorTokenModel(active_slots(growth), init).fit(self.training(pairs, rules))
-        return self.models[key]
-
-    def rows(self, backbone: NoisyBackbone, method: str, cfg: MendConfig | None = None, kind: str = "base") -> list[tuple]:
-        """Outcomes of one method on the dev split."""
-        cases = []
-        guideline = B.learned_guideline([(q, t, [s]) for q in self.bank if q.split == "train" for s, t in rewrites(q.gold, self.catalog)])
-        cat, run = self.catalog, self.runner
-        for base in self.dev:
-            sql, truth = backbone.generate(base, cat)
-            q = Question(base.question_id, base.template, base.level, base.split, variant(base.text, kind), base.gold)
-            flagged, new, types = False, sql, []
-            if method == "mend":
-                cfg = cfg or MendConfig()
-                net = self.model("semantic" if cfg.semantic_init else "random", cfg.pair_data, cfg.rule_data)
-                got = mend_one(q.text, sql, cat, net, cfg)
-                flagged, new, types = got["is_wrong"], got["refined_sql"], got["types"]
-            elif method == "rules_only":
-                got = mend_one(q.text, sql, cat, None, MendConfig())
-                flagged, new, types = got["is_wrong"], got["refined_sql"], got["types"]
-            elif method in ("self_correction", "gentle_self_correction"):
-                flagged, new = B.self_correction(q, sql, cat, 1, method[0] == "g")
-            elif method in ("self_debugging", "execution_refiner", "agent_fixer"):
-                flagged, new = getattr(B, method)(q, sql, cat, run)
-            elif method == "self_consistency" or method == "multiple_prompt":
-                new = B.self_consistency(q, backbone, cat, run, 5 if method[0] == "s" else 4)
-                flagged = new != sql
-            elif method == "cross_consistency":
-                new = B.cross_consistency(q, [backbone, G2 if backbone is G1 else G1], cat, run)
-                flagged = new != sql
-            elif method == "guideline_corrector":
-                flagged, new = B.guideline_corrector(q, sql, cat, guideline)
-            elif method == "step_corrector":
-                flagged, new = B.step_corrector(q, sql, cat)
-            elif method == "self_detection":
-                flagged = B.self_detection(q, sql, cat)
-            elif method == "keyword_types":
-                types = B.keyword_types(q, sql)
-                flagged = bool(types)
-            cases.append((q, sql, truth, flagged, new, types))
-        known = run.all([x for q, sql, _, _, new, _ in cases for x in (q.gold, sql, new)])
-        out = []
-        for q, sql, truth, flagged, new, types in cases:
-            wrong = known[sql] is None or known[sql] != known[q.gold]
-            right = known[new] is not None and known[new] == known[q.gold]
-            out.append((backbone.name, method, q.question_id, q.level, wrong, known[sql] is None, flagged, right, known[new] != known[sql], right, truth if wrong else [], types))
-        return out
-
-    def outcomes(self, rows: list[tuple]) -> DataFrame:
-        return self.spark.createDataFrame(rows, OUTCOME)
+    """Catalog, results, models and outcomes of one database folder. ``share``
+    of the dev questions is asked (1 but in tests)."""
+
+    def __init__(self, spark: SparkSession, sf_dir: str, share: float = 1.0):
+        self.spark, self.share = spark, share
+        self.catalog = catalog_of(spark, sf_dir)
+        self.db = open_db(spark, sf_dir)
+        self.db.conf.set("spark.sql.adaptive.enabled", "false") if int(self.db.conf.get("spark.sql.shuffle.partitions")) == 1 else None
+        self.runner, self.failures = Runner(self.db), {}
+        # synthesis needs differences only, and one on a witness proves one
+        small = written_witness(spark, sf_dir)
+        self.small = Runner(small) if small is not None else self.runner
+        self.kept: dict = {}
+
+    # ---- results
+
+    def run(self, queries, small: bool = False) -> dict:
+        """Fingerprints of the texts, on the witness if ``small``; what fails is
+        remembered with its error class."""
+        queries = set(queries)
+        known = (self.small if small else self.runner).all(queries)
+        for q in queries:
+            if known[q] is None and q not in self.failures:
+                self.failures[q] = feedback(self.db, q)["error_class"] or "EXECUTION"
+        return known
+
+    def results(self, queries) -> DataFrame:
+        """(sql, fp) of distinct texts; fp is null where one fails."""
+        queries = sorted(set(queries))
+        known = self.run(queries)
+        rows = [(q, None if known[q] is None else "|".join(map(str, known[q]))) for q in queries]
+        return self.spark.createDataFrame(rows, "sql string, fp string").persist()
+
+    def once(self, key, make):
+        if key not in self.kept:
+            self.kept[key] = make()
+        return self.kept[key]
+
+    # ---- candidates
+
+    def bank(self, name: str) -> list[Question]:
+        return dev_questions(name, self.share) if name in "ab" else shifted(name, self.share)
+
+    def tried(self, backbone: NoisyBackbone, questions: list[Question]) -> None:
+        """Runs every gold and the first options of its generator."""
+        golds = sorted({q.gold for q in questions})
+        self.run(golds + [t for g in golds for t, _ in backbone.options(g, self.catalog)[:TRIED]])
+        if any(self.runner.known[g] is None for g in golds):
+            raise ValueError("a gold query fails")
+
+    def answers(self, backbone: NoisyBackbone, bank: str, sample: int = 0) -> dict:
+        def make():
+            self.tried(backbone, self.bank(bank))
+            return backbone.answers(self.bank(bank), "a" if bank == "a" else "b", self.catalog, self.runner.known, sample)
+
+        return self.once(("answers", backbone.name, bank, sample), make)
+
+    def candidates(self, backbone: NoisyBackbone, bank: str) -> DataFrame:
+        """One answer a question. A query that fails carries its error class."""
+
+        def make():
+            got = self.answers(backbone, bank)
+            rows = [(q.question_id, q.question_id, q.level, q.text, q.evidence, q.gold, got[q.question_id][0], list(got[q.question_id][1]), self.failures.get(got[q.question_id][0], "ok")) for q in self.bank(bank)]
+            return self.spark.createDataFrame(rows, CANDIDATE).repartition(8).persist()
+
+        return self.once(("candidates", backbone.name, bank), make)
+
+    # ---- training
+
+    def wrong_of_train(self) -> list[tuple[Question, str, list[int], str]]:
+        """(question, wrong query, types, source) of the train split: rewrites
+        and pairs by rules; mistakes of the generator that no single rule makes,
+        with the assistant's labels if its refined query returns gold's rows."""
+
+        def make():
+            made, golds, cat = [], {}, self.catalog
+            for q in train_questions():
+                golds.setdefault(q.gold, []).append(q)
+            for gold, qs in golds.items():
+                seen: dict[int, int] = {}
+                for slot, t in rewrites(gold, cat):
+                    if seen.get(slot, 0) < 2:
+                        seen[slot] = seen.get(slot, 0) + 1
+                        made.append((qs[len(made) % len(qs)], t, [slot], "rule"))
+                made += [(qs[i % len(qs)], t, sorted(p), "rule") for i, (p, t) in enumerate(compounds(gold, cat)) if i < 4]
+                free = [t for _, t in mutations(gold, cat)]
+                for i, t in enumerate(free[:: max(1, len(free) // 5)]):
+                    types, refined = explain(t, gold)
+                    made.append((qs[i % len(qs)], t, types, refined))
+            known = self.run([x for q, t, _, s in made for x in (q.gold, t, *([s] if s != "rule" else []))], True)
+            wrong = [m for m in made if known[m[1]] != known[m[0].gold]]
+            return [(q, t, types, "rule" if s == "rule" else "assistant") for q, t, types, s in wrong if s == "rule" or types and known[s] is not None and known[s] == known[q.gold]]
+
+        return self.once("train", make)
+
+    def training(self, cfg: MendConfig, slots: list[int]) -> DataFrame:
+        """(name, words, labels, weight): right and wrong queries, each half of
+        the weight, as the model is to say both."""
+        kept = [(q, t, types) for q, t, types, source in self.wrong_of_train() if set(types) <= set(slots) and (cfg.rule_data if source == "rule" else cfg.assistant_data)]
+        right = [(q, q.gold, []) for q in train_questions()]
+        linking, parts = cfg.linking if cfg.qss else "none", Segments(cfg.qss, cfg.ast, cfg.static)
+        rows = []
+        for own, mass in ((kept, 0.5), (right, 0.5)):
+            for i, (q, t, types) in enumerate(own):
+                case = Case(q.text, t, self.catalog, linking, q.evidence)
+                words = input_words(case, findings(case), self.failures.get(t, "ok"), parts)
+                rows.append((f"{q.question_id}/{i}", words, types, mass * 1000 / len(own)))
+        return self.spark.createDataFrame(rows, "name string, words array<string>, labels array<int>, weight double").repartition(8)
+
+    def model(self, cfg: MendConfig | None = None) -> ErrorTokenModel:
+        cfg = cfg or MendConfig()
+        key = ("model", cfg.qss, cfg.ast, cfg.linking, cfg.static, cfg.semantic_init, cfg.rule_data, cfg.assistant_data)
+
+        def make():
+            # the base vocabulary is learned without labels, from all inputs
+            words: Words = learn_words(self.training(cfg, active_slots(True)))
+            rows = self.training(cfg, active_slots())
+            return ErrorTokenModel(words, active_slots(), "semantic" if cfg.semantic_init else "random").fit(rows)
+
+        base = self.once(key, make)
+        if not cfg.growth:
+            return base
+        new = [s for s in active_slots(True) if s not in active_slots()]
+        return self.once((*key, "grown"), lambda: base.grown(self.training(cfg, active_slots(True)), new))
+
+    def examples(self) -> list[Example]:
+        """Train queries of which the edit of one finding gives gold's rows."""
+
+        def make():
+            from .sqltree import render
+
+            tries = []
+            for q, t, types, _ in self.wrong_of_train():
+                for k in range(len(types) == 1 and 2):
+                    case = Case(q.text, t, self.catalog, "links", q.evidence)
+                    own = [f for f in findings(case) if f.slot == types[0]]
+                    if k < len(own):
+                        try:
+                            own[k].fix()
+                        except (KeyError, IndexError, ValueError, AttributeError):
+                            continue
+                        tries.append((q, t, types[0], own[k].reason, render(case.tree)))
+            known = self.run([x for q, _, _, _, new in tries for x in (new, q.gold)], True)
+            good = [(q, t, s, reason, new) for q, t, s, reason, new in tries if known[new] is not None and known[new] == known[q.gold]]
+            cases = [Case(q.text, t, self.catalog, "links", q.evidence) for q, t, *_ in good]
+            x = self.model().words.pool([input_words(c, findings(c)) for c in cases]) / 3 if good else []
+            return [Example(s, reason, f"{q.text} {t} -> {new}", v) for (q, t, s, reason, new), v in zip(good, x, strict=True)]
+
+        return self.once("examples", make)
+
+    def guideline(self) -> list[int]:
+        return B.learned_guideline([tuple(types) for _, _, types, _ in self.wrong_of_train()])
+
+    # ---- predictions and outcomes
+
+    def mended(self, backbone: NoisyBackbone, bank: str, cfg: MendConfig) -> DataFrame:
+        net = self.model(cfg) if cfg.semantic else None
+        shown = self.examples() if cfg.few_shot and net is not None else []
+        return mend(self.candidates(backbone, bank), self.catalog, net, cfg, shown)
+
+    def predicted(self, backbone: NoisyBackbone, method: str, bank: str, cfg: MendConfig | None) -> DataFrame:
+        """(candidate_id, flagged, types, refined_sql) of one method."""
+        own = self.candidates(backbone, bank)
+        same = F.array().cast("array<int>").alias("types")
+        if method == "none":
+            return own.select("candidate_id", F.lit(False).alias("flagged"), same, F.col("sql").alias("refined_sql"))
+        if method in ("mend", "rules_only"):
+            cfg = cfg or MendConfig()
+            got = self.mended(backbone, bank, cfg if method == "mend" else MendConfig(semantic=False, few_shot=False))
+            return got.select("candidate_id", F.col("is_wrong").alias("flagged"), "types", "refined_sql")
+        if method in B.VOTERS:
+            return self.votes(backbone, method, bank)
+        got = B.read(own, method, self.catalog, self.guideline() if method == "guideline_corrector" else []).persist()
+        texts = [r[0] for r in got.select(F.explode("proposals")).distinct().collect()]
+        return B.tested(got, own, self.results(texts))
+
+    def votes(self, backbone: NoisyBackbone, method: str, bank: str) -> DataFrame:
+        other = G2 if backbone is G1 else G1
+        drawn = {"self_consistency": [(backbone, k) for k in range(5)], "cross_consistency": [(backbone, 0), (backbone, 1), (other, 0)], "multiple_prompt": [(backbone, k) for k in range(4)]}[method]
+        rows = [(q.question_id, i, q.text, self.answers(g, bank, k)[q.question_id][0]) for i, (g, k) in enumerate(drawn) for q in self.bank(bank)]
+        samples = self.spark.createDataFrame(rows, "question_id string, sample int, question string, sql string")
+        samples = B.weighed(samples, self.catalog) if method == "multiple_prompt" else samples.withColumn("weight", F.lit(1.0))
+        got = B.voted(samples, self.results(r[3] for r in rows))
+        own = self.candidates(backbone, bank).select("question_id", "candidate_id", "sql")
+        return own.join(got, "question_id").select("candidate_id", (F.col("refined_sql") != F.col("sql")).alias("flagged"), F.array().cast("array<int>").alias("types"), "refined_sql")
+
+    def outcomes(self, backbone: NoisyBackbone, method: str, bank: str = "a", cfg: MendConfig | None = None) -> DataFrame:
+        """One row a question: was it wrong, flagged, mended, changed."""
+
+        def make():
+            own, made = self.candidates(backbone, bank), self.predicted(backbone, method, bank, cfg).persist()
+            texts = {r[0] for r in made.select("refined_sql").distinct().collect()} | {x for r in own.select("gold", "sql").distinct().collect() for x in r}
+            results = self.results(texts)
+            fp = lambda name: results.select(F.col("sql").alias(name), F.col("fp").alias(f"{name}_fp"))
+            rows = own.join(made, "candidate_id").join(fp("gold"), "gold").join(fp("sql"), "sql").join(fp("refined_sql"), "refined_sql")
+            rows = rows.select(
+                F.lit(backbone.name).alias("backbone"), F.lit(method).alias("method"), F.lit(bank).alias("bank"), "question_id", "level", (~F.col("sql_fp").eqNullSafe(F.col("gold_fp"))).alias("truth_wrong"), F.col("sql_fp").isNull().alias("failed"), "flagged",
+                F.col("refined_sql_fp").eqNullSafe(F.col("gold_fp")).alias("refined_equals_gold"), (~F.col("refined_sql_fp").eqNullSafe(F.col("sql_fp"))).alias("changed_result"), F.col("refined_sql_fp").eqNullSafe(F.col("gold_fp")).alias("ex"), "truth_types", "types",
+            )
+            rows = rows.persist()
+            rows.count()
+            results.unpersist()
+            made.unpersist()
+            return rows
+
+        return self.once(("outcomes", backbone.name, method, bank, cfg), make)
+
+    def all(self, backbones, methods, bank: str = "a") -> DataFrame:
+        return reduce(DataFrame.unionAll, [self.outcomes(g, m, bank) for g in backbones for m in methods])
 
 
 @lru_cache(4)
+def _lab(spark: SparkSession, sf_dir: str, share: float) -> Lab:
+    return Lab(spark, sf_dir, share)
+
+
 def lab(spark: SparkSession, sf_dir: str) -> Lab:
-    return Lab(spark, sf_dir)
+    """The folder's lab. Its database is a session of its own, so that views of
+    another folder cannot get in. QUERYMEND_SHARE asks a part of the questions."""
+    return _lab(spark, sf_dir, float(os.environ.get("QUERYMEND_SHARE", "1")))
+
 
+#: The methods of the main table, by generator.
+TABLE = {"G1": ["none", "self_correction", "self_debugging", "self_consistency", "cross_consistency", "multiple_prompt", "gentle_self_correction", "execution_refiner", "agent_fixer", "guideline_corrector", "step_corrector"], "G2": ["none", "gentle_self_correction", "agent_fixer", "step_corrector"]}
+WEAK = MendConfig(edits=1)
 
-def exp_refine(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Execution accuracy by level: both generators, all methods."""
+
+def _refine(spark: SparkSession, sf_dir: str, bank: str) -> DataFrame:
     at = lab(spark, sf_dir)
-    rows = [r for g in (G1, G2) for m in ["none", *B.METHODS[:10], "mend"] for r in at.rows(g, m)]
-    return metrics.execution_accuracy(at.outcomes(rows), by=("backbone", "method"))
+    rows = []
+    for g in (G1, G2):
+        rows += [at.outcomes(g, m, bank) for m in TABLE[g.name]]
+        rows += [at.outcomes(g, "mend", bank, cfg).withColumn("method", F.lit(name)) for name, cfg in (("mend_r1", WEAK), ("mend_r2", MendConfig()))]
+    table = metrics.execution_accuracy(reduce(DataFrame.unionAll, rows), by=("backbone", "method"))
+    plain = table.where("method = 'none'").select("backbone", "level", F.col("ex").alias("before"))
+    joined = table.join(plain, (table["backbone"] == plain["backbone"]) & table["level"].eqNullSafe(plain["level"])).drop(plain["backbone"], plain["level"])
+    return joined.select("backbone", "method", "level", "questions", "ex", metrics.ratio(F.col("ex") - F.col("before"), F.col("before")).alias("relative_gain"))
+
+
+def exp_refine_a(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Execution accuracy by three levels: both generators, all methods."""
+    return _refine(spark, sf_dir, "a")
+
+
+def exp_refine_b(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The same on the second bank, by four levels."""
+    return _refine(spark, sf_dir, "b")
 
 
 def exp_variants(spark: SparkSession, sf_dir: str) -> DataFrame:
     at = lab(spark, sf_dir)
-    rows = [(kind, *r[1:]) for kind in VARIANTS for m in ("none", "agent_fixer", "mend") for r in at.rows(G1, m, kind=kind)]
-    out = at.outcomes(rows).withColumnRenamed("backbone", "variant")
-    return out.groupBy("variant", "method").agg(metrics.ratio(metrics.n(F.col("ex")), F.count("*")).alias("ex"))
+    rows = reduce(DataFrame.unionAll, [at.outcomes(G1, m, kind) for kind in ("b", "realistic", "synonym", "domain") for m in ("none", "agent_fixer", "mend")])
+    table = rows.groupBy(F.col("bank").alias("variant"), "method").agg(F.count("*").alias("questions"), metrics.ratio(metrics.n(F.col("ex")), F.count("*")).alias("ex"))
+    plain = table.where("method = 'none'").select("variant", F.col("ex").alias("before"))
+    return table.join(plain, "variant").select("variant", "method", "questions", "ex", F.round(100 * (F.col("ex") - F.col("before")), 4).alias("gain_points"))
 
 
 def exp_detect(spark: SparkSession, sf_dir: str) -> DataFrame:
     at = lab(spark, sf_dir)
-    return metrics.detection_report(at.outcomes([r for m in ("self_detection", "gentle_self_correction", "execution_refiner", "agent_fixer", "rules_only", "mend") for r in at.rows(G1, m)]))
+    return metrics.detection_report(at.all([G1], ["self_detection", "gentle_self_correction", "execution_refiner", "agent_fixer", "rules_only", "mend"]))
 
 
 def exp_depth(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """True positives and the share of them that is fixed; one more row is plain
+    self-correction given the method's true positives."""
     at = lab(spark, sf_dir)
-    return metrics.fixed_rate(at.outcomes([r for m in ("self_debugging", "execution_refiner", "gentle_self_correction", "agent_fixer", "mend") for r in at.rows(G1, m)]))
+    rows = at.all([G1], ["self_debugging", "execution_refiner", "gentle_self_correction", "agent_fixer", "mend"])
+    hit = at.outcomes(G1, "mend").where("truth_wrong and flagged").select("question_id")
+    same = at.outcomes(G1, "self_correction").join(hit, "question_id", "left_semi").withColumn("flagged", F.lit(True)).withColumn("method", F.lit("self_correction_equal_tp"))
+    return metrics.fixed_rate(rows.unionByName(same))
 
 
 def exp_decompose(spark: SparkSession, sf_dir: str) -> DataFrame:
     at = lab(spark, sf_dir)
-    out = at.outcomes([r for m in ("self_correction", "self_debugging", "execution_refiner", "agent_fixer", "mend") for r in at.rows(G1, m)])
-    return metrics.decompose_gain(out).join(metrics.corruption_rate(out), "method")
+    rows = at.all([G1], ["self_correction", "gentle_self_correction", "self_debugging", "execution_refiner", "agent_fixer", "guideline_corrector", "step_corrector", "rules_only", "mend"])
+    rates = metrics.corruption_rate(rows).select("method", "fp", "corruption_rate").join(metrics.fixed_rate(rows).select("method", "tp", "fixed_rate"), "method")
+    return metrics.decompose_gain(rows).join(rates, "method")
+
+
+def typed_cases(at: Lab) -> DataFrame:
+    """Dev queries with one known error type each: verified rewrites of all
+    types, the reserved ones included, on questions of the first bank."""
+
+    def make():
+        golds = {}
+        for q in at.bank("a"):
+            golds.setdefault(q.gold, q)
+        made = []
+        for q in golds.values():
+            seen: dict[int, int] = {}
+            for s, t in rewrites(q.gold, at.catalog):
+                if seen.get(s, 0) < 1:
+                    seen[s] = 1
+                    made.append((q, s, t))
+        known = at.run([x for q, _, t in made for x in (q.gold, t)])
+        rows = [(q.question_id, f"{q.question_id}/{s}", q.text, t, [s], at.failures.get(t, "ok")) for q, s, t in made if known[t] != known[q.gold]]
+        return at.spark.createDataFrame(rows, "question_id string, candidate_id string, question string, sql string, truth_types array<int>, feedback string").withColumn("evidence", F.lit("")).repartition(8).persist()
+
+    return at.once("typed", make)
+
+
+def typed(at: Lab, growth: bool) -> DataFrame:
+    cfg = MendConfig(growth=growth)
+    own = typed_cases(at)
+    got = mend(own, at.catalog, at.model(cfg), cfg).select("candidate_id", "types")
+    return own.select("candidate_id", "truth_types").join(got, "candidate_id").withColumn("method", F.lit("mend_grown" if growth else "mend"))
 
 
-def exp_types(spark: SparkSession, sf_dir: str, growth: bool = False) -> DataFrame:
-    """Typed detection on all single rewrites of the dev split; types 13 and 14
-    score 0 until they are switched on."""
+def exp_types(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Typed accuracy by the nine categories: the method and a reader of words.
+    The two reserved categories score 0 until their types are switched on."""
     at = lab(spark, sf_dir)
-    made = [(q, s, t) for q in at.dev for s, t in rewrites(q.gold, at.catalog)]
-    known = at.runner.all([t for _, _, t in made] + [q.gold for q in at.dev])
-    cfg = MendConfig(growth=growth)
-    rows = [(s, [s], mend_one(q.text, t, at.catalog, at.model(), cfg)["types"]) for q, s, t in made if known[t] != known[q.gold]]
-    return metrics.type_specific_accuracy(spark.createDataFrame(rows, "slot int, truth_types array<int>, types array<int>"))
+    words = B.read(typed_cases(at), "keyword_types", at.catalog).select("candidate_id", "types")
+    other = typed_cases(at).select("candidate_id", "truth_types").join(words, "candidate_id").withColumn("method", F.lit("keyword_types"))
+    return metrics.category_accuracy(typed(at, False).unionByName(other), CATEGORY_OF)
+
+
+def exp_growth(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Typed accuracy by slot before and after two reserved types are added;
+    only their tokens are learned."""
+    at = lab(spark, sf_dir)
+    return metrics.type_specific_accuracy(typed(at, False).unionByName(typed(at, True)), by=("method",))
 
 
 def exp_ablate(spark: SparkSession, sf_dir: str) -> DataFrame:
     at = lab(spark, sf_dir)
-    rows = [("full", *r[1:]) for r in at.rows(G1, "mend")] + [(flag, *r[1:]) for flag in ABLATIONS for r in at.rows(G1, "mend", without(flag))]
-    out = at.outcomes(rows).withColumnRenamed("backbone", "removed")
-    f1 = metrics.detection_report(out, ("removed",)).select("removed", "f1")
+    rows = [at.outcomes(G1, "mend").withColumn("removed", F.lit("none"))]
+    rows += [at.outcomes(G1, "mend", "a", without(flag)).withColumn("removed", F.lit(flag)) for flag in ABLATIONS]
+    out = reduce(DataFrame.unionAll, rows)
+    f1 = metrics.detection_report(out, ("removed",)).select("removed", "precision", "recall", "f1")
     return f1.join(out.groupBy("removed").agg(metrics.ratio(metrics.n(F.col("ex")), F.count("*")).alias("ex")), "removed")
 
 
 def exp_corr(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Correlation of the drops in F1 and in execution accuracy."""
-    table = exp_ablate(spark, sf_dir).toPandas().set_index("removed").astype(float)
-    drops = pd.DataFrame({"f1_drop": table.f1["full"] - table.f1, "ex_drop": table.ex["full"] - table.ex}).drop(index="full")
-    return metrics.drop_correlation(spark.createDataFrame(drops))
+    """Correlation of the drops in F1 and in execution accuracy, over the
+    ablations that touch detection."""
+    table = exp_ablate(spark, sf_dir)
+    full = table.where("removed = 'none'").select(F.col("f1").alias("f1_full"), F.col("ex").alias("ex_full"))
+    drops = table.where(F.col("removed").isin(ABLATIONS[:9])).join(F.broadcast(full)).select((F.col("f1_full") - F.col("f1")).alias("f1_drop"), (F.col("ex_full") - F.col("ex")).alias("ex_drop"))
+    return metrics.drop_correlation(drops)
 
 
 def exp_pilot(spark: SparkSession, sf_dir: str) -> DataFrame:
     at = lab(spark, sf_dir)
-    return metrics.explicit_failure_share(at.outcomes([r for g in (G1, G2) for r in at.rows(g, "none")]))
+    return metrics.explicit_failure_share(at.all([G1, G2], ["none"]), ("backbone",))
+
+
+def exp_leaks(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What train and dev share, by bank."""
+    rows = [(bank, *leaks(train_questions(), dev_questions(bank)).values()) for bank in "ab"]
+    return spark.createDataFrame(rows, "bank string, templates int, golds int, texts int, word_runs int")

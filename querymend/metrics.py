@@ -48,24 +48,25 @@ def decompose_gain(df: DataFrame, by: tuple[str, ...] = ("method",)) -> DataFram
     return parts.select(*by, "questions", "fixed", "corrupted", ratio(F.col("fixed") - F.col("corrupted"), q).alias("gain_parts"), ratio(F.col("right_after") - F.col("right_before"), q).alias("gain_direct"))
 
 
-def type_specific_accuracy(df: DataFrame, truth: str = "truth_types", found: str = "types") -> DataFrame:
+def type_specific_accuracy(df: DataFrame, truth: str = "truth_types", found: str = "types", by: tuple[str, ...] = ()) -> DataFrame:
     """Share of the cases of each type whose detected set holds the type."""
-    each = df.select(F.explode(truth).alias("slot"), F.col(found).alias("found"))
-    return each.groupBy("slot").agg(F.count("*").alias("cases"), ratio(n(F.array_contains("found", F.col("slot"))), F.count("*")).alias("tsa"))
+    each = df.select(*by, F.explode(truth).alias("slot"), F.col(found).alias("found"))
+    return each.groupBy(*by, "slot").agg(F.count("*").alias("cases"), ratio(n(F.array_contains("found", F.col("slot"))), F.count("*")).alias("tsa"))
 
 
-def explicit_failure_share(df: DataFrame) -> DataFrame:
+def category_accuracy(df: DataFrame, category_of: dict[int, str], truth: str = "truth_types", found: str = "types", by: tuple[str, ...] = ("method",)) -> DataFrame:
+    """The same by category: a case counts if a detected type falls into the
+    category of the true one. The mapping has an entry for each type."""
+    pairs = F.create_map(*[F.lit(x) for kv in category_of.items() for x in kv])
+    named = F.transform(found, lambda s: pairs[s])
+    each = df.select(*by, F.explode(F.array_distinct(F.transform(truth, lambda s: pairs[s]))).alias("category"), named.alias("found"))
+    return each.groupBy(*by, "category").agg(F.count("*").alias("cases"), ratio(n(F.array_contains("found", F.col("category"))), F.count("*")).alias("tsa"))
+
+
+def explicit_failure_share(df: DataFrame, by: tuple[str, ...] = ()) -> DataFrame:
     """Share of wrong queries that fail when they are run."""
-    return df.agg(n(F.col("truth_wrong")).alias("wrong"), n(F.col("truth_wrong") & F.col("failed")).alias("failing")).withColumn("share", ratio(F.col("failing"), F.col("wrong")))
+    return df.groupBy(*by).agg(n(F.col("truth_wrong")).alias("wrong"), n(F.col("truth_wrong") & F.col("failed")).alias("failing")).withColumn("share", ratio(F.col("failing"), F.col("wrong")))
 
 
 def drop_correlation(df: DataFrame) -> DataFrame:
     return df.agg(F.round(F.corr("f1_drop", "ex_drop"), 6).alias("r"))
-
-
-def relative_gain(new: float, old: float) -> float:
-    return 100 * (new - old) / old
-
-
-def point_gain(new: float, old: float) -> float:
-    return new - old

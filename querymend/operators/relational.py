@@ -3,11 +3,17 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from functools import reduce
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from .. import metrics
+from ..execution import TABLES
+from ..taxonomy import CATEGORY_OF
+
 Entry = Callable[[SparkSession, str], DataFrame]
 QUERIES: dict[str, Entry] = {}
 ORACLES: dict[str, str] = {}
@@ -113,9 +119,11 @@ def o_agg_distinct(s, d):
     return t(s, d, "orders").groupBy(F.col("o_orderpriority").alias("p")).agg(F.count_distinct("o_custkey").alias("c"), F.count_if(F.col("o_orderstatus") == "F").alias("f"))
 
 
-@entry("SELECT true AS close")
+@entry("SELECT o_orderpriority AS p, count(DISTINCT o_custkey) AS n, true AS close FROM orders GROUP BY 1")
 def o_agg_approx(s, d):
-    return t(s, d, "orders").agg((F.abs(F.approx_count_distinct("o_custkey", 0.01) - F.count_distinct("o_custkey")) <= 0.05 * F.count_distinct("o_custkey")).alias("close"))
+    """Exact counts, and whether the sketch is within 5 % of each."""
+    exact = F.count_distinct("o_custkey")
+    return t(s, d, "orders").groupBy(F.col("o_orderpriority").alias("p")).agg(exact.alias("n"), (F.abs(F.approx_count_distinct("o_custkey", 0.01) - exact) <= 0.05 * exact).alias("close"))
 
 
 @entry("SELECT o_orderpriority AS p, round(quantile_cont(o_totalprice, 0.5), 4) AS m FROM orders GROUP BY 1")
@@ -290,19 +298,150 @@ def u_grouped_udaf(s, d):
     return t(s, d, "orders").groupBy(F.col("o_orderpriority").alias("p")).agg(F.round(mean("o_totalprice"), 4).alias("m"))
 
 
+@entry(" UNION ALL ".join(f"SELECT '{n}' AS name, count(*) AS n FROM {n}" for n in TABLES))
+def o_scan_parquet(s, d):
+    return reduce(DataFrame.unionAll, [t(s, d, n).agg(F.count("*").alias("n")).select(F.lit(n).alias("name"), "n") for n in TABLES])
+
+
+@entry("SELECT user_id AS u, string_agg(event_type || '=' || n, ',' ORDER BY event_type) AS m FROM (SELECT user_id, event_type, count(*) AS n FROM events GROUP BY 1, 2) GROUP BY 1")
+def o_map(s, d):
+    """Counts of each user as a map, shown by sorted keys."""
+    each = t(s, d, "events").groupBy("user_id", "event_type").agg(F.count("*").alias("n"))
+    made = each.groupBy(F.col("user_id").alias("u")).agg(F.map_from_entries(F.collect_list(F.struct("event_type", "n"))).alias("m"))
+    return made.select("u", F.array_join(F.transform(F.array_sort(F.map_keys("m")), lambda k: F.concat(k, F.lit("="), F.col("m")[k].cast("string"))), ",").alias("m"))
+
+
+@entry("SELECT doc_id AS k, CAST(i AS BIGINT) AS i, length(w) AS n FROM (SELECT doc_id, unnest(string_split(coalesce(text, ''), chr(10))) AS w, unnest(range(1, len(string_split(coalesce(text, ''), chr(10))) + 1)) AS i FROM documents)")
+def o_lateral(s, d):
+    """Lines of each document by a lateral generator."""
+    t(s, d, "documents").createOrReplaceTempView("lateral_documents")
+    return s.sql(r"SELECT doc_id AS k, CAST(pos + 1 AS BIGINT) AS i, CAST(length(line) AS BIGINT) AS n FROM lateral_documents, LATERAL posexplode(split(coalesce(text, ''), '\n', -1)) AS x(pos, line)")
+
+
+@entry("SELECT c_custkey AS k FROM customer WHERE c_acctbal > (SELECT avg(c_acctbal) FROM customer)")
+def o_scalar_subquery(s, d):
+    t(s, d, "customer").createOrReplaceTempView("customer")
+    return s.sql(ORACLES["o_scalar_subquery"])
+
+
+@entry("SELECT vec_id AS k, round(sqrt(list_sum(list_transform(CAST(embedding AS DOUBLE[]), lambda x: x * x))), 5) AS length, round(list_cosine_similarity(CAST(embedding AS DOUBLE[]), [1.0] || list_transform(range(len(embedding) - 1), lambda i: 0.0)), 5) AS first FROM embeddings")
+def u_pandas_cosine(s, d):
+    """Length, and cosine with the first axis, in Arrow batches."""
+
+    @F.pandas_udf("length double, first double")
+    def measure(v: pd.Series) -> pd.DataFrame:
+        x = np.stack(v.to_numpy()).astype(float)
+        size = np.sqrt((x * x).sum(1))
+        return pd.DataFrame({"length": size, "first": x[:, 0] / size})
+
+    return t(s, d, "embeddings").select(F.col("vec_id").alias("k"), measure("embedding").alias("m")).select("k", F.round("m.length", 5).alias("length"), F.round("m.first", 5).alias("first"))
+
+
+@entry("SELECT q.vec_id AS q, e.vec_id AS k, CAST(row_number() OVER (PARTITION BY q.vec_id ORDER BY round(list_cosine_similarity(CAST(q.embedding AS DOUBLE[]), CAST(e.embedding AS DOUBLE[])), 9) DESC, e.vec_id) AS BIGINT) AS place FROM embeddings q JOIN embeddings e ON q.label = e.label AND q.vec_id <> e.vec_id WHERE q.vec_id % 100 = 0 QUALIFY place <= 3")
+def v_knn(s, d):
+    """Examples for few-shot prompts: the three nearest of a query's own label.
+    Queries are the rows whose id is divisible by 100, against all rows; each
+    task keeps its best three of a query before the shuffle."""
+    e = t(s, d, "embeddings").select("vec_id", "label", F.col("embedding").cast("array<double>").alias("x"))
+    dot = lambda a, b: F.aggregate(F.zip_with(a, b, lambda p, q: p * q), F.lit(0.0), lambda u, v: u + v)
+    q = e.where("vec_id % 100 = 0").select(F.col("vec_id").alias("q"), "label", F.col("x").alias("y"))
+    both = e.join(q, "label").where("vec_id <> q").select("q", F.col("vec_id").alias("k"), F.round(dot("x", "y") / F.sqrt(dot("x", "x") * dot("y", "y")), 9).alias("c"))
+    place = Window.partitionBy("q").orderBy(F.desc("c"), "k")
+    return both.withColumn("place", F.row_number().over(place).cast("long")).where("place <= 3").select("q", "k", "place")
+
+
+_TEXTS = [("a", "SELECT x, COUNT(*) FROM t WHERE y = 3"), ("b", "SELECT 1"), ("c", "not ; a query")]
+
+
+@entry("SELECT * FROM (VALUES ('a', 13, 3), ('b', 2, 1), ('c', 4, 1)) AS v(k, tokens, words)")
+def u_udtf_tokens(s, d):
+    """Tokens of queries by a table function in a lateral join."""
+    from ..sqltree import register_all
+
+    register_all(s)
+    s.createDataFrame(_TEXTS, "k string, q string").createOrReplaceTempView("udtf_texts")
+    return s.sql("SELECT k, CAST(count(*) AS INT) AS tokens, CAST(count_if(kind = 'word') AS INT) AS words FROM udtf_texts, LATERAL sql_tokens(q) GROUP BY k")
+
+
+@entry("SELECT * FROM (VALUES ('a', 'SELECT x, COUNT(*) FROM t WHERE y = 3'), ('b', 'SELECT 1'), ('c', 'not ; a query')) AS v(k, q)")
+def u_udf_render(s, d):
+    """Parsed to JSON and rendered again; what does not parse comes back as it is."""
+    from ..sqltree import register_all
+
+    register_all(s)
+    s.createDataFrame(_TEXTS, "k string, q string").createOrReplaceTempView("udf_texts")
+    return s.sql("SELECT k, render_sql(parse_sql_json(q)) AS q FROM udf_texts")
+
+
+#: Measures need an outcomes table. This one is made of documents and labels: the
+#: query is "wrong" where quality is 0, "flagged" where the text is short, "mended"
+#: where it is not toxic, "changed" where it is not English.
+_OUT = "SELECT CASE WHEN doc_id % 2 = 0 THEN 'even' ELSE 'odd' END AS method, lang AS level, quality = 0 AS truth_wrong, n_chars < 700 AS flagged, toxic = 0 AS refined_equals_gold, lang <> 'en' AS changed_result, quality = 1 OR toxic = 0 AS ex, source = 'src1' AS failed FROM documents JOIN labels USING (doc_id)"
+
+
+def _outcomes(s, d):
+    docs, labels = t(s, d, "documents"), t(s, d, "labels")
+    wrong, toxic = F.col("quality") == 0, F.col("toxic") == 0
+    return docs.join(labels, "doc_id").select(
+        F.when(F.col("doc_id") % 2 == 0, "even").otherwise("odd").alias("method"), F.col("lang").alias("level"), wrong.alias("truth_wrong"), (F.col("n_chars") < 700).alias("flagged"), toxic.alias("refined_equals_gold"),
+        (F.col("lang") != "en").alias("changed_result"), ((F.col("quality") == 1) | toxic).alias("ex"), (F.col("source") == "src1").alias("failed"),
+    )
+
+
+@entry(f"SELECT method, count(*) FILTER (truth_wrong AND flagged) AS tp, count(*) FILTER (truth_wrong AND flagged AND refined_equals_gold) AS fixed, round(count(*) FILTER (truth_wrong AND flagged AND refined_equals_gold) / nullif(count(*) FILTER (truth_wrong AND flagged), 0), 6) AS fixed_rate FROM ({_OUT}) GROUP BY 1")
+def m_fixed_rate(s, d):
+    return metrics.fixed_rate(_outcomes(s, d))
+
+
+@entry(f"SELECT method, count(*) FILTER (NOT truth_wrong AND flagged) AS fp, count(*) FILTER (NOT truth_wrong AND flagged AND changed_result) AS corrupted, round(count(*) FILTER (NOT truth_wrong AND flagged AND changed_result) / nullif(count(*) FILTER (NOT truth_wrong AND flagged), 0), 6) AS corruption_rate FROM ({_OUT}) GROUP BY 1")
+def m_corruption_rate(s, d):
+    return metrics.corruption_rate(_outcomes(s, d))
+
+
+@entry(f"SELECT method, count(*) AS questions, count(*) FILTER (truth_wrong AND flagged AND refined_equals_gold) AS fixed, count(*) FILTER (NOT truth_wrong AND flagged AND changed_result) AS corrupted, round((count(*) FILTER (truth_wrong AND flagged AND refined_equals_gold) - count(*) FILTER (NOT truth_wrong AND flagged AND changed_result)) / count(*), 6) AS gain_parts, round((count(*) FILTER (ex) - count(*) FILTER (NOT truth_wrong)) / count(*), 6) AS gain_direct FROM ({_OUT}) GROUP BY 1")
+def m_decompose(s, d):
+    return metrics.decompose_gain(_outcomes(s, d))
+
+
+@entry(f"SELECT method, count(*) FILTER (truth_wrong) AS wrong, count(*) FILTER (truth_wrong AND failed) AS failing, round(count(*) FILTER (truth_wrong AND failed) / nullif(count(*) FILTER (truth_wrong), 0), 6) AS share FROM ({_OUT}) GROUP BY 1")
+def m_explicit_failures(s, d):
+    return metrics.explicit_failure_share(_outcomes(s, d), ("method",))
+
+
+#: Types from the counts of characters: truth one or two slots, found another rule.
+_TYPED = "SELECT [CAST(doc_id % 14 + 1 AS INT)] AS truth_types, [CAST(n_chars % 14 + 1 AS INT), CAST(doc_id % 7 + 1 AS INT)] AS types FROM documents"
+
+
+def _typed(s, d):
+    slot = lambda c, k: (F.col(c) % k + 1).cast("int")
+    return t(s, d, "documents").select(F.lit("m").alias("method"), F.array(slot("doc_id", 14)).alias("truth_types"), F.array(slot("n_chars", 14), slot("doc_id", 7)).alias("types"))
+
+
+@entry(f"SELECT truth_types[1] AS slot, count(*) AS cases, round(avg(CASE WHEN list_contains(types, truth_types[1]) THEN 1.0 ELSE 0 END), 6) AS tsa FROM ({_TYPED}) GROUP BY 1")
+def m_type_accuracy(s, d):
+    return metrics.type_specific_accuracy(_typed(s, d))
+
+
+@entry("WITH c AS (SELECT * FROM (VALUES " + ", ".join(f"({slot}, '{name}')" for slot, name in sorted(CATEGORY_OF.items())) + f") AS v(slot, category)), x AS (SELECT row_number() OVER () AS i, truth_types[1] AS truth, types FROM ({_TYPED})), f AS (SELECT i, truth, unnest(types) AS found FROM x) SELECT 'm' AS method, a.category, count(DISTINCT i) AS cases, round(count(DISTINCT CASE WHEN a.category = b.category THEN i END) / count(DISTINCT i), 6) AS tsa FROM f JOIN c a ON a.slot = f.truth JOIN c b ON b.slot = f.found GROUP BY 2")
+def m_category_accuracy(s, d):
+    return metrics.category_accuracy(_typed(s, d), CATEGORY_OF)
+
+
+@entry("SELECT round(corr(quality - n_chars / 1000.0, toxic + n_chars / 3000.0), 6) AS r FROM documents JOIN labels USING (doc_id)")
+def m_drop_correlation(s, d):
+    both = t(s, d, "documents").join(t(s, d, "labels"), "doc_id")
+    return metrics.drop_correlation(both.select((F.col("quality") - F.col("n_chars") / 1000.0).alias("f1_drop"), (F.col("toxic") + F.col("n_chars") / 3000.0).alias("ex_drop")))
+
+
 #: Relational detection: short documents are flagged, low quality is the truth.
 _FLAGS = "SELECT n_chars < 400 AS f, quality = 0 AS w FROM documents JOIN labels USING (doc_id)"
 
 
 @entry(f"SELECT 'short' AS method, CAST(sum(CASE WHEN f AND w THEN 1 ELSE 0 END) AS BIGINT) AS tp, CAST(sum(CASE WHEN f AND NOT w THEN 1 ELSE 0 END) AS BIGINT) AS fp, CAST(sum(CASE WHEN NOT f AND w THEN 1 ELSE 0 END) AS BIGINT) AS fn, CAST(sum(CASE WHEN NOT f AND NOT w THEN 1 ELSE 0 END) AS BIGINT) AS tn, round(sum(CASE WHEN f AND w THEN 1.0 ELSE 0 END) / sum(CASE WHEN f THEN 1.0 ELSE 0 END), 6) AS precision, round(sum(CASE WHEN f AND w THEN 1.0 ELSE 0 END) / sum(CASE WHEN w THEN 1.0 ELSE 0 END), 6) AS recall, round(sum(CASE WHEN f = w THEN 1.0 ELSE 0 END) / count(*), 6) AS accuracy, round(2 * sum(CASE WHEN f AND w THEN 1.0 ELSE 0 END) / (sum(CASE WHEN f THEN 1.0 ELSE 0 END) + sum(CASE WHEN w THEN 1.0 ELSE 0 END)), 6) AS f1 FROM ({_FLAGS})")
 def m_detection(s, d):
-    from ..metrics import detection_report
-
-    return detection_report(t(s, d, "documents").join(t(s, d, "labels"), "doc_id").select(F.lit("short").alias("method"), (F.col("quality") == 0).alias("truth_wrong"), (F.col("n_chars") < 400).alias("flagged")))
+    return metrics.detection_report(t(s, d, "documents").join(t(s, d, "labels"), "doc_id").select(F.lit("short").alias("method"), (F.col("quality") == 0).alias("truth_wrong"), (F.col("n_chars") < 400).alias("flagged")))
 
 
 @entry("SELECT lang AS level, count(*) AS questions, round(avg(CASE WHEN quality = 1 THEN 1.0 ELSE 0 END), 6) AS ex, 'all' AS method FROM documents JOIN labels USING (doc_id) GROUP BY lang UNION ALL SELECT NULL, count(*), round(avg(CASE WHEN quality = 1 THEN 1.0 ELSE 0 END), 6), 'all' FROM documents JOIN labels USING (doc_id)")
 def m_execution_accuracy(s, d):
-    from ..metrics import execution_accuracy
-
-    return execution_accuracy(t(s, d, "documents").join(t(s, d, "labels"), "doc_id").select(F.lit("all").alias("method"), F.col("lang").alias("level"), (F.col("quality") == 1).alias("ex")))
+    return metrics.execution_accuracy(t(s, d, "documents").join(t(s, d, "labels"), "doc_id").select(F.lit("all").alias("method"), F.col("lang").alias("level"), (F.col("quality") == 1).alias("ex")))
