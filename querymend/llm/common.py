@@ -3,10 +3,6 @@ of Arrow buffers, Bloom filters of a checked size and connected components."""
 
 from __future__ import annotations
 
-import atexit
-import shutil
-import tempfile
-import uuid
 from collections.abc import Iterator
 from itertools import count
 
@@ -15,26 +11,13 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..shared import remove, workspace  # noqa: F401 - the operators take it from here
+
 U = np.uint64
 #: Odd multiplier that tells the two halves of a string apart.
 BASE = 0x9E3779B97F4A7C15
 
 
-def workspace(spark: SparkSession) -> str:
-    """A new folder below ``spark.checkpoint.dir``. Where that is unset, one of
-    our own, but only on a single machine (``local[..]``, as in tests), where it
-    goes when Python ends: executors of a cluster do not share such a folder."""
-    root = spark.conf.get("spark.checkpoint.dir", None)
-    if not root:
-        master = spark.sparkContext.master
-        if master != "local" and not master.startswith("local["):
-            raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
-        folder = tempfile.mkdtemp(prefix="corpus-")
-        atexit.register(shutil.rmtree, folder, ignore_errors=True)
-        root = f"file://{folder}"
-    return f"{root.rstrip('/')}/corpus-{uuid.uuid4().hex}"
-
-
 def materialize(df: DataFrame, folder: str, name: str) -> DataFrame:
     """Write a table into the shared folder and read it back. This cuts the
     lineage, and a lost executor costs no more than the tasks it was running."""
@@ -45,10 +28,8 @@ def materialize(df: DataFrame, folder: str, name: str) -> DataFrame:
 
 def discard(spark: SparkSession, folder: str, *names: str) -> None:
     """Delete tables of a workspace that no later plan reads."""
-    jvm = spark.sparkContext._jvm
     for name in names:
-        path = jvm.org.apache.hadoop.fs.Path(f"{folder}/{name}")
-        path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
+        remove(spark, f"{folder}/{name}")
 
 
 def mix(x: np.ndarray) -> np.ndarray:
