@@ -66,7 +66,7 @@ def self_correction(s: Seen, gentle: bool) -> tuple[bool, list[str], list[int]]:
     if soft:
         new = s.edit(lambda f: (f.slot, f.reason) == (soft[0].slot, soft[0].reason))
         return new != s.sql, [new], [soft[0].slot]
-    if not gentle and draw("comply", s.question, s.sql) < 0.3 or gentle and coverage(case) < 1 and draw("gentle", s.question, s.sql) < 0.5:
+    if not gentle or coverage(case) < 1 and draw("gentle", s.question, s.sql) < 0.5:
         other = [t for slot, t in rewrites(s.sql, s.catalog) if slot in (2, 6, 9)]
         if other:
             return True, other[:1], []
