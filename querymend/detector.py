@@ -216,7 +216,7 @@ class ErrorTokenModel:
             done[s] += 1
         return total / len(order)
 
-    def fit(self, rows: DataFrame, rounds: int = 60, rate: float = 0.05, only: list[int] | None = None, decay: float = 1e-4) -> ErrorTokenModel:
+    def fit(self, rows: DataFrame, rounds: int = 100, rate: float = 0.08, only: list[int] | None = None, decay: float = 1e-4) -> ErrorTokenModel:
         """``rows``: name, words, labels, weight. ``only``: learn these tokens
         and leave all else as it is (types that are added later)."""
         shared = rows.sparkSession.sparkContext.broadcast(self.words)

@@ -6,6 +6,7 @@ aggregated in Spark. Candidates, models and outcomes of a folder are kept."""
 from __future__ import annotations
 
 import os
+from collections import Counter
 from functools import lru_cache, reduce
 
 from pyspark.sql import DataFrame, SparkSession
@@ -18,9 +19,9 @@ from .catalog import catalog_of
 from .detector import ErrorTokenModel, Segments, Words, input_words, learn_words
 from .diagnose import Case, findings
 from .execution import Runner, feedback, open_db, written_witness
-from .inject import explain
+from .inject import accepted, annotate
 from .mend import Example, MendConfig, mend, without
-from .perturb import compounds, mutations, rewrites
+from .perturb import changed, made_from, rewrites
 from .taxonomy import CATEGORY_OF, active_slots
 
 ABLATIONS = ["qss", "ast", "linking", "static", "semantic", "constrained", "semantic_init", "rule_data", "assistant_data", "localization", "guidelines", "sub_structures", "few_shot", "priority"]
@@ -56,10 +57,10 @@ class Lab:
                 self.failures[q] = feedback(self.db, q)["error_class"] or "EXECUTION"
         return known
 
-    def results(self, queries) -> DataFrame:
+    def results(self, queries, small: bool = False) -> DataFrame:
         """(sql, fp) of distinct texts; fp is null where one fails."""
         queries = sorted(set(queries))
-        known = self.run(queries)
+        known = self.run(queries, small)
         rows = [(q, None if known[q] is None else "|".join(map(str, known[q]))) for q in queries]
         return self.spark.createDataFrame(rows, "sql string, fp string").persist()
 
@@ -99,44 +100,55 @@ class Lab:
 
     # ---- training
 
-    def wrong_of_train(self) -> list[tuple[Question, str, list[int], str]]:
-        """(question, wrong query, types, source) of the train split: rewrites
-        and pairs by rules; mistakes of the generator that no single rule makes,
-        with the assistant's labels if its refined query returns gold's rows."""
+    def made(self) -> list:
+        """Rows (gold, sql, types, source) of the train split, verified by
+        execution: "rule" ones that change their gold's result, "assistant" ones
+        whose labels stand because the assistant's query returns gold's rows, and
+        "right" ones that return gold's rows."""
 
         def make():
-            made, golds, cat = [], {}, self.catalog
-            for q in train_questions():
-                golds.setdefault(q.gold, []).append(q)
-            for gold, qs in golds.items():
-                seen: dict[int, int] = {}
-                for slot, t in rewrites(gold, cat):
-                    if seen.get(slot, 0) < 2:
-                        seen[slot] = seen.get(slot, 0) + 1
-                        made.append((qs[len(made) % len(qs)], t, [slot], "rule"))
-                made += [(qs[i % len(qs)], t, sorted(p), "rule") for i, (p, t) in enumerate(compounds(gold, cat)) if i < 4]
-                free = [t for _, t in mutations(gold, cat)]
-                for i, t in enumerate(free[:: max(1, len(free) // 5)]):
-                    types, refined = explain(t, gold)
-                    made.append((qs[i % len(qs)], t, types, refined))
-            known = self.run([x for q, t, _, s in made for x in (q.gold, t, *([s] if s != "rule" else []))], True)
-            wrong = [m for m in made if known[m[1]] != known[m[0].gold]]
-            return [(q, t, types, "rule" if s == "rule" else "assistant") for q, t, types, s in wrong if s == "rule" or types and known[s] is not None and known[s] == known[q.gold]]
-
-        return self.once("train", make)
+            golds = self.spark.createDataFrame([(g,) for g in sorted({q.gold for q in train_questions()})], "gold string")
+            rows = made_from(golds, self.catalog).persist()
+            results = self.results((x for r in rows.select("gold", "sql").collect() for x in r), True)
+            wrong = changed(rows, results).persist()
+            labelled = annotate(wrong.where("source = 'free'")).persist()
+            refined = self.results((x for r in labelled.select("refined", "gold").collect() for x in r), True)
+            free = accepted(labelled, refined).select("gold", "sql", "types", F.lit("assistant").alias("source"))
+            # a join that keeps every row changes nothing: right as well
+            same = rows.where("source = 'right' or types = array(2)").join(wrong.select("gold", "sql"), ["gold", "sql"], "left_anti")
+            right = same.select("gold", "sql", F.array().cast("array<int>").alias("types"), F.lit("right").alias("source"))
+            kept = wrong.where("source = 'rule'").select("gold", "sql", "types", "source").unionByName(free).unionByName(right)
+            return sorted(kept.collect(), key=lambda r: (r.gold, r.source, r.types, r.sql))
+
+        return self.once("made", make)
+
+    def asked(self, rows: list) -> list[tuple[Question, str, list[int], str]]:
+        """Train rows with a question: the wordings of a gold take turns."""
+        golds: dict[str, list[Question]] = {}
+        for q in train_questions():
+            golds.setdefault(q.gold, []).append(q)
+        return [(golds[r.gold][i % len(golds[r.gold])], r.sql, list(r.types), r.source) for i, r in enumerate(rows)]
+
+    def wrong_of_train(self) -> list[tuple[Question, str, list[int], str]]:
+        """(question, wrong query, types, source) of the train split."""
+        return self.asked([r for r in self.made() if r.source != "right"])
 
     def training(self, cfg: MendConfig, slots: list[int]) -> DataFrame:
         """(name, words, labels, weight): right and wrong queries, each half of
-        the weight, as the model is to say both."""
+        the weight, as the model is to say both. Of the wrong ones, rows of a rare
+        type weigh more, by the root of how rare it is."""
         kept = [(q, t, types) for q, t, types, source in self.wrong_of_train() if set(types) <= set(slots) and (cfg.rule_data if source == "rule" else cfg.assistant_data)]
-        right = [(q, q.gold, []) for q in train_questions()]
+        right = [(q, q.gold, []) for q in train_questions()] + [x[:3] for x in self.asked([r for r in self.made() if r.source == "right" and r.sql != r.gold])]
         linking, parts = cfg.linking if cfg.qss else "none", Segments(cfg.qss, cfg.ast, cfg.static)
         rows = []
-        for own, mass in ((kept, 0.5), (right, 0.5)):
+        often = Counter(s for _, _, types in kept for s in types)
+        rare = lambda types: min((often[s] for s in types), default=1) ** -0.5
+        for own in (kept, right):
+            total = sum(rare(types) for *_, types in own)
             for i, (q, t, types) in enumerate(own):
                 case = Case(q.text, t, self.catalog, linking, q.evidence)
                 words = input_words(case, findings(case), self.failures.get(t, "ok"), parts)
-                rows.append((f"{q.question_id}/{i}", words, types, mass * 1000 / len(own)))
+                rows.append((f"{q.question_id}/{i}", words, types, 500 * rare(types) / total))
         return self.spark.createDataFrame(rows, "name string, words array<string>, labels array<int>, weight double").repartition(8)
 
     def model(self, cfg: MendConfig | None = None) -> ErrorTokenModel:

@@ -216,7 +216,7 @@ def union_types(df: DataFrame, rules: str = "rule_types", model: str = "model_ty
     return df.withColumn("types", F.when(F.size(both) == 0, F.array(F.lit(0))).otherwise(F.array_sort(both)))
 
 
-def accepted(mended: DataFrame, runs: DataFrame) -> DataFrame:
+def taken(mended: DataFrame, runs: DataFrame) -> DataFrame:
     """A refined query that does not run is not taken: the first one stays.
     ``runs`` is (sql, runs) from the execution of the distinct texts."""
     known = runs.select(F.col("sql").alias("refined_sql"), "runs")

@@ -14,9 +14,9 @@ from querymend.catalog import Catalog, catalog_of, linear_structure, name_link,
 from querymend.detector import ErrorTokenModel, Segments, Words, input_words, learn_words, masked, serial
 from querymend.diagnose import Case, findings, observations
 from querymend.execution import Runner, feedback, fingerprint, open_db, same_result, witness
-from querymend.inject import explain
-from querymend.mend import Example, MendConfig, mend, mend_one, without
-from querymend.perturb import OPERATORS, compounds, mutations, rewrites
+from querymend.inject import accepted, annotate, explain
+from querymend.mend import Example, MendConfig, mend, mend_one, taken, without
+from querymend.perturb import OPERATORS, changed, compounds, made_from, mutations, restyled, rewrites
 from querymend.sqltree import from_json, parse, render, span_to_nodes, to_json, tokens, tree_rows
 from querymend.taxonomy import CATEGORY_OF, RESERVED, SCOPE, TYPES, active_slots
 
@@ -169,6 +169,7 @@ def test_operators_change_queries(cat):
         for types, text in mutations(q.gold, cat):
             assert text != q.gold and set(types) <= set(range(1, 13))
     assert sorted(by_slot) == [t.slot for t in TYPES] == list(range(1, len(OPERATORS) + 1))
+    assert restyled("SELECT 1") == "SELECT 1" and restyled(CASES["f04"][2]) != CASES["f04"][2]
     two = [t for s, t in rewrites("SELECT c_name AS a, c_acctbal AS b FROM customer WHERE c_nationkey = 3 AND c_mktsegment = 'BUILDING'", cat) if s == 9]
     assert len(two) == 2  # every site
 
@@ -185,6 +186,28 @@ def test_the_assistant_is_believed_only_if_its_query_is_right(cat, db):
     assert explain("no query", "SELECT 1") == ([], "no query")
 
 
+def test_train_rows_are_verified_as_tables(spark, cat, db):
+    golds = [CASES[n][2] for n in ("f01", "f04", "f09", "f12")]
+    rows = made_from(spark.createDataFrame([(g,) for g in golds], "gold string"), cat)
+    run = Runner(db)
+    known = run.all([x for r in rows.collect() for x in (r.gold, r.sql)])
+    results = spark.createDataFrame([(q, None if f is None else str(f)) for q, f in known.items()], "sql string, fp string")
+    wrong = {(r.gold, r.sql) for r in changed(rows, results).collect()}
+    assert wrong == {(r.gold, r.sql) for r in rows.collect() if known[r.sql] != known[r.gold]}
+    assert all((r.gold, r.sql) not in wrong for r in rows.where("source = 'right'").collect())
+    bad = spark.createDataFrame([(golds[0], golds[1], "free")], "gold string, sql string, source string")
+    labelled = annotate(bad).withColumn("refined", F.lit("SELECT 1"))
+    both = results.unionAll(spark.createDataFrame([("SELECT 1", "other")], "sql string, fp string"))
+    assert accepted(annotate(bad), results.unionAll(spark.createDataFrame([(explain(golds[1], golds[0])[1], str(known[golds[0]]))], "sql string, fp string")).dropDuplicates(["sql"])).count() == 1
+    assert accepted(labelled, both).count() == 0
+
+
+def test_a_refined_query_that_fails_is_not_taken(spark):
+    made = spark.createDataFrame([("1", "a", "x"), ("2", "b", "y"), ("3", "c", "z")], "candidate_id string, sql string, refined_sql string")
+    runs = spark.createDataFrame([("x", True), ("y", False)], "sql string, runs boolean")
+    assert {r.candidate_id: r.refined_sql for r in taken(made, runs).collect()} == {"1": "x", "2": "b", "3": "c"}
+
+
 # ---------------------------------------------------------------- bank
 
 
