@@ -424,6 +424,17 @@ def test_scores_match_a_plain_evaluation(spark):
         assert r.lang_pred == ("und" if not t or not re.search(r"[^\W\d_]", t) else tournament(t)), t
 
 
+def test_rows_that_score_are_kept_as_they_are(spark):
+    model = quality.GatedAttention()
+    model.constant, model.w["u"] = None, np.random.default_rng(3).normal(size=24).astype(np.float32)
+    rows = [(i, t, "a", i) for i, t in enumerate([None, "", "Short text.", "Short text.", "Many words here, 123! " * 90, "x\n" * 3000, "!!"])] + [(None, "Short text.", None, None)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, label string, score long")
+    good = {str(r.doc_id) for r in quality.score_quality(df, model).where("score >= 0.5").collect()}
+    kept = quality.keep_good(df, model)
+    assert kept.columns == df.columns and Counter(map(str, kept.collect())) == Counter(str(r) for r in df.collect() if str(r.doc_id) in good)
+    assert quality.keep_good(df.limit(0), model).count() == 0
+
+
 def test_repeated_ids_add_no_rows_to_a_fit(spark):
     rows = [(i, ("good words here " if i % 2 else "!!## 00 ") * 20, "en" if i % 2 else "de", "s", i % 2) for i in range(40)]
     docs = spark.createDataFrame([r[:4] for r in rows], "doc_id long, text string, lang string, source string")
