@@ -133,10 +133,13 @@ def numbered(rows: DataFrame) -> DataFrame:
 
 
 class Runner:
-    """Fingerprints of queries, each text once, several at a time."""
+    """Fingerprints of queries, each text once, several at a time. With
+    ``plans``, texts of one optimized plan are run once as well: worth it where a
+    run costs far more than an analysis."""
 
-    def __init__(self, spark: SparkSession, threads: int = 8, mode: str = "bag"):
-        self.spark, self.threads, self.mode, self.known = spark, threads, mode, {}
+    def __init__(self, spark: SparkSession, threads: int = 8, mode: str = "bag", plans: bool = False):
+        self.spark, self.threads, self.mode, self.plans, self.known = spark, threads, mode, plans, {}
+        self.runs = 0
 
     def one(self, sql: str) -> tuple | None:
         """(n, s, x), or None if the query fails."""
@@ -148,7 +151,11 @@ class Runner:
     def all(self, queries: Iterable[str]) -> dict[str, tuple | None]:
         new = sorted({q for q in queries} - self.known.keys())
         with ThreadPoolExecutor(self.threads) as pool:
-            self.known |= dict(zip(new, pool.map(self.one, new), strict=True))
+            keys = dict(zip(new, pool.map(lambda q: plan_key(self.spark, q) or q, new), strict=True)) if self.plans else {q: q for q in new}
+            first = {key: q for q, key in reversed(keys.items())}
+            found = dict(zip(first, pool.map(self.one, first.values()), strict=True))
+        self.runs += len(first)
+        self.known |= {q: found[key] for q, key in keys.items()}
         return self.known
 
     def same(self, a: str, b: str) -> bool:

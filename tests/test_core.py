@@ -97,6 +97,12 @@ def test_databases_do_not_mix(spark):
     assert Runner(a).same("SELECT COUNT(*) FROM orders", "SELECT 1500") and not Runner(b).same("SELECT COUNT(*) FROM orders", "SELECT 1500")
 
 
+def test_texts_of_one_plan_run_once(db):
+    texts = ["SELECT COUNT(*) AS n FROM orders WHERE o_orderstatus = 'F'", "select count(*) as n from orders as x where 'F' = x.o_orderstatus", "SELECT COUNT(*) AS n FROM orders", "SELECT nothing"]
+    run, plain = Runner(db, plans=True), Runner(db)
+    assert run.all(texts) == plain.all(texts) and (run.runs, plain.runs) == (3, 4)
+
+
 def test_witness_keeps_keys(spark):
     w = witness(spark, SF, 5)
     assert 0 < w.table("orders").count() < 1500
