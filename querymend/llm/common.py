@@ -203,21 +203,6 @@ def may_hold(rows: DataFrame, keys: DataFrame, column: str, schema: str) -> Data
     return rows.select(*names, F.xxhash64(column).alias("_h")).mapInArrow(run, schema)
 
 
-def spread_join(rows: DataFrame, keys: DataFrame, on: list[str], many: str = "n", least: int = 1000, most: int = 100_000) -> DataFrame:
-    """Inner join of ``rows`` with ``keys`` (one row a key, with the number
-    ``many`` of its rows) that no key can overload. Keys of more than ``least``
-    rows, and of more than a hundred-thousandth (1 / ``most``) of all, are broadcast:
-    there are fewer than ``most`` of them at any size. The others are shuffled."""
-    total = keys.agg(F.sum(many)).first()[0] or 0
-    bound = max(least, int(total) // most)
-    hot = keys.where(F.col(many) > bound)
-    rest = rows
-    if hot.limit(1).count():
-        rest = rows.join(F.broadcast(hot.select(*on)), on, "left_anti")
-        return rows.join(F.broadcast(hot), on).unionAll(rest.join(keys.where(F.col(many) <= bound).hint("merge"), on))
-    return rest.join(keys.hint("merge"), on)
-
-
 def components(edges: DataFrame, folder: str, src: str = "a", dst: str = "b") -> DataFrame:
     """(node, component): for every node of an edge its component's least node.
 
